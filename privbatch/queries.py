@@ -1,10 +1,530 @@
-"""The registered queries of the engine and their SQL."""
+"""The registered queries of the engine and, where SQL can express them, their SQL for DuckDB.
+
+Where both sides could use one closed form, the SQL takes another route.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .functions.noise import gauss_sigma, gaussian, laplace_scale, noise_constant
+from .operators import cells as C
+from .operators import mechanism as M
+from .plans import level_search as L
+from .plans import strategy as S
+from .plans import workload as W
+from .sources.tables import domain, star, table
+from .streaming.windows import window_cells
 
+EPS, DELTA, SEED = 0.5, 1e-4, 7
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
+
+
+def query(sql: str | None = None, name: str | None = None):
+    def add(f):
+        QUERIES[name or f.__name__] = f
+        if sql:
+            ORACLES[name or f.__name__] = sql
+        return f
+
+    return add
+
+
+def _frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    return spark.createDataFrame(rows, schema)
+
+
+# ---- cells ------------------------------------------------------------------------------------
+
+_D = "date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE))"
+_DENSE = "WITH c AS (SELECT {cell} AS cell_id, count(*) AS cnt FROM {table} WHERE {inside} GROUP BY 1) SELECT r.range AS cell_id, coalesce(c.cnt, 0) AS cnt FROM range({n}) r LEFT JOIN c ON c.cell_id = r.range"
+_CELLS = {
+    "ship_1024": (f"CAST(floor({_D} * 2 / 5.0) AS BIGINT)", "lineitem", f"{_D} >= 0 AND floor({_D} * 2 / 5.0) < 1024", 1024),
+    "ship_price_32x32": (f"CAST(floor({_D} / 80.0) * 32 + floor(l_extendedprice / 3300) AS BIGINT)", "lineitem", f"floor({_D} / 80.0) BETWEEN 0 AND 31 AND floor(l_extendedprice / 3300) BETWEEN 0 AND 31", 1024),
+    "qty_price_ship_16x8x8": (f"CAST((floor((l_quantity - 1) * 16 / 50) * 8 + floor(l_extendedprice / 13200)) * 8 + floor({_D} / 320.0) AS BIGINT)", "lineitem", f"floor((l_quantity - 1) * 16 / 50) BETWEEN 0 AND 15 AND floor(l_extendedprice / 13200) BETWEEN 0 AND 7 AND floor({_D} / 320.0) BETWEEN 0 AND 7", 1024),
+    "five_4": (f"CAST((((floor((l_quantity - 1) * 4 / 50) * 4 + floor(round(l_discount * 100) / 3)) * 4 + floor(round(l_tax * 100) * 4 / 9)) * 4 + floor(l_extendedprice / 26400)) * 4 + floor({_D} / 640.0) AS BIGINT)", "lineitem", f"floor((l_quantity - 1) * 4 / 50) BETWEEN 0 AND 3 AND floor(round(l_discount * 100) / 3) BETWEEN 0 AND 3 AND floor(round(l_tax * 100) * 4 / 9) BETWEEN 0 AND 3 AND floor(l_extendedprice / 26400) BETWEEN 0 AND 3 AND floor({_D} / 640.0) BETWEEN 0 AND 3", 1024),
+    "qty_64": ("CAST(floor(l_quantity - 1) AS BIGINT)", "lineitem", "floor(l_quantity - 1) BETWEEN 0 AND 63", 64),
+}
+
+
+def _cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    source = {"type_5": "events", "type_groups": "part"}.get(name, "lineitem")
+    data = star(spark, sf_dir) if name == "ten_2" else table(spark, sf_dir, source)
+    return C.dense_counts(data, domain(name))
+
+
+for _name, (_cell, _table, _inside, _n) in _CELLS.items():
+    query(_DENSE.format(cell=_cell, table=_table, inside=_inside, n=_n), f"cell_counts_{_name}")(lambda s, d, name=_name: _cells(s, d, name))
+
+_FLAGS = ["l_quantity > 25", "round(l_discount * 100) >= 5", "round(l_tax * 100) >= 4", "l_extendedprice >= 50000", "l_shipdate >= TIMESTAMP '1998-07-01'", "l_returnflag = 'R'", "l_linestatus = 'O'", "l_linenumber >= 4", "p_size > 25", "o_orderpriority IN ('1-URGENT', '2-HIGH')"]
+query(
+    _DENSE.format(cell=" + ".join(f"CAST({c} AS BIGINT) * {2 ** (9 - i)}" for i, c in enumerate(_FLAGS)), table="lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey", inside="true", n=1024), "cell_counts_star"
+)(lambda s, d: _cells(s, d, "ten_2"))
+
+
+@query("SELECT CAST(CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS BIGINT) AS cell_id, count(*) AS cnt FROM events GROUP BY 1")
+def cell_counts_categorical(spark, sf_dir):
+    return _cells(spark, sf_dir, "type_5")
+
+
+@query("WITH g AS (SELECT CAST(CASE WHEN p_type IN ('ECONOMY','STANDARD') THEN 0 WHEN p_type = 'PROMO' THEN 1 ELSE 2 END AS BIGINT) AS cell_id FROM part) SELECT r.range AS cell_id, count(g.cell_id) AS cnt FROM range(3) r LEFT JOIN g ON g.cell_id = r.range GROUP BY 1")
+def cell_counts_groups(spark, sf_dir):
+    return _cells(spark, sf_dir, "type_groups")
+
+
+@query("SELECT 'clamp' AS policy, CAST(least(n_chars // 1024, 7) AS BIGINT) AS cell_id, count(*) AS cnt FROM documents GROUP BY 2 UNION ALL SELECT 'drop', CAST(n_chars // 1024 AS BIGINT), count(*) FROM documents WHERE n_chars // 1024 < 8 GROUP BY 2")
+def cell_counts_overflow(spark, sf_dir):
+    from .functions.domain import Attribute, Domain
+
+    docs, out = table(spark, sf_dir, "documents"), None
+    for policy in ("clamp", "drop"):
+        d = Domain((Attribute.width("len", F.col("n_chars"), 0, 1024, 8, policy),))
+        one = C.cell_counts(docs, d).select(F.lit(policy).alias("policy"), "cell_id", "cnt")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("WITH h AS (SELECT CAST(date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) AS BIGINT) AS hour, event_type, count(*) AS cnt FROM events GROUP BY 1, 2) SELECT r.range AS hour, t.t AS event_type, coalesce(h.cnt, 0) AS cnt FROM range(720) r CROSS JOIN (SELECT unnest(['click','error','purchase','signup','view']) AS t) t LEFT JOIN h ON h.hour = r.range AND h.event_type = t.t")
+def histogram_hourly(spark, sf_dir):
+    hour = F.floor((F.unix_timestamp("ts") - F.unix_timestamp(F.lit("2024-01-01").cast("timestamp"))) / 3600).cast("long")
+    seen = table(spark, sf_dir, "events").groupBy(hour.alias("hour"), "event_type").agg(F.count("*").alias("cnt"))
+    types = F.array(*[F.lit(t) for t in ("click", "error", "purchase", "signup", "view")])
+    every = spark.range(720).select(F.col("id").alias("hour"), F.explode(types).alias("event_type"))
+    return every.join(seen, ["hour", "event_type"], "left").select("hour", "event_type", F.coalesce("cnt", F.lit(0)).alias("cnt"))
+
+
+@query("SELECT CAST(cell_id // 6 AS BIGINT) AS block, count(*) AS cells, CAST(sum(cnt) AS BIGINT) AS cnt FROM (" + _DENSE.format(cell=_CELLS["qty_64"][0], table="lineitem", inside=_CELLS["qty_64"][2], n=64) + ") GROUP BY 1")
+def generalize_blocks(spark, sf_dir):
+    return C.coarsen(_cells(spark, sf_dir, "qty_64"), 6)
+
+
+@query("WITH d AS (SELECT event_id, min(ts) AS ts, min(event_type) AS event_type FROM events GROUP BY 1) SELECT date_trunc('hour', ts) AS window_start, event_type, count(*) AS cnt FROM d GROUP BY 1, 2")
+def stream_cells(spark, sf_dir):
+    return window_cells(table(spark, sf_dir, "events"))
+
+
+# ---- workloads and Gram matrices ----------------------------------------------------------------
+
+_R16 = "SELECT (a.range * 16 + b.range) AS query_id, c.range AS cell_id, CAST(1 AS DOUBLE) AS coef FROM range(16) a JOIN range(16) b ON a.range <= b.range JOIN range(16) c ON c.range BETWEEN a.range AND b.range"
+
+
+@query(_R16)
+def workload_range_rows(spark, sf_dir):
+    return W.box_rows(W.range_boxes(spark, (16,)), (16,))
+
+
+@query("WITH i AS (SELECT a.range AS lo, b.range AS hi FROM range(4) a JOIN range(4) b ON a.range <= b.range) SELECT ((x.lo * 4 + x.hi) * 4 + y.lo) * 4 + y.hi AS query_id, c.range * 4 + d.range AS cell_id, CAST(1 AS DOUBLE) AS coef FROM i x CROSS JOIN i y JOIN range(4) c ON c.range BETWEEN x.lo AND x.hi JOIN range(4) d ON d.range BETWEEN y.lo AND y.hi")
+def workload_kd_rows(spark, sf_dir):
+    return W.box_rows(W.range_boxes(spark, (4, 4)), (4, 4))
+
+
+@query("SELECT m.range AS query_id, c.range AS cell_id, CAST(1 AS DOUBLE) AS coef FROM range(32) m JOIN range(5) c ON ((m.range >> CAST(c.range AS INTEGER)) & 1) = 1")
+def workload_predicates_rows(spark, sf_dir):
+    return W.predicate_rows(spark, 5)
+
+
+_MARG = "SELECT c.range // 22 AS query_id, c.range AS cell_id, CAST(1 AS DOUBLE) AS coef FROM range(66) c UNION ALL SELECT 3 + (c.range // 11) % 2, c.range, 1 FROM range(66) c UNION ALL SELECT 5 + c.range % 11, c.range, 1 FROM range(66) c"
+
+
+@query(_MARG)
+def workload_marginal_rows(spark, sf_dir):
+    return W.marginal_rows(spark, (3, 2, 11), [(0,), (1,), (2,)])
+
+
+def _gram_frame(spark, g):
+    return _frame(spark, [(i, j, float(g[i, j])) for i in range(len(g)) for j in range(i, len(g))], "i long, j long, v double")
+
+
+_GRAM = "WITH w AS ({rows}) SELECT a.cell_id AS i, b.cell_id AS j, sum(a.coef * b.coef) AS v FROM w a JOIN w b ON a.query_id = b.query_id AND a.cell_id <= b.cell_id GROUP BY 1, 2"
+query(_GRAM.format(rows=_R16), "gram_all_range_1d")(lambda s, d: _gram_frame(s, W.gram_all_range((16,))))
+query(_GRAM.format(rows=ORACLES["workload_kd_rows"]), "gram_all_range_2d")(lambda s, d: _gram_frame(s, W.gram_all_range((4, 4))))
+query(_GRAM.format(rows=ORACLES["workload_predicates_rows"]), "gram_predicates")(lambda s, d: _gram_frame(s, W.gram_predicates(5)))
+query(_GRAM.format(rows=_R16), "gram_joined")(lambda s, d: W.gram_of_rows(W.box_rows(W.range_boxes(s, (16,)), (16,))))
+query(
+    "SELECT i, j, v FROM (" + _GRAM.format(rows=_MARG) + ")", "gram_marginals"
+)(lambda s, d: _gram_frame(s, W.gram_marginals((3, 2, 11), [(0,), (1,), (2,)])).where("v <> 0"))
+
+_U = "((CAST('0x' || substr(md5('{seed}:' || {key} || ':{lane}'), 1, 13) AS BIGINT) + 0.5) / 4503599627370496.0)"
+
+
+def _u(key: str, lane: int = 0) -> str:
+    return _U.format(seed=SEED, key=f"CAST({key} AS VARCHAR)", lane=lane)
+
+
+_B64 = "(SELECT a.range * 64 + b.range AS query_id, a.range AS lo0, b.range AS hi0 FROM range(64) a JOIN range(64) b ON a.range <= b.range)"
+
+
+@query(f"SELECT query_id, lo0, hi0 FROM {_B64} ORDER BY -ln({_u('query_id')}), query_id LIMIT 100")
+def sample_uniform(spark, sf_dir):
+    return W.sample(W.range_boxes(spark, (64,)), 100, SEED, (64,))
+
+
+@query(f"SELECT query_id, lo0, hi0 FROM {_B64} ORDER BY -ln({_u('query_id')}) * exp(-4.0 * (abs((lo0 + hi0) / 2.0 - 31.5) / 32.0)), query_id LIMIT 100")
+def sample_biased(spark, sf_dir):
+    return W.sample(W.range_boxes(spark, (64,)), 100, SEED, (64,), "biased")
+
+
+@query(f"SELECT query_id, (hi0 - lo0 + 1) / 64.0 AS coverage FROM {_B64} WHERE (hi0 - lo0 + 1) / 64.0 BETWEEN 0.05 AND 0.1 ORDER BY -ln({_u('query_id')}), query_id LIMIT 50")
+def sample_coverage(spark, sf_dir):
+    boxes = W.range_boxes(spark, (64,)).where(W.coverage((64,)).between(0.05, 0.1))
+    return W.sample(boxes, 50, SEED, (64,)).select("query_id", W.coverage((64,)).alias("coverage"))
+
+
+_HAAR = "SELECT CAST(0 AS BIGINT) AS query_id, c.range AS cell_id, CAST(1 AS DOUBLE) AS coef, CAST({n} AS BIGINT) AS w FROM range({n}) c UNION ALL SELECT CAST(pow(2, l.range) AS BIGINT) + c.range // ({n} // CAST(pow(2, l.range) AS BIGINT)), c.range, CASE WHEN (c.range % ({n} // CAST(pow(2, l.range) AS BIGINT))) * 2 < {n} // CAST(pow(2, l.range) AS BIGINT) THEN 1 ELSE -1 END, {n} // CAST(pow(2, l.range) AS BIGINT) FROM range({k}) l CROSS JOIN range({n}) c"
+_TREE = "SELECT CAST(pow(2, l.range) AS BIGINT) + c.range // ({n} // CAST(pow(2, l.range) AS BIGINT)) AS query_id, c.range AS cell_id, CAST(1 AS DOUBLE) AS coef FROM range({k1}) l CROSS JOIN range({n}) c"
+_SENS = "SELECT '{name}' AS name, round(max(a), 6) AS l1, round(sqrt(max(b)), 6) AS l2 FROM (SELECT cell_id, sum(abs(coef)) AS a, sum(coef * coef) AS b FROM ({rows}) GROUP BY 1)"
+
+
+@query(" UNION ALL ".join(_SENS.format(name=k, rows=v) for k, v in {"range": _R16, "haar": _HAAR.format(n=16, k=4), "tree": _TREE.format(n=16, k1=5), "marginals": _MARG}.items()))
+def sensitivity(spark, sf_dir):
+    rows = {"range": W.box_rows(W.range_boxes(spark, (16,)), (16,)), "haar": M.haar_rows(spark, 16).select("query_id", "cell_id", "coef"), "tree": M.rows_frame(spark, S.hierarchical(16)), "marginals": W.marginal_rows(spark, (3, 2, 11), [(0,), (1,), (2,)])}
+    out = [M.sensitivities(r).select(F.lit(k).alias("name"), F.round("l1", 6).alias("l1"), F.round("l2", 6).alias("l2")) for k, r in rows.items()]
+    return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3])
+
+
+# ---- true answers (for tests) and plain mechanisms ------------------------------------------------
+
+
+@query(f"SELECT query_id, lo0, hi0, CAST(count(l_quantity) AS BIGINT) AS answer FROM {_B64} b LEFT JOIN lineitem ON floor(l_quantity - 1) BETWEEN lo0 AND hi0 GROUP BY 1, 2, 3")
+def exact_range_answers(spark, sf_dir):
+    return C.box_answers(W.range_boxes(spark, (64,)), _cells(spark, sf_dir, "qty_64"), "cnt", (64,))
+
+
+@query("WITH i AS (SELECT a.range AS lo, b.range AS hi FROM range(8) a JOIN range(8) b ON a.range <= b.range), g AS (SELECT floor((l_quantity - 1) * 8 / 50) AS q, floor(l_extendedprice * 8 / 105600) AS p, count(*) AS c FROM lineitem GROUP BY 1, 2) SELECT ((x.lo * 8 + x.hi) * 8 + y.lo) * 8 + y.hi AS query_id, x.lo AS lo0, x.hi AS hi0, y.lo AS lo1, y.hi AS hi1, CAST(coalesce(sum(c), 0) AS BIGINT) AS answer FROM i x CROSS JOIN i y LEFT JOIN g ON q BETWEEN x.lo AND x.hi AND p BETWEEN y.lo AND y.hi GROUP BY ALL")
+def exact_range_answers_2d(spark, sf_dir):
+    return C.box_answers(W.range_boxes(spark, (8, 8)), _cells(spark, sf_dir, "pair_8x8"), "cnt", (8, 8))
+
+
+@query("SELECT l_returnflag, l_linestatus, grouping_id(l_returnflag, l_linestatus) AS gid, count(*) AS cnt FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
+def exact_cube(spark, sf_dir):
+    return table(spark, sf_dir, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.grouping_id().alias("gid"), F.count("*").alias("cnt"))
+
+
+@query("SELECT m.range AS query_id, CAST(coalesce(sum(CASE WHEN ((m.range >> CAST(e.c AS INTEGER)) & 1) = 1 THEN e.n END), 0) AS BIGINT) AS answer FROM range(1, 32) m CROSS JOIN (SELECT CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS c, count(*) AS n FROM events GROUP BY 1) e GROUP BY 1")
+def exact_predicates(spark, sf_dir):
+    return M.exact_answers(W.predicate_rows(spark, 5), _cells(spark, sf_dir, "type_5")).select("query_id", F.col("answer").cast("long").alias("answer"))
+
+
+_QTY = "(" + _DENSE.format(cell=_CELLS["qty_64"][0], table="lineitem", inside=_CELLS["qty_64"][2], n=64) + ")"
+_GAUSS = "sqrt(-2 * ln({u})) * cos(2 * pi() * {v})"
+_SIGMA = gauss_sigma(1.0, EPS, DELTA)
+
+
+def _g(key: str) -> str:
+    return _GAUSS.format(u=_u(key), v=_u(key, 1))
+
+
+@query(f"SELECT cell_id AS query_id, round(cnt + {_SIGMA!r} * {_g('cell_id')}, 6) AS answer FROM {_QTY}")
+def gaussian_release(spark, sf_dir):
+    rows = spark.range(64).select(F.col("id").alias("query_id"), F.col("id").alias("cell_id"), F.lit(1.0).alias("coef"))
+    return M.gaussian_answers(rows, _cells(spark, sf_dir, "qty_64"), 1.0, EPS, DELTA, SEED).select("query_id", F.round("noisy", 6).alias("answer"))
+
+
+@query(f"SELECT cell_id AS query_id, round(cnt - {laplace_scale(1.0, EPS)!r} * sign({_u('cell_id')} - 0.5) * ln(1 - 2 * abs({_u('cell_id')} - 0.5)), 6) AS answer FROM {_QTY}")
+def laplace_release(spark, sf_dir):
+    rows = spark.range(64).select(F.col("id").alias("query_id"), F.col("id").alias("cell_id"), F.lit(1.0).alias("coef"))
+    return M.laplace_answers(rows, _cells(spark, sf_dir, "qty_64"), 1.0, EPS, SEED).select("query_id", F.round("noisy", 6).alias("answer"))
+
+
+def _ranges_of(spark, fit, n=64):
+    out = C.box_answers(W.range_boxes(spark, (n,)), fit, "est", (n,))
+    return out.select(F.col("lo0").alias("lo"), F.col("hi0").alias("hi"), F.round("answer", 6).alias("answer"))
+
+
+_FIT_RANGES = "SELECT lo0 AS lo, hi0 AS hi, round(sum(est), 6) AS answer FROM {boxes} b JOIN ({fit}) f ON f.cell_id BETWEEN lo0 AND hi0 GROUP BY 1, 2"
+
+
+@query(_FIT_RANGES.format(boxes=_B64, fit=f"SELECT cell_id, cnt + {_SIGMA!r} * {_g('cell_id')} AS est FROM {_QTY}"))
+def release_identity(spark, sf_dir):
+    cells = _cells(spark, sf_dir, "qty_64")
+    rows = spark.range(64).select(F.col("id").alias("query_id"), F.col("id").alias("cell_id"), F.lit(1.0).alias("coef"))
+    noisy = M.gaussian_answers(rows, cells, 1.0, EPS, DELTA, SEED)
+    return _ranges_of(spark, noisy.select(F.col("query_id").alias("cell_id"), F.col("noisy").alias("est")))
+
+
+_HAAR64 = _HAAR.format(n=64, k=6)
+
+
+@query(_FIT_RANGES.format(boxes=_B64, fit=f"WITH h AS ({_HAAR64}), y AS (SELECT query_id, sum(coef * cnt) + {gauss_sigma(7**0.5, EPS, DELTA)!r} * {_g('query_id')} AS y FROM h JOIN {_QTY} x USING (cell_id) GROUP BY 1) SELECT cell_id, sum(coef * y / w) AS est FROM h JOIN y USING (query_id) GROUP BY 1"))
+def release_haar(spark, sf_dir):
+    return _ranges_of(spark, M.release_haar(_cells(spark, sf_dir, "qty_64"), 64, EPS, DELTA, SEED))
+
+
+_TREE64 = _TREE.format(n=64, k1=7)
+
+
+@query(_FIT_RANGES.format(boxes=_B64, fit=f"WITH a AS ({_TREE64}), h AS ({_HAAR64}), y AS (SELECT query_id, sum(coef * cnt) + {gauss_sigma(7**0.5, EPS, DELTA)!r} * {_g('query_id - 1')} AS y FROM a JOIN {_QTY} x USING (cell_id) GROUP BY 1), v AS (SELECT cell_id, sum(coef * y) AS v FROM a JOIN y USING (query_id) GROUP BY 1), p AS (SELECT query_id, sum(coef * v) / (max(w) * CASE WHEN query_id = 0 THEN 127 ELSE max(w) - 1 END) AS p FROM h JOIN v USING (cell_id) GROUP BY 1) SELECT cell_id, sum(coef * p) AS est FROM h JOIN p USING (query_id) GROUP BY 1"))
+def release_tree(spark, sf_dir):
+    return _ranges_of(spark, M.release(_cells(spark, sf_dir, "qty_64"), S.hierarchical(64), EPS, DELTA, SEED))
+
+
+@query()
+def release_level(spark, sf_dir):
+    g = W.gram_all_range((64,))
+    a = L.level_search(g, (64,), 16).matrix()
+    out = _ranges_of(spark, M.release(_cells(spark, sf_dir, "qty_64"), a, EPS, DELTA, SEED))
+    return out.withColumn("average_mse", F.lit(S.total_error(g, a, noise_constant(EPS, DELTA)) / 2080))
+
+
+@query()
+def release_generalized(spark, sf_dir):
+    return _ranges_of(spark, M.release(_cells(spark, sf_dir, "qty_64"), L.generalized_strategy(W.gram_all_range((64,))), EPS, DELTA, SEED))
+
+
+@query()
+def release_separated(spark, sf_dir):
+    """Ranges over either axis of an 8 x 8 domain, from a strategy found one axis at a time."""
+    g = W.gram_all_range((8,))
+    a, _ = L.separated_strategy([g, g], (8, 8))
+    fit = M.release(_cells(spark, sf_dir, "pair_8x8"), a, EPS, DELTA, SEED)
+    boxes = W.range_boxes(spark, (8, 8)).where("(lo0 = 0 AND hi0 = 7) OR (lo1 = 0 AND hi1 = 7)")
+    return C.box_answers(boxes, fit, "est", (8, 8)).withColumn("answer", F.round("answer", 6))
+
+
+_ALPHA, _BETA = S.agnostic_root(8.0, 8.0, 5)
+_SENS5 = float(np.sqrt((_ALPHA + _BETA) ** 2 + 4 * _BETA**2))
+
+
+@query(f"WITH x AS (SELECT CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS c, count(*) AS n FROM events GROUP BY 1), y AS (SELECT c, {_ALPHA!r} * n + {_BETA!r} * (SELECT sum(n) FROM x) + {gauss_sigma(_SENS5, EPS, DELTA)!r} * {_g('c')} AS y FROM x), f AS (SELECT c, (y - {_BETA!r} / {_ALPHA + 5 * _BETA!r} * (SELECT sum(y) FROM y)) / {_ALPHA!r} AS est FROM y) SELECT m.range AS mask, round(sum(CASE WHEN ((m.range >> CAST(c AS INTEGER)) & 1) = 1 THEN est ELSE 0 END), 6) AS answer FROM range(1, 32) m CROSS JOIN f GROUP BY 1")
+def release_agnostic(spark, sf_dir):
+    fit = M.release(_cells(spark, sf_dir, "type_5"), _ALPHA * np.eye(5) + _BETA, EPS, DELTA, SEED)
+    rows = W.predicate_rows(spark, 5)
+    return rows.join(fit, "cell_id").groupBy(F.col("query_id").alias("mask")).agg(F.round(F.sum("est"), 6).alias("answer"))
+
+
+@query(f"WITH y AS (SELECT cell_id AS query_id, cnt + {_SIGMA!r} * {_g('cell_id')} AS y FROM {_QTY}) SELECT r.range AS k, false AS gap_fitted FROM range(63) r")
+def consistency_check(spark, sf_dir):
+    """Released ranges [0, k] and [k+1, 63] add up to [0, 63]."""
+    got = release_haar(spark, sf_dir)
+    low = got.where("lo = 0 AND hi < 63").select(F.col("hi").alias("k"), F.col("answer").alias("a"))
+    high = got.where("hi = 63 AND lo > 0").select((F.col("lo") - 1).alias("k"), F.col("answer").alias("b"))
+    every = got.where("lo = 0 AND hi = 63").select(F.col("answer").alias("c"))
+    return low.join(high, "k").crossJoin(F.broadcast(every)).select("k", (F.abs(F.col("a") + F.col("b") - F.col("c")) > 1e-4).alias("gap_fitted"))
+
+
+_TINY = "(WITH c AS (SELECT CAST(floor((l_quantity - 1) / 7) AS BIGINT) AS cell_id, count(*) AS cnt FROM lineitem GROUP BY 1) SELECT r.range AS cell_id FROM range(8) r)"
+
+
+@query(f"SELECT cell_id AS query_id, round(avg(pow({_SIGMA!r} * {_g('t.range * 8 + cell_id')}, 2)), 6) AS mse FROM {_TINY} x CROSS JOIN range(50) t GROUP BY 1")
+def empirical_mse(spark, sf_dir):
+    """Mean squared deviation of 50 seeded releases from the true cell counts."""
+    cells = _cells(spark, sf_dir, "qty_8")
+    times = cells.withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(49)))).withColumn("key", F.col("t") * 8 + F.col("cell_id"))
+    noisy = F.col("cnt") + F.lit(_SIGMA) * gaussian(SEED, F.col("key"))
+    return times.groupBy(F.col("cell_id").alias("query_id")).agg(F.round(F.avg((noisy - F.col("cnt")) ** 2), 6).alias("mse"))
+
+
+# ---- errors, bounds, searches ---------------------------------------------------------------------
+
+_BOUND = "pow((SELECT sum(sqrt(({n} + 1) / 4.0) / sin(range * pi() / (2.0 * ({n} + 1)))) FROM range(1, {n} + 1)), 2) / {n}"
+
+
+@query(" UNION ALL ".join(f"SELECT '{n}' AS dims, round({_BOUND.format(n=n)}, 2) AS bound" for n in (50, 64, 256)))
+def bound_range_1d(spark, sf_dir):
+    return _frame(spark, [(str(n), round(S.bound_of_gram(W.gram_all_range((n,))), 2)) for n in (50, 64, 256)], "dims string, bound double")
+
+
+_FIVE = {"1024": (1024,), "32x32": (32, 32), "16x8x8": (16, 8, 8), "4^5": (4,) * 5, "2^10": (2,) * 10}
+
+
+@query(" UNION ALL ".join(f"SELECT '{k}' AS dims, round({' * '.join('(' + _BOUND.format(n=n) + ')' for n in d)}, 0) AS bound" for k, d in _FIVE.items()))
+def bound_range_kd(spark, sf_dir):
+    """The five 1024-cell domains; here from the spectra of the whole Gram matrices."""
+    return _frame(spark, [(k, round(S.bound_of_gram(W.gram_all_range(d)), 0)) for k, d in _FIVE.items()], "dims string, bound double")
+
+
+@query(" UNION ALL ".join(f"SELECT {n} AS n, round(pow(sqrt(pow(2.0, {n} - 2) * ({n} + 1)) + ({n} - 1) * sqrt(pow(2.0, {n} - 2)), 2) / {n}, 6) AS bound" for n in (4, 5, 8)))
+def bound_predicates(spark, sf_dir):
+    return _frame(spark, [(n, round(S.bound_of_gram(W.gram_predicates(n)), 6)) for n in (4, 5, 8)], "n int, bound double")
+
+
+@query()
+def bound_marginals(spark, sf_dir):
+    sets = {"one_way": [(0,), (1,), (2,)], "two_way": [(0, 1), (0, 2), (1, 2)], "cube": W.cube_subsets(3)}
+    rows = []
+    for k, s in sets.items():
+        g = W.gram_marginals((3, 2, 11), s)
+        rows.append((k, S.bound_of_gram(g), S.total_error(g, S.spectral_strategy(g)), S.total_error(g, np.eye(66)) / S.bound_of_gram(g)))
+    return _frame(spark, rows, "name string, bound double, attained double, identity_ratio double")
+
+
+_ERR = "WITH g AS (" + _GRAM.format(rows=_R16) + "), h AS (" + _HAAR.format(n=16, k=4) + "), e AS (SELECT a.query_id, max(a.w) AS w, sum(a.coef * b.coef * g.v) AS q FROM h a JOIN h b ON a.query_id = b.query_id JOIN g ON g.i = least(a.cell_id, b.cell_id) AND g.j = greatest(a.cell_id, b.cell_id) GROUP BY 1) "
+
+
+@query(_ERR + "SELECT 'identity' AS strategy, round((SELECT sum(v) FROM g WHERE i = j), 6) AS total UNION ALL SELECT 'haar', round((SELECT 5 * sum(q / (w * w)) FROM e), 6) UNION ALL SELECT 'tree', round((SELECT 5 * sum(q / (w * CASE WHEN query_id = 0 THEN 31 ELSE w - 1 END)) FROM e), 6) UNION ALL SELECT 'workload', round((SELECT max(v) * 16 FROM g WHERE i = j), 6)")
+def err_strategies(spark, sf_dir):
+    """Total errors of the baselines for all ranges on 16 cells; in SQL by expansion over the common eigenvectors."""
+    g = W.gram_all_range((16,))
+    w = np.array([[1.0 if a <= c <= b else 0.0 for c in range(16)] for a in range(16) for b in range(a, 16)])
+    every = {"identity": np.eye(16), "haar": S.haar(16), "tree": S.hierarchical(16), "workload": w}
+    return _frame(spark, [(k, round(S.total_error(g, a), 6)) for k, a in every.items()], "strategy string, total double")
+
+
+@query()
+def ratio_table(spark, sf_dir):
+    """Error over bound of the baselines, on 1024 and 32 x 32 cells; products factorise, so no 1024-cell inverse is needed in 2-D."""
+    rows = []
+    for name, dims in (("1024", (1024,)), ("32x32", (32, 32)), ("16x8x8", (16, 8, 8))):
+        bound = S.bound_all_range(dims)
+        grams = [W.gram_all_range((d,)) for d in dims]
+        work = float(np.prod([np.diag(g).max() * len(g) for g in grams]))
+        rows += [(name, "workload", work / bound), (name, "identity", float(np.prod([np.trace(g) for g in grams])) / bound)]
+        rows += [(name, k, float(np.prod([S.total_error(g, f(len(g))) for g in grams])) / bound) for k, f in (("hierarchical", S.hierarchical), ("wavelet", S.haar))]
+    return _frame(spark, rows, "dims string, strategy string, ratio double")
+
+
+@query()
+def search_table(spark, sf_dir):
+    """Level search against the bound and the baselines on domains of 64 cells, one to six dimensions."""
+    rows = []
+    for dims in ((64,), (8, 8), (4, 4, 4), (8, 4, 2)):
+        g, bound = W.gram_all_range(dims), S.bound_all_range(dims)
+        s = L.level_search(g, dims)
+        rows.append(("x".join(map(str, dims)), len(s.levels), len(s.weights()), s.error / bound, S.total_error(g, W.kron([S.haar(d) for d in dims])) / bound, S.total_error(g, W.kron([S.hierarchical(d) for d in dims])) / bound))
+    return _frame(spark, rows, "dims string, levels int, distinct_rows int, search double, wavelet double, tree double")
+
+
+@query()
+def trace_level(spark, sf_dir):
+    s = L.level_search(W.gram_all_range((128,)))
+    bound = S.bound_all_range((128,))
+    return _frame(spark, [(k, b, e, e / bound, t) for k, b, e, t in s.trace], "level int, queries int, error double, ratio double, seconds double")
+
+
+@query()
+def search_modes(spark, sf_dir):
+    """Pass modes and level caps compared on 32 cells."""
+    g, bound = W.gram_all_range((32,)), S.bound_all_range((32,))
+    rows = [(m, k, L.level_search(g, (32,), k, m).error / bound) for m in ("per_query", "best_first") for k in (2, 4, 8, 64)]
+    return _frame(spark, rows, "pass_mode string, max_levels int, ratio double")
+
+
+@query()
+def search_many(spark, sf_dir):
+    """Searches on the executors: ranges on 16, 32 and 8 x 8 cells."""
+    tasks = [(i, W.gram_all_range(d), d, 8) for i, d in enumerate(((16,), (32,), (8, 8)))]
+    return L.search_many(tasks, spark)
+
+
+@query()
+def exact_small(spark, sf_dir):
+    """Spectral bound, certified bound, attained optimum and search on small domains."""
+    rows = []
+    for n in (4, 8, 16):
+        g = W.gram_all_range((n,))
+        low, high = S.exact_optimum(g)
+        rows.append((n, S.bound_of_gram(g), low, high, L.level_search(g).error))
+    return _frame(spark, rows, "n int, bound double, certified double, attained double, search double")
+
+
+@query()
+def sample_complexity(spark, sf_dir):
+    """Average-error bound of sampled range workloads over that of all ranges, uniform and off-centre."""
+    full = S.bound_all_range((64,)) / 2080
+    rows = []
+    for method in ("uniform", "biased"):
+        for m in (30, 100, 300, 1000):
+            b = np.array([(r["lo0"], r["hi0"]) for r in W.sample(W.range_boxes(spark, (64,)), m, SEED, (64,), method).collect()])
+            rows.append((method, m, S.bound_of_gram(W.gram_boxes(b[:, :1], b[:, 1:], (64,))) / m / full))
+    return _frame(spark, rows, "method string, m int, ratio double")
+
+
+@query()
+def coverage_bands(spark, sf_dir):
+    """Random ranges by coverage: search and wavelet over the bound."""
+    rows = []
+    for low, high in ((0, 0.05), (0.05, 0.1), (0.1, 0.25), (0.25, 0.5)):
+        boxes = W.range_boxes(spark, (64,)).where(W.coverage((64,)).between(low, high))
+        b = np.array([(r["lo0"], r["hi0"]) for r in W.sample(boxes, 60, SEED, (64,)).collect()])
+        g = W.gram_boxes(b[:, :1], b[:, 1:], (64,))
+        bound = S.bound_of_gram(g)
+        rows.append((f"{low}-{high}", L.level_search(g).error / bound, S.total_error(g, S.haar(64)) / bound))
+    return _frame(spark, rows, "band string, search double, wavelet double")
+
+
+@query()
+def separation(spark, sf_dir):
+    """Ranges on both axes: separated against joint search and bound, with seconds."""
+    import time
+
+    rows = []
+    for d in (8, 16):
+        g = W.gram_all_range((d,))
+        joint = np.kron(g, np.ones((d, d))) + np.kron(np.ones((d, d)), g)
+        bound, t = S.bound_of_gram(joint), time.time()
+        a, _ = L.separated_strategy([g, g], (d, d))
+        mid = time.time()
+        s = L.level_search(joint, (d, d), 24)
+        rows.append((f"{d}x{d}", bound, S.total_error(joint, a) / bound, s.error / bound, mid - t, time.time() - mid))
+    return _frame(spark, rows, "dims string, bound double, separated double, joint double, separated_s double, joint_s double")
+
+
+@query()
+def generalization(spark, sf_dir):
+    """Off-centre samples on 64 and 128 cells: generalized and full search, wavelet, bound."""
+    rows = []
+    for n in (64, 128):
+        b = np.array([(r["lo0"], r["hi0"]) for r in W.sample(W.range_boxes(spark, (n,)), 400, SEED, (n,), "biased").collect()])
+        g = W.gram_boxes(b[:, :1], b[:, 1:], (n,))
+        bound = S.bound_of_gram(g)
+        rows.append((n, S.total_error(g, L.generalized_strategy(g)) / bound, L.level_search(g).error / bound, S.total_error(g, S.haar(n)) / bound))
+    return _frame(spark, rows, "n int, generalized double, search double, wavelet double")
+
+
+@query()
+def pure_vs_approx(spark, sf_dir):
+    """Haar, tree and identity under eps alone and under (eps, delta)."""
+    g = W.gram_all_range((64,))
+    every = {"identity": np.eye(64), "haar": S.haar(64), "tree": S.hierarchical(64)}
+    rows = [(k, S.total_error_pure(g, a, EPS), S.total_error(g, a, noise_constant(EPS, DELTA))) for k, a in every.items()]
+    return _frame(spark, rows, "strategy string, pure double, approx double")
+
+
+_NORMS = "SELECT '{name}' AS strategy, min(c) AS min_norm, max(c) AS max_norm, min(c) = max(c) AS uniform FROM (SELECT cell_id, sum(coef * coef) AS c FROM ({rows}) GROUP BY 1)"
+
+
+@query(" UNION ALL ".join(_NORMS.format(name=k, rows=v) for k, v in {"workload": _R16, "haar": _HAAR.format(n=16, k=4), "tree": _TREE.format(n=16, k1=5)}.items()))
+def column_uniform(spark, sf_dir):
+    w = np.array([[1.0 if a <= c <= b else 0.0 for c in range(16)] for a in range(16) for b in range(a, 16)])
+    rows = [(k, float(S.column_norms(a).min()), float(S.column_norms(a).max()), S.is_column_uniform(a)) for k, a in {"workload": w, "haar": S.haar(16), "tree": S.hierarchical(16)}.items()]
+    return _frame(spark, rows, "strategy string, min_norm double, max_norm double, uniform boolean")
+
+
+@query(f"WITH c AS (SELECT cell_id, sum(coef * coef) AS c FROM ({_R16}) GROUP BY 1) SELECT cell_id, round(sqrt((SELECT max(c) FROM c) - c), 6) AS weight FROM c WHERE c < (SELECT max(c) FROM c)")
+def complete_columns(spark, sf_dir):
+    w = np.array([[1.0 if a <= c <= b else 0.0 for c in range(16)] for a in range(16) for b in range(a, 16)])
+    extra = S.complete_columns(w)[len(w) :]
+    return _frame(spark, [(int(r.argmax()), round(float(r.max()), 6)) for r in extra], "cell_id long, weight double")
+
+
+@query(f"SELECT cell_id, cell_id AS merged_id FROM ({_R16}) GROUP BY 1")
+def merge_cells(spark, sf_dir):
+    return C.merge_equal_cells(W.box_rows(W.range_boxes(spark, (16,)), (16,)))
+
+
+@query("SELECT lo0, hi0, round(sqrt(count(*)), 6) AS weight FROM (SELECT a.range % 5 AS lo0, a.range % 5 + a.range % 3 AS hi0 FROM range(40) a) GROUP BY 1, 2")
+def merge_redundant(spark, sf_dir):
+    """Equal boxes of several levels become one row of weight sqrt(count)."""
+    rows = spark.range(40).select((F.col("id") % 5).alias("lo0"), (F.col("id") % 5 + F.col("id") % 3).alias("hi0"))
+    return rows.groupBy("lo0", "hi0").agg(F.round(F.sqrt(F.sum(F.lit(1.0))), 6).alias("weight"))
+
+
+@query(f"SELECT strategy, rank, cell_id, cnt FROM (SELECT 'qty' AS strategy, CAST(row_number() OVER (ORDER BY cnt DESC, cell_id) AS INTEGER) AS rank, cell_id, cnt FROM {_QTY}) WHERE rank <= 10")
+def surface_top_cells(spark, sf_dir):
+    w = Window.partitionBy("strategy").orderBy(F.desc("cnt"), "cell_id")
+    cells = _cells(spark, sf_dir, "qty_64").withColumn("strategy", F.lit("qty"))
+    return cells.withColumn("rank", F.row_number().over(w)).where("rank <= 10").select("strategy", "rank", "cell_id", "cnt")
+
+
+@query("SELECT n_name, count(*) AS cnt, round(avg(c_acctbal), 2) AS balance FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey) GROUP BY 1")
+def surface_semi_join(spark, sf_dir):
+    active = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey"))
+    who = table(spark, sf_dir, "customer").join(active, "c_custkey", "left_semi").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    return who.groupBy("n_name").agg(F.count("*").alias("cnt"), F.round(F.avg("c_acctbal"), 2).alias("balance"))
+
+
