@@ -5,33 +5,42 @@
 2.  Signatures: at every word start the next ``ANCHOR`` characters form a shingle; each of
     ``ROWS * BANDS`` hash functions keeps its minimum over the line's shingles, by a partial
     aggregation that never gathers the shingles of a line.
-3.  Banding: two lines are candidates if they agree on all rows of some band (recall 0.997 at
+3.  Banding: two lines are candidates if they agree on all rows of some band (recall 0.998 at
     similarity 0.8).  A band's list of up to ``SMALL`` lines gives all its pairs; a longer one
     ties each member to four members drawn by hash, so candidates grow with the lines, not
     with the square of a list.
-4.  Candidates are verified by the exact Jaccard similarity of their character 5-grams.
+4.  Candidates are verified by the exact Jaccard similarity of their shingle sets; pairs whose
+    set sizes alone rule it out go before their texts are fetched.
 5.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
+
+The texts are read twice: for the signatures, and for the lines' places together with the texts of
+candidate lines.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted;
+beyond that the same join is shuffled.
 """
 
 from __future__ import annotations
 
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, components
 
 ANCHOR = 9
-GRAM = 5
-ROWS = 3
-BANDS = 8
+ROWS = 2
+BANDS = 6
 SMALL = 8
 SIMILARITY = 0.8
+MOST_BROADCAST = 500_000
 
 
 def normal(line: Column) -> Column:
-    return F.lower(F.trim(F.regexp_replace(line, r"[\s ]+", " ")))
+    return F.lower(F.trim(line))
+
+
+def _looked_up(keys: DataFrame) -> DataFrame:
+    """The keys, marked for broadcast if they are few enough."""
+    return F.broadcast(keys) if keys.count() <= MOST_BROADCAST else keys
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
@@ -41,44 +50,52 @@ def lines_of(docs: DataFrame) -> DataFrame:
     return out.withColumn("h", F.xxhash64("line"))
 
 
-def grams(line: Column) -> Column:
-    """The set of character 5-grams of a normal line; a shorter line is its own gram."""
-    cut = F.regexp_extract_all(line, F.lit(f"(?s)(?=(.{{{GRAM}}}))"), F.lit(1))
-    return F.array_distinct(F.when(F.length(line) < GRAM, F.array(line)).otherwise(cut))
+def shingles(line: Column) -> Column:
+    """The ``ANCHOR`` characters (fewer at the end) at every word start; longer words give one more every ``ANCHOR`` characters.
+
+    Every character that is not white space is in some shingle.
+    """
+    return F.regexp_extract_all(line, F.lit(f"(?s)(?=(.{{1,{ANCHOR}}}))\\S{{1,{ANCHOR}}}\\s*"), F.lit(1))
 
 
 def bands(lines: DataFrame) -> DataFrame:
     """(h, bands) of every distinct line."""
-    anchored = F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{1,{ANCHOR}}}))\\S+\\s*"), F.lit(1))
-    shingles = lines.select("h", F.explode(anchored).alias("s")).select("h", F.xxhash64("s").alias("x"))
+    cut = lines.select("h", F.explode(shingles(F.col("line"))).alias("s")).select("h", F.xxhash64("s").alias("x"))
     least = [F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)]
-    signed = shingles.groupBy("h").agg(*least)
+    signed = cut.groupBy("h").agg(*least)
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * ROWS + r}") for r in range(ROWS)]) for b in range(BANDS)]
     return signed.select("h", F.array(*keys).alias("bands"))
 
 
-def candidates(banded: DataFrame, small: int = SMALL) -> DataFrame:
+def candidates(scratch: Scratch, banded: DataFrame, small: int = SMALL) -> DataFrame:
     """Distinct candidate pairs (a, b), a < b."""
     posted = banded.select(F.explode("bands").alias("band"), "h")
-    drawn = [F.min_by("h", F.xxhash64("h", F.lit(k))).alias(f"r{k}") for k in range(4)]
-    lists = posted.groupBy("band").agg(F.count("*").alias("n"), *drawn).where("n > 1")
-    members = posted.join(lists, "band")
+    lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b"))
+    lists = scratch.keep(lists.where("n > 1"))
+    longer = lists.where("n > 2").select("band", "n")
+    members = scratch.keep(posted.join(_looked_up(longer), "band"))
     short = members.where(F.col("n") <= small).select("band", "h")
     pairs = short.alias("x").join(short.alias("y"), "band").where("x.h < y.h").select(F.col("x.h").alias("a"), F.col("y.h").alias("b"))
-    tied = members.where(F.col("n") > small).select("h", F.explode(F.array("r0", "r1", "r2", "r3")).alias("r")).where("h <> r")
+    long = members.where(F.col("n") > small).select("band", "h")
+    drawn = long.groupBy("band").agg(*[F.min_by("h", F.xxhash64("h", F.lit(k))).alias(f"r{k}") for k in range(4)])
+    tied = long.join(drawn, "band").select("h", F.explode(F.array("r0", "r1", "r2", "r3")).alias("r")).where("h <> r")
     tied = tied.select(F.least("h", "r").alias("a"), F.greatest("h", "r").alias("b"))
-    return pairs.unionByName(tied).distinct()
+    out = scratch.keep(lists.where("n = 2").select("a", "b").unionByName(pairs).unionByName(tied).distinct())
+    scratch.drop(lists, members)
+    return out
+
+
+def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+    """The candidate pairs whose shingle sets have the Jaccard similarity; texts is (h, line, d), d the set's size."""
 
+    def side(name: str, *columns: str) -> DataFrame:
+        return texts.select(F.col("h").alias(name), *[F.col(c).alias(name + c) for c in columns])
 
-def verified(pairs: DataFrame, lines: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The candidate pairs whose 5-gram sets have the Jaccard similarity."""
-    used = pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()
-    texts = lines.select("h", "line").join(used, "h", "left_semi").groupBy("h").agg(F.first("line").alias("line"))
-    left = texts.select(F.col("h").alias("a"), F.col("line").alias("la"))
-    right = texts.select(F.col("h").alias("b"), F.col("line").alias("lb"))
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", grams(F.col("la")).alias("ga"), grams(F.col("lb")).alias("gb"))
-    shared = F.size(F.array_intersect("ga", "gb"))
-    return both.where(shared >= similarity * (F.size("ga") + F.size("gb") - shared)).select("a", "b")
+    sized = pairs.join(side("a", "d"), "a").join(side("b", "d"), "b")
+    near = sized.where(F.least("ad", "bd") >= similarity * F.greatest("ad", "bd")).select("a", "b", (F.col("ad") + F.col("bd")).alias("d"))
+    both = near.join(side("a", "line"), "a").join(side("b", "line"), "b")
+    shared = F.size(F.array_intersect(shingles(F.col("aline")), shingles(F.col("bline"))))
+    return both.withColumn("s", shared).where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
 
 
 def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None) -> DataFrame:
@@ -91,11 +108,14 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     """
     scratch = scratch or Scratch(docs.sparkSession, "lines")
     lines = lines_of(docs)
-    places = scratch.keep(lines.select("doc_id", "pos", "h"))
     banded = scratch.keep(bands(lines))
-    pairs = scratch.keep(candidates(banded))
+    pairs = candidates(scratch, banded)
     scratch.drop(banded)
-    roots = components(scratch, verified(pairs, lines, similarity)).select(F.col("node").alias("h"), "root")
+    used = _looked_up(scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct().withColumn("used", F.lit(True))))
+    found = lines.join(used, "h", "left").select("doc_id", "pos", "h", F.when(F.col("used"), F.col("line")).alias("line"))
+    places = scratch.keep(found)
+    texts = scratch.keep(places.where("line IS NOT NULL").groupBy("h").agg(F.first("line").alias("line")).withColumn("d", F.size(F.array_distinct(shingles(F.col("line"))))))
+    roots = components(scratch, verified(pairs, texts, similarity)).select(F.col("node").alias("h"), "root")
     placed = places.join(roots, "h", "left").select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root"))
     first = placed.groupBy("root").agg(F.min(F.struct("doc_id", "pos")).alias("first"))
     return placed.join(first, "root").select("doc_id", "pos", "h", F.struct("doc_id", "pos").eqNullSafe(F.col("first")).alias("kept"))
