@@ -1,0 +1,151 @@
+"""Golden numbers, theorem properties and query-against-SQL checks of the engine."""
+
+import duckdb
+import numpy as np
+import pytest
+
+import __spark_entry__
+from privbatch import queries as core
+from privbatch.functions.noise import gauss_sigma, laplace_scale, noise_constant
+from privbatch.operators import mechanism as M
+from privbatch.plans import level_search as L
+from privbatch.plans import strategy as S
+from privbatch.plans import workload as W
+
+SF = "/root/testdata/sf0.001"
+TABLES = "customer documents events lineitem nation orders part region supplier".split()
+
+
+@pytest.mark.parametrize(
+    ("dims", "bound", "identity", "tree", "haar"),
+    [((4,), 16.312243, 20, 20.857143, 18), ((8,), 79.172339, 120, 117.333333, 93.5), ((16,), 404.482931, 816, 657.609831, 514.0625), ((4, 4), 266.089266, 400, 435.020408, 324), ((2, 2, 2), 51.980762, 64, 64, 64)],
+)
+def test_golden(dims, bound, identity, tree, haar):
+    g = W.gram_all_range(dims)
+    assert S.bound_of_gram(g) == pytest.approx(bound, rel=1e-6) == pytest.approx(S.bound_all_range(dims), rel=1e-6)
+    assert S.total_error(g, np.eye(len(g))) == pytest.approx(identity, rel=1e-6)
+    assert S.total_error(g, W.kron([S.hierarchical(d) for d in dims])) == pytest.approx(tree, rel=1e-6)
+    assert S.total_error(g, W.kron([S.haar(d) for d in dims])) == pytest.approx(haar, rel=1e-6)
+
+
+def test_large_bounds():
+    assert S.bound_all_range((1024,)) == pytest.approx(6400693.767974, rel=1e-9)
+    assert S.bound_all_range((2,) * 10) == pytest.approx(524174.00, rel=1e-6)
+    assert noise_constant(0.5, 1e-4) == pytest.approx(79.2279, rel=1e-6)
+
+
+def test_tight_workloads():
+    g = W.gram_predicates(8)
+    a, b = S.agnostic_root(64, 64, 8)
+    assert S.bound_of_gram(g) == pytest.approx(800)
+    assert S.total_error(g, a * np.eye(8) + b) == pytest.approx(800)
+
+
+def test_bound_grows_with_queries_and_merging():
+    rng = np.random.default_rng(3)
+    w = rng.normal(size=(6, 4))
+    more = np.concatenate([w, rng.normal(size=(2, 4))])
+    assert S.bound_of_rows(w) <= S.bound_of_rows(more) + 1e-9
+    assert S.bound_of_rows(w) == pytest.approx(S.bound_of_gram(w.T @ w))
+    rows = np.array([[1.0, 1, 0], [0, 0, 1]])
+    assert S.bound_merged(rows.T @ rows) == pytest.approx(2, abs=1e-6)
+
+
+def test_minimality_and_redundancy():
+    rng = np.random.default_rng(5)
+    a = rng.normal(size=(6, 4))
+    done = S.complete_columns(a)
+    assert S.is_column_uniform(done) and S.compare(done, a) in ("first", "equal")
+    twice = np.concatenate([a, 2 * a[:2]])
+    g = np.eye(4)
+    assert len(S.merge_redundant(twice)) == 6
+    assert S.total_error(g, S.merge_redundant(twice)) == pytest.approx(S.total_error(g, twice))
+
+
+@pytest.mark.parametrize("dims", [(16,), (4, 4), (4, 2, 2)])
+def test_search(dims):
+    g = W.gram_all_range(dims)
+    s = L.level_search(g, dims)
+    errors = [t[2] for t in s.trace]
+    assert errors == sorted(errors, reverse=True)
+    assert S.total_error(g, s.matrix()) == pytest.approx(s.error)
+    assert S.bound_all_range(dims) <= s.error <= S.total_error(g, np.eye(len(g)))
+    assert S.is_column_uniform(s.matrix())
+
+
+def test_best_cut_equals_recomputation():
+    g = W.gram_all_range((8,))
+    state = L._State(g, (8,), np.eye(8))
+    state.open(np.arange(8))
+    gain, _, at = state.cuts(((0, 8),))
+
+    def error(c):
+        q = np.zeros((2, 8))
+        q[0, :c], q[1, c:] = 1, 1
+        return np.trace(g @ np.linalg.inv(np.eye(8) + q.T @ q))
+
+    assert min(range(1, 8), key=error) == at
+    assert state.t - gain == pytest.approx(error(at))
+
+
+def test_separation_and_generalization():
+    g = W.gram_all_range((8,))
+    joint = np.kron(g, np.ones((8, 8))) + np.kron(np.ones((8, 8)), g)
+    a, _ = L.separated_strategy([g, g], (8, 8))
+    assert S.total_error(joint, a) <= 1.02 * L.level_search(joint, (8, 8)).error
+    big = W.gram_all_range((32,))
+    assert S.total_error(big, L.generalized_strategy(big)) <= 1.5 * L.level_search(big).error
+    one, two = np.kron(np.eye(8), np.ones((1, 8))), np.kron(np.ones((1, 8)), np.eye(8))
+    assert L.is_separating(np.ones(64), [one, two])
+
+
+def test_rejects():
+    for bad in (lambda: noise_constant(0, 0.1), lambda: noise_constant(1, 0), lambda: laplace_scale(1, -1), lambda: gauss_sigma(1, 1, 2)):
+        with pytest.raises(ValueError):
+            bad()
+
+
+def test_cg_equals_dense(spark, tmp_path):
+    from privbatch.operators.cells import dense_counts
+    from privbatch.sources.tables import domain, table
+
+    a = S.hierarchical(8)
+    cells = dense_counts(table(spark, SF, "lineitem"), domain("qty_8"))
+    rows = M.rows_frame(spark, a)
+    y = M.gaussian_answers(rows, cells, S.l2(a), 0.5, 1e-4, 7)
+    n = iter(range(1000))
+
+    def cut(df):
+        p = str(tmp_path / str(next(n)))
+        df.write.parquet(p)
+        return spark.read.parquet(p)
+
+    one = {r[0]: r[1] for r in M.fit_dense(y, a).collect()}
+    two = {r[0]: r[1] for r in M.fit_cg(rows, y, cut).collect()}
+    assert all(one[c] == pytest.approx(two[c], abs=1e-4) for c in one)
+
+
+@pytest.mark.parametrize("name", sorted(core.ORACLES))
+def test_query_equals_sql(spark, name):
+    con = duckdb.connect()
+    for t in TABLES:
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    df = core.QUERIES[name](spark, SF)
+    cols = sorted(df.columns)
+    got = sorted((tuple(r[c] for c in cols) for r in df.collect()), key=str)
+    done = con.execute(core.ORACLES[name])
+    at = [[d[0] for d in done.description].index(c) for c in cols]
+    assert got == sorted((tuple(r[i] for i in at) for r in done.fetchall()), key=str)
+
+
+def test_plan_has_one_exchange_over_the_facts(spark):
+    from privbatch.operators.cells import cell_counts
+    from privbatch.sources.tables import domain, table
+
+    plan = cell_counts(table(spark, SF, "lineitem"), domain("qty_64"))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1 and "Python" not in plan and "NestedLoop" not in plan
+    assert "ReadSchema: struct<l_quantity:double>" in plan
+
+
+def test_entry(spark):
+    assert __spark_entry__.entry(spark).count() == 2080
