@@ -521,10 +521,10 @@ def surface_top_cells(spark, sf_dir):
     return cells.withColumn("rank", F.row_number().over(w)).where("rank <= 10").select("strategy", "rank", "cell_id", "cnt")
 
 
-@query("SELECT n_name, count(*) AS cnt, round(avg(c_acctbal), 2) AS balance FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey) GROUP BY 1")
+@query("SELECT n_name, count(*) AS cnt, CAST(sum(CAST(round(c_acctbal * 100) AS BIGINT)) AS BIGINT) AS cents FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey) GROUP BY 1")
 def surface_semi_join(spark, sf_dir):
     active = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey"))
     who = table(spark, sf_dir, "customer").join(active, "c_custkey", "left_semi").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
-    return who.groupBy("n_name").agg(F.count("*").alias("cnt"), F.round(F.avg("c_acctbal"), 2).alias("balance"))
+    return who.groupBy("n_name").agg(F.count("*").alias("cnt"), F.sum(F.round(F.col("c_acctbal") * 100).cast("long")).alias("cents"))
 
 
