@@ -2,21 +2,23 @@
 
 1.  Lines (split at line feeds, trimmed, lower-cased; blank ones take no part) are named by a
     64-bit hash, so exact repeats fall together before anything else.
-2.  Signatures: at every word start the next ``ANCHOR`` characters form a shingle; each of
-    ``ROWS * BANDS`` hash functions keeps its minimum over the line's shingles, by a partial
-    aggregation that never gathers the shingles of a line.
+2.  Signatures: the characters from every word start to the third character of the next word
+    form a shingle (lines almost without spaces give every run of ``RUN`` characters instead);
+    each of ``ROWS * BANDS`` hash functions keeps its minimum over the line's shingles, by a
+    partial aggregation that never gathers the shingles of a line.
 3.  Banding: two lines are candidates if they agree on all rows of some band (recall 0.998 at
-    similarity 0.8).  A band's list of up to ``SMALL`` lines gives all its pairs; a longer one
-    ties each member to four members drawn by hash, so candidates grow with the lines, not
-    with the square of a list.
-4.  Candidates are verified by the exact Jaccard similarity of their shingle sets; pairs whose
-    set sizes alone rule it out go before their texts are fetched.
-5.  Connected components of the verified links are found by star contractions, and of every
+    similarity 0.8) and on ``AGREE`` of all hash functions (0.999).
+4.  A band's list of up to ``SMALL`` lines gives all its pairs.  A longer one first ties each
+    member to four members drawn by hash; that joins a group of copies without pairing it off.
+    Lists in which more than one component is then left are cut by each of the other bands,
+    and there all pairs of lines of different components are candidates, whatever their number.
+5.  Candidates are verified by the exact Jaccard similarity of their shingle sets.
+6.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
 
-The texts are read twice: for the signatures, and for the lines' places together with the texts of
-candidate lines.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted;
-beyond that the same join is shuffled.
+The texts are read for the signatures, for the lines' places, and for the texts of candidate
+lines.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted; beyond
+that the same join is shuffled.
 """
 
 from __future__ import annotations
@@ -26,9 +28,11 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, components
 
-ANCHOR = 9
+RUN = 9
+SPACED = 20
 ROWS = 2
 BANDS = 6
+AGREE = 5
 SMALL = 8
 SIMILARITY = 0.8
 MOST_BROADCAST = 500_000
@@ -50,52 +54,106 @@ def lines_of(docs: DataFrame) -> DataFrame:
     return out.withColumn("h", F.xxhash64("line"))
 
 
-def shingles(line: Column) -> Column:
-    """The ``ANCHOR`` characters (fewer at the end) at every word start; longer words give one more every ``ANCHOR`` characters.
+def with_shingles(lines: DataFrame) -> DataFrame:
+    """Adds s, the hashes of the line's shingles, with repeats.
 
-    Every character that is not white space is in some shingle.
+    Every character is in some shingle.  A line of over ``SPACED`` characters a word is taken
+    as text without word spaces.
     """
-    return F.regexp_extract_all(line, F.lit(f"(?s)(?=(.{{1,{ANCHOR}}}))\\S{{1,{ANCHOR}}}\\s*"), F.lit(1))
+    # the words are a column of their own, for a function's argument is worked out at every use
+    cut = lines.withColumn("words", F.split("line", " "))
+    spaced = F.zip_with("words", F.slice("words", 2, F.size("words")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
+    runs = F.transform(F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{RUN}}}))"), F.lit(1)), lambda r: F.xxhash64(r))
+    return cut.withColumn("s", F.when(F.length("line") <= SPACED * F.size("words"), spaced).otherwise(runs)).drop("words")
 
 
-def bands(lines: DataFrame) -> DataFrame:
-    """(h, bands) of every distinct line."""
-    cut = lines.select("h", F.explode(shingles(F.col("line"))).alias("s")).select("h", F.xxhash64("s").alias("x"))
-    least = [F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)]
-    signed = cut.groupBy("h").agg(*least)
+def signatures(lines: DataFrame) -> DataFrame:
+    """(h, m0, m1, ...) of every distinct line."""
+    # no line is without shingles; explode() would add a filter that works out all of them once more
+    cut = with_shingles(lines).select("h", F.explode_outer("s").alias("x"))
+    return cut.groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)])
+
+
+def bands(signed: DataFrame) -> DataFrame:
+    """(band, i, h): the key of each line in each band, and the band's number."""
     keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * ROWS + r}") for r in range(ROWS)]) for b in range(BANDS)]
-    return signed.select("h", F.array(*keys).alias("bands"))
+    return signed.select(F.posexplode(F.array(*keys)).alias("i", "band"), "h")
+
+
+def _agreeing(pairs: DataFrame, signed: DataFrame) -> DataFrame:
+    """The distinct pairs (a, b) that agree on ``AGREE`` hash functions."""
+    every = range(ROWS * BANDS)
+    left = signed.select(F.col("h").alias("a"), *[F.col(f"m{k}").alias(f"a{k}") for k in every])
+    right = signed.select(F.col("h").alias("b"), *[F.col(f"m{k}").alias(f"b{k}") for k in every])
+    same = sum((F.when(F.col(f"a{k}") == F.col(f"b{k}"), 1).otherwise(0) for k in every), F.lit(0))
+    return pairs.distinct().join(left, "a").join(right, "b").where(same >= AGREE).select("a", "b")
 
 
-def candidates(scratch: Scratch, banded: DataFrame, small: int = SMALL) -> DataFrame:
-    """Distinct candidate pairs (a, b), a < b."""
-    posted = banded.select(F.explode("bands").alias("band"), "h")
+def _ordered(a: str, b: str) -> list[Column]:
+    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
+
+
+def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL) -> tuple[DataFrame, DataFrame | None]:
+    """Distinct candidate pairs (a, b), a < b, and the members (band, i, h) of longer lists, None if there are none."""
+    posted = bands(signed)
     lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b"))
     lists = scratch.keep(lists.where("n > 1"))
     longer = lists.where("n > 2").select("band", "n")
     members = scratch.keep(posted.join(_looked_up(longer), "band"))
     short = members.where(F.col("n") <= small).select("band", "h")
     pairs = short.alias("x").join(short.alias("y"), "band").where("x.h < y.h").select(F.col("x.h").alias("a"), F.col("y.h").alias("b"))
-    long = members.where(F.col("n") > small).select("band", "h")
+    long = members.where(F.col("n") > small).select("band", "i", "h")
     drawn = long.groupBy("band").agg(*[F.min_by("h", F.xxhash64("h", F.lit(k))).alias(f"r{k}") for k in range(4)])
     tied = long.join(drawn, "band").select("h", F.explode(F.array("r0", "r1", "r2", "r3")).alias("r")).where("h <> r")
-    tied = tied.select(F.least("h", "r").alias("a"), F.greatest("h", "r").alias("b"))
-    out = scratch.keep(lists.where("n = 2").select("a", "b").unionByName(pairs).unionByName(tied).distinct())
-    scratch.drop(lists, members)
-    return out
+    out = lists.where("n = 2").select("a", "b").unionByName(pairs).unionByName(tied.select(*_ordered("h", "r")))
+    out = scratch.keep(_agreeing(out, signed))
+    return out, None if long.isEmpty() else long
 
 
-def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The candidate pairs whose shingle sets have the Jaccard similarity; texts is (h, line, d), d the set's size."""
+def across(scratch: Scratch, long: DataFrame, signed: DataFrame, roots: DataFrame) -> DataFrame:
+    """Candidate pairs of lines of different components in longer lists, cut by the other bands."""
+    placed = long.join(_looked_up(roots), "h", "left").select("band", "i", "h", F.coalesce("root", "h").alias("root"))
+    placed = scratch.keep(placed)
+    open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
+    left = placed.join(open_lists, "band")
+    cut = left.join(bands(signed).select("h", F.col("band").alias("other"), F.col("i").alias("j")), "h").where("i <> j")
+    cut = cut.select(F.xxhash64(F.least("band", "other"), F.greatest("band", "other")).alias("key"), "h", "root").distinct()
+    some = cut.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
+    cut = scratch.keep(cut.join(some, "key"))
+    pairs = cut.alias("x").join(cut.alias("y"), "key").where("x.h < y.h AND x.root <> y.root")
+    return scratch.keep(_agreeing(pairs.select(F.col("x.h").alias("a"), F.col("y.h").alias("b")), signed))
 
-    def side(name: str, *columns: str) -> DataFrame:
-        return texts.select(F.col("h").alias(name), *[F.col(c).alias(name + c) for c in columns])
 
-    sized = pairs.join(side("a", "d"), "a").join(side("b", "d"), "b")
-    near = sized.where(F.least("ad", "bd") >= similarity * F.greatest("ad", "bd")).select("a", "b", (F.col("ad") + F.col("bd")).alias("d"))
-    both = near.join(side("a", "line"), "a").join(side("b", "line"), "b")
-    shared = F.size(F.array_intersect(shingles(F.col("aline")), shingles(F.col("bline"))))
-    return both.withColumn("s", shared).where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
+def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+    """The candidate pairs whose shingle sets have the Jaccard similarity; texts is (h, s), s the set."""
+    both = pairs.join(texts.select(F.col("h").alias("a"), F.col("s").alias("sa")), "a").join(texts.select(F.col("h").alias("b"), F.col("s").alias("sb")), "b")
+    both = both.where(F.least(F.size("sa"), F.size("sb")) >= similarity * F.greatest(F.size("sa"), F.size("sb")))
+    shared = F.size(F.array_intersect("sa", "sb"))
+    both = both.select("a", "b", (F.size("sa") + F.size("sb")).alias("d"), shared.alias("s"))
+    return both.where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
+
+
+def _sets(lines: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(h, s): the shingle sets of the lines in the pairs."""
+    used = _looked_up(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
+    texts = lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line"))
+    return with_shingles(texts).select("h", F.array_distinct("s").alias("s"))
+
+
+def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+    """(node, root) of every distinct line that is linked to another one."""
+    signed = scratch.keep(signatures(lines))
+    pairs, long = candidates(scratch, signed)
+    found = scratch.keep(verified(pairs, _sets(lines, pairs), similarity))
+    roots = components(scratch, found)
+    if long is None:
+        return roots
+    more = across(scratch, long, signed, roots.select(F.col("node").alias("h"), "root"))
+    if more.isEmpty():
+        return roots
+    extra = verified(more, _sets(lines, more), similarity)
+    tree = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
+    return components(scratch, tree.unionByName(extra))
 
 
 def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None) -> DataFrame:
@@ -108,15 +166,9 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     """
     scratch = scratch or Scratch(docs.sparkSession, "lines")
     lines = lines_of(docs)
-    banded = scratch.keep(bands(lines))
-    pairs = candidates(scratch, banded)
-    scratch.drop(banded)
-    used = _looked_up(scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct().withColumn("used", F.lit(True))))
-    found = lines.join(used, "h", "left").select("doc_id", "pos", "h", F.when(F.col("used"), F.col("line")).alias("line"))
-    places = scratch.keep(found)
-    texts = scratch.keep(places.where("line IS NOT NULL").groupBy("h").agg(F.first("line").alias("line")).withColumn("d", F.size(F.array_distinct(shingles(F.col("line"))))))
-    roots = components(scratch, verified(pairs, texts, similarity)).select(F.col("node").alias("h"), "root")
-    placed = places.join(roots, "h", "left").select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root"))
+    roots = links(scratch, lines, similarity).select(F.col("node").alias("h"), "root")
+    placed = lines.select("doc_id", "pos", "h").join(_looked_up(roots), "h", "left")
+    placed = scratch.keep(placed.select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root")))
     first = placed.groupBy("root").agg(F.min(F.struct("doc_id", "pos")).alias("first"))
     return placed.join(first, "root").select("doc_id", "pos", "h", F.struct("doc_id", "pos").eqNullSafe(F.col("first")).alias("kept"))
 
