@@ -50,7 +50,7 @@ def _looked_up(keys: DataFrame) -> DataFrame:
 def lines_of(docs: DataFrame) -> DataFrame:
     """(doc_id, pos, line, h) of every line that is not blank; h names its normal form."""
     out = docs.select("doc_id", F.posexplode(F.split(F.col("text").cast("string"), "\n", -1)).alias("pos", "line"))
-    out = out.select("doc_id", "pos", normal(F.col("line")).alias("line")).where("line <> ''")
+    out = out.where(F.trim("line") != "").select("doc_id", "pos", normal(F.col("line")).alias("line"))
     return out.withColumn("h", F.xxhash64("line"))
 
 
@@ -60,24 +60,41 @@ def with_shingles(lines: DataFrame) -> DataFrame:
     Every character is in some shingle.  A line of over ``SPACED`` characters a word is taken
     as text without word spaces.
     """
+    cut = _tokens(lines)
+    spaced = F.zip_with("tokens", F.slice("tokens", 2, F.size("tokens")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
+    runs = F.transform("tokens", lambda r: F.xxhash64(r))
+    return cut.withColumn("s", F.when(F.col("spaced"), spaced).otherwise(runs)).drop("tokens", "spaced")
+
+
+def _tokens(lines: DataFrame) -> DataFrame:
+    """Adds spaced and tokens: the words of a line with word spaces, the runs of any other."""
     # the words are a column of their own, for a function's argument is worked out at every use
-    cut = lines.withColumn("words", F.split("line", " "))
-    spaced = F.zip_with("words", F.slice("words", 2, F.size("words")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
-    runs = F.transform(F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{RUN}}}))"), F.lit(1)), lambda r: F.xxhash64(r))
-    return cut.withColumn("s", F.when(F.length("line") <= SPACED * F.size("words"), spaced).otherwise(runs)).drop("words")
+    cut = lines.withColumn("words", F.split("line", " ")).withColumn("spaced", F.length("line") <= SPACED * F.size("words"))
+    runs = F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{RUN}}}))"), F.lit(1))
+    return cut.withColumn("tokens", F.when(F.col("spaced"), F.col("words")).otherwise(runs)).drop("words")
+
+
+def shingle_rows(lines: DataFrame) -> DataFrame:
+    """(h, x): the shingles of ``with_shingles`` as rows; compiled as one span, which array functions would break."""
+    # no line is without tokens; posexplode() would add a filter that works out all of them once more
+    cut = _tokens(lines).select("h", "spaced", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
+    after = F.when(F.col("spaced"), F.substring(F.get("tokens", F.col("at") + 1), 1, 3))
+    return cut.select("h", F.xxhash64("token", after).alias("x"))
 
 
 def signatures(lines: DataFrame) -> DataFrame:
     """(h, m0, m1, ...) of every distinct line."""
-    # no line is without shingles; explode() would add a filter that works out all of them once more
-    cut = with_shingles(lines).select("h", F.explode_outer("s").alias("x"))
-    return cut.groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)])
+    return shingle_rows(lines).groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)])
+
+
+def band_keys() -> Column:
+    """The keys of a line in all bands, from its signature."""
+    return F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * ROWS + r}") for r in range(ROWS)]) for b in range(BANDS)])
 
 
 def bands(signed: DataFrame) -> DataFrame:
     """(band, i, h): the key of each line in each band, and the band's number."""
-    keys = [F.xxhash64(F.lit(b), *[F.col(f"m{b * ROWS + r}") for r in range(ROWS)]) for b in range(BANDS)]
-    return signed.select(F.posexplode(F.array(*keys)).alias("i", "band"), "h")
+    return signed.select(F.posexplode(band_keys()).alias("i", "band"), "h")
 
 
 def _agreeing(pairs: DataFrame, signed: DataFrame) -> DataFrame:
@@ -115,8 +132,9 @@ def across(scratch: Scratch, long: DataFrame, signed: DataFrame, roots: DataFram
     placed = long.join(_looked_up(roots), "h", "left").select("band", "i", "h", F.coalesce("root", "h").alias("root"))
     placed = scratch.keep(placed)
     open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
-    left = placed.join(open_lists, "band")
-    cut = left.join(bands(signed).select("h", F.col("band").alias("other"), F.col("i").alias("j")), "h").where("i <> j")
+    # the signatures of the lines in question, not the bands of all lines
+    left = placed.join(open_lists, "band").join(signed, "h")
+    cut = left.select("h", "root", "band", "i", F.posexplode(band_keys()).alias("j", "other")).where("i <> j")
     cut = cut.select(F.xxhash64(F.least("band", "other"), F.greatest("band", "other")).alias("key"), "h", "root").distinct()
     some = cut.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
     cut = scratch.keep(cut.join(some, "key"))
@@ -169,8 +187,11 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     roots = links(scratch, lines, similarity).select(F.col("node").alias("h"), "root")
     placed = lines.select("doc_id", "pos", "h").join(_looked_up(roots), "h", "left")
     placed = scratch.keep(placed.select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root")))
-    first = placed.groupBy("root").agg(F.min(F.struct("doc_id", "pos")).alias("first"))
-    return placed.join(first, "root").select("doc_id", "pos", "h", F.struct("doc_id", "pos").eqNullSafe(F.col("first")).alias("kept"))
+    # a line that is alone in its component stays, and needs no partner in the join
+    first = placed.groupBy("root").agg(F.min(F.struct("doc_id", "pos")).alias("first"), F.count("*").alias("n")).where("n > 1").select("root", "first")
+    judged = placed.join(_looked_up(scratch.keep(first)), "root", "left")
+    kept = F.col("first").isNull() | F.struct("doc_id", "pos").eqNullSafe(F.col("first"))
+    return judged.select("doc_id", "pos", "h", kept.alias("kept"))
 
 
 def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
@@ -195,7 +216,7 @@ def digest(docs: DataFrame) -> DataFrame:
     """(doc_id, n_lines, n_removed, removed): the numbers of the lines that go, rising."""
     scratch = Scratch(docs.sparkSession, "lines")
     seen = verdicts(docs, scratch=scratch).groupBy("doc_id").agg(
-        F.count_distinct("pos").alias("n_lines"),
+        F.size(F.collect_set("pos")).cast("long").alias("n_lines"),
         F.sort_array(F.collect_set(F.when(~F.col("kept"), F.col("pos")))).alias("removed"),
     )
     ids = docs.select(F.col("doc_id").alias("d")).distinct()
