@@ -10,8 +10,9 @@
     similarity 0.8) and on ``AGREE`` of all hash functions (0.999).
 4.  A band's list of up to ``SMALL`` lines gives all its pairs.  A longer one first ties each
     member to four members drawn by hash; that joins a group of copies without pairing it off.
-    Lists in which more than one component is then left are cut by each of the other bands,
-    and there all pairs of lines of different components are candidates, whatever their number.
+    Lists in which more than one component is then left are cut by each other;
+    of the lines that still meet lines of another component there, all those of different
+    components are candidates that share one of their rarest shingles, which no similar pair misses.
 5.  Candidates are verified by the exact Jaccard similarity of their shingle sets.
 6.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
@@ -127,19 +128,43 @@ def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL) -> tuple
     return out, None if long.isEmpty() else long
 
 
-def across(scratch: Scratch, long: DataFrame, signed: DataFrame, roots: DataFrame) -> DataFrame:
-    """Candidate pairs of lines of different components in longer lists, cut by the other bands."""
+def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+    """Verified links between lines of different components that meet in two longer lists."""
     placed = long.join(_looked_up(roots), "h", "left").select("band", "i", "h", F.coalesce("root", "h").alias("root"))
     placed = scratch.keep(placed)
     open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
-    # the signatures of the lines in question, not the bands of all lines
-    left = placed.join(open_lists, "band").join(signed, "h")
-    cut = left.select("h", "root", "band", "i", F.posexplode(band_keys()).alias("j", "other")).where("i <> j")
-    cut = cut.select(F.xxhash64(F.least("band", "other"), F.greatest("band", "other")).alias("key"), "h", "root").distinct()
+    # two lines that meet in a shorter list are candidates by that already, so only longer lists cut each other
+    left = scratch.keep(placed.join(_looked_up(scratch.keep(open_lists)), "band"))
+    other = left.select("h", F.col("band").alias("other"), F.col("i").alias("j"))
+    cut = scratch.keep(left.join(other, "h").where("i < j").select(F.xxhash64("band", "other").alias("key"), "h", "root"))
     some = cut.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
-    cut = scratch.keep(cut.join(some, "key"))
-    pairs = cut.alias("x").join(cut.alias("y"), "key").where("x.h < y.h AND x.root <> y.root")
-    return scratch.keep(_agreeing(pairs.select(F.col("x.h").alias("a"), F.col("y.h").alias("b")), signed))
+    met = scratch.keep(cut.join(_looked_up(scratch.keep(some)), "key").select("h", "root").distinct())
+    sets = scratch.keep(_sets(lines, met.select("h")))
+    posted = scratch.keep(prefixes(scratch, sets, similarity).join(met, "h"))
+    x, y = posted.where("short").alias("x"), posted.alias("y")
+    ordered = F.expr("x.k < y.k OR (x.k = y.k AND x.h < y.h)") & (F.col("x.k") >= similarity * F.col("y.k"))
+    pairs = x.join(y, "rare").where("x.root <> y.root").where(ordered).select(*_ordered("x.h", "y.h")).distinct()
+    return verified(pairs, sets, similarity)
+
+
+def prefixes(scratch: Scratch, sets: DataFrame, similarity: float) -> DataFrame:
+    """(h, k, rare, short): the rarest shingles of each set of k, of which two similar sets share one.
+
+    In any one order of all shingles, two sets of the similarity share a shingle among the first
+    k - ceil(similarity * k) + 1 of each; of the smaller set, ``short`` marks the first few that
+    suffice.  The order is by rising frequency, so that lines with a common passage do not meet on
+    it.  Shingles of one set alone come first and meet nothing: only their number matters.
+    """
+    rows = sets.select("h", F.explode("s").alias("x"))
+    counts = scratch.keep(rows.groupBy("x").agg(F.count("*").alias("n")).where("n > 1"))
+    shared = rows.join(_looked_up(counts), "x").groupBy("h").agg(F.sort_array(F.collect_list(F.struct("n", "x"))).alias("c"))
+    sized = shared.join(sets.select("h", F.size("s").alias("k")), "h").withColumn("alone", F.col("k") - F.size("c"))
+
+    def first(share: float) -> Column:
+        return F.greatest(F.lit(0), F.col("k") - F.ceil(F.col("k") * share - 1e-9).cast("int") + 1 - F.col("alone"))
+
+    out = sized.select("h", "k", first(2 * similarity / (1 + similarity)).alias("few"), F.posexplode(F.slice("c", F.lit(1), first(similarity))).alias("at", "own"))
+    return out.select("h", "k", F.col("own.x").alias("rare"), (F.col("at") < F.col("few")).alias("short"))
 
 
 def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
@@ -151,9 +176,9 @@ def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY)
     return both.where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
 
 
-def _sets(lines: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(h, s): the shingle sets of the lines in the pairs."""
-    used = _looked_up(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
+def _sets(lines: DataFrame, used: DataFrame) -> DataFrame:
+    """(h, s): the shingle sets of the lines with the distinct names ``used``."""
+    used = _looked_up(used)
     texts = lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line"))
     return with_shingles(texts).select("h", F.array_distinct("s").alias("s"))
 
@@ -162,14 +187,14 @@ def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY) ->
     """(node, root) of every distinct line that is linked to another one."""
     signed = scratch.keep(signatures(lines))
     pairs, long = candidates(scratch, signed)
-    found = scratch.keep(verified(pairs, _sets(lines, pairs), similarity))
+    used = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
+    found = scratch.keep(verified(pairs, _sets(lines, used), similarity))
     roots = components(scratch, found)
     if long is None:
         return roots
-    more = across(scratch, long, signed, roots.select(F.col("node").alias("h"), "root"))
-    if more.isEmpty():
+    extra = scratch.keep(across(scratch, long, roots.select(F.col("node").alias("h"), "root"), lines, similarity))
+    if extra.isEmpty():
         return roots
-    extra = verified(more, _sets(lines, more), similarity)
     tree = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
     return components(scratch, tree.unionByName(extra))
 
