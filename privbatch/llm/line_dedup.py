@@ -140,19 +140,27 @@ def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame
     some = cut.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
     met = scratch.keep(cut.join(_looked_up(scratch.keep(some)), "key").select("h", "root").distinct())
     sets = scratch.keep(_sets(lines, met.select("h")))
+    return similar_apart(scratch, sets, met, similarity)
+
+
+def similar_apart(scratch: Scratch, sets: DataFrame, met: DataFrame, similarity: float) -> DataFrame:
+    """All pairs (a, b) of sets (h, s) of the similarity that have different roots in met (h, root)."""
     posted = scratch.keep(prefixes(scratch, sets, similarity).join(met, "h"))
     x, y = posted.where("short").alias("x"), posted.alias("y")
     ordered = F.expr("x.k < y.k OR (x.k = y.k AND x.h < y.h)") & (F.col("x.k") >= similarity * F.col("y.k"))
-    pairs = x.join(y, "rare").where("x.root <> y.root").where(ordered).select(*_ordered("x.h", "y.h")).distinct()
+    # where a similar pair first meets, what is left of both sets still holds all that they must share
+    left_over = F.least(F.col("x.k") - F.col("x.place"), F.col("y.k") - F.col("y.place"))
+    enough = left_over >= similarity / (1 + similarity) * (F.col("x.k") + F.col("y.k")) - 1e-9
+    pairs = x.join(y, "rare").where("x.root <> y.root").where(ordered & enough).select(*_ordered("x.h", "y.h")).distinct()
     return verified(pairs, sets, similarity)
 
 
 def prefixes(scratch: Scratch, sets: DataFrame, similarity: float) -> DataFrame:
-    """(h, k, rare, short): the rarest shingles of each set of k, of which two similar sets share one.
+    """(h, k, place, rare, short): the rarest shingles of each set of k, of which two similar sets share one.
 
     In any one order of all shingles, two sets of the similarity share a shingle among the first
     k - ceil(similarity * k) + 1 of each; of the smaller set, ``short`` marks the first few that
-    suffice.  The order is by rising frequency, so that lines with a common passage do not meet on
+    suffice.  ``place`` is the rank, from 0.  The order is by rising frequency, so that lines with a common passage do not meet on
     it.  Shingles of one set alone come first and meet nothing: only their number matters.
     """
     rows = sets.select("h", F.explode("s").alias("x"))
@@ -163,8 +171,8 @@ def prefixes(scratch: Scratch, sets: DataFrame, similarity: float) -> DataFrame:
     def first(share: float) -> Column:
         return F.greatest(F.lit(0), F.col("k") - F.ceil(F.col("k") * share - 1e-9).cast("int") + 1 - F.col("alone"))
 
-    out = sized.select("h", "k", first(2 * similarity / (1 + similarity)).alias("few"), F.posexplode(F.slice("c", F.lit(1), first(similarity))).alias("at", "own"))
-    return out.select("h", "k", F.col("own.x").alias("rare"), (F.col("at") < F.col("few")).alias("short"))
+    out = sized.select("h", "k", "alone", first(2 * similarity / (1 + similarity)).alias("few"), F.posexplode(F.slice("c", F.lit(1), first(similarity))).alias("at", "own"))
+    return out.select("h", "k", (F.col("alone") + F.col("at")).alias("place"), F.col("own.x").alias("rare"), (F.col("at") < F.col("few")).alias("short"))
 
 
 def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:

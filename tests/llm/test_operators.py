@@ -9,6 +9,7 @@ import pytest
 import xxhash
 
 from privbatch.llm import bfd_packing, crf_language, decontaminate, ffd_packing, line_dedup, masked_lm, pu_quality, simhash, top_k, wrapper
+from privbatch.llm.common import Scratch
 
 SF = "/root/testdata/sf0.001"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, component_id long, score double"
@@ -264,3 +265,32 @@ def test_pipeline(spark):
     ids = {r["doc_id"] for r in packed.select("doc_id").distinct().collect()}
     assert 0 < len(ids) < docs.count()
     assert packed.columns == ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
+
+
+def test_line_dedup_similar_apart(spark):
+    """Rarest-shingle prefixes against all pairs, on sets around the threshold that share a long passage."""
+    rng = np.random.default_rng(5)
+    passage = list(range(60))
+    sets = {0: [1], 1: [1], 2: [2, 3]}
+    for h in range(3, 90):
+        base = passage[: int(rng.integers(40, 61))] if h % 3 else sets[int(rng.integers(3, h))] if h > 3 else passage
+        own = [x for x in base if rng.random() > 0.06]
+        sets[h] = sorted({*own, *(1000 + 100 * h + k for k in range(int(rng.integers(0, 9))))}) or [h]
+    root = {h: h % 40 for h in sets}
+    want = {
+        (a, b) for a in sets for b in sets
+        if a < b and root[a] != root[b] and 5 * len({*sets[a]} & {*sets[b]}) >= 4 * len({*sets[a]} | {*sets[b]})
+    }
+    table = spark.createDataFrame(list(sets.items()), "h long, s array<long>")
+    met = spark.createDataFrame(list(root.items()), "h long, root long")
+    got = line_dedup.similar_apart(Scratch(spark, "test"), table, met, 0.8).collect()
+    assert len(want) > 20 and {(r["a"], r["b"]) for r in got} == want and len(got) == len(want)
+
+
+def test_line_dedup_shingles_as_rows(spark):
+    """The rows that signatures are made of are the shingles that similarities are worked out on."""
+    texts = ["one", "one two three", "a  b", "x" * 80, "stra\u00dfe und weg", "y" * 30 + " z"]
+    lines = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "h long, line string")
+    rows = sorted((r["h"], r["x"]) for r in line_dedup.shingle_rows(lines).collect())
+    assert rows == sorted((r["h"], x) for r in line_dedup.with_shingles(lines).collect() for x in r["s"])
+    assert {h for h, _ in rows} == set(range(len(texts)))
