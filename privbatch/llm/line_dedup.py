@@ -2,12 +2,14 @@
 
 1.  Lines (split at line feeds, trimmed, lower-cased; blank ones take no part) are named by a
     64-bit hash, so exact repeats fall together before anything else.
-2.  Signatures: the characters from every word start to the third character of the next word
-    form a shingle (lines almost without spaces give every run of ``RUN`` characters instead);
-    each of ``ROWS * BANDS`` hash functions keeps its minimum over the line's shingles, by a
+2.  Signatures: a ``Cut`` says what a shingle is.  ``GRAMS``, which the query and the pipeline
+    use, takes every run of five characters; ``WORDS`` takes every run of five words, for whole
+    documents; ``STARTS`` takes the characters from every word start to the third character of
+    the next word (lines almost without spaces give every run of ``RUN`` characters instead).
+    Each of ``rows * bands`` hash functions keeps its minimum over the line's shingles, by a
     partial aggregation that never gathers the shingles of a line.
 3.  Banding: two lines are candidates if they agree on all rows of some band (recall 0.998 at
-    similarity 0.8) and on ``AGREE`` of all hash functions (0.999).
+    similarity 0.8, for every cut) and on ``agree`` of all hash functions (0.999).
 4.  A band's list of up to ``SMALL`` lines gives all its pairs.  A longer one first ties each
     member to four members drawn by hash; that joins a group of copies without pairing it off.
     Lists in which more than one component is then left are cut by each other;
@@ -24,6 +26,8 @@ that the same join is shuffled.
 
 from __future__ import annotations
 
+from typing import NamedTuple
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -31,14 +35,26 @@ from .common import Scratch, components
 
 RUN = 9
 SPACED = 20
-ROWS = 2
-BANDS = 6
-AGREE = 5
 SMALL = 8
 SIMILARITY = 0.8
 MOST_BROADCAST = 500_000
 
 
+class Cut(NamedTuple):
+    """What a shingle is, and the signature that finds pairs of 0.8 under it."""
+
+    kind: str
+    size: int
+    rows: int
+    bands: int
+    agree: int
+
+
+GRAMS = Cut("grams", 5, rows=3, bands=9, agree=14)
+WORDS = Cut("words", 5, rows=2, bands=6, agree=5)
+STARTS = Cut("starts", 0, rows=2, bands=6, agree=5)
+
+
 def normal(line: Column) -> Column:
     return F.lower(F.trim(line))
 
@@ -55,65 +71,85 @@ def lines_of(docs: DataFrame) -> DataFrame:
     return out.withColumn("h", F.xxhash64("line"))
 
 
-def with_shingles(lines: DataFrame) -> DataFrame:
+def with_shingles(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
     """Adds s, the hashes of the line's shingles, with repeats.
 
-    Every character is in some shingle.  A line of over ``SPACED`` characters a word is taken
-    as text without word spaces.
+    Every character is in some shingle.  A line shorter than one run is its own shingle.  Under
+    ``STARTS`` a line of over ``SPACED`` characters a word is taken as text without word spaces.
     """
-    cut = _tokens(lines)
-    spaced = F.zip_with("tokens", F.slice("tokens", 2, F.size("tokens")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
+    held = _tokens(lines, cut)
     runs = F.transform("tokens", lambda r: F.xxhash64(r))
-    return cut.withColumn("s", F.when(F.col("spaced"), spaced).otherwise(runs)).drop("tokens", "spaced")
+    if cut.kind == "grams":
+        return held.withColumn("s", runs).drop("tokens")
+    if cut.kind == "words":
+        at = F.sequence(F.lit(0), F.greatest(F.lit(0), F.size("tokens") - cut.size))
+        return held.withColumn("s", F.transform(at, lambda i: _words_from(i, cut))).drop("tokens")
+    spaced = F.zip_with("tokens", F.slice("tokens", 2, F.size("tokens")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
+    return held.withColumn("s", F.when(F.col("spaced"), spaced).otherwise(runs)).drop("tokens", "spaced")
+
+
+def _words_from(at: Column, cut: Cut) -> Column:
+    return F.xxhash64(*[F.get("tokens", at + k) for k in range(cut.size)])
 
 
-def _tokens(lines: DataFrame) -> DataFrame:
-    """Adds spaced and tokens: the words of a line with word spaces, the runs of any other."""
+def _tokens(lines: DataFrame, cut: Cut) -> DataFrame:
+    """Adds tokens: the character runs or the words of a line; under ``STARTS`` spaced tells which."""
+    if cut.kind == "words":
+        return lines.withColumn("tokens", F.split("line", " "))
+    size = RUN if cut.kind == "starts" else cut.size
+    runs = F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{size}}}))"), F.lit(1))
+    if cut.kind == "grams":
+        return lines.withColumn("tokens", F.when(F.length("line") < size, F.array("line")).otherwise(runs))
     # the words are a column of their own, for a function's argument is worked out at every use
-    cut = lines.withColumn("words", F.split("line", " ")).withColumn("spaced", F.length("line") <= SPACED * F.size("words"))
-    runs = F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{RUN}}}))"), F.lit(1))
-    return cut.withColumn("tokens", F.when(F.col("spaced"), F.col("words")).otherwise(runs)).drop("words")
+    held = lines.withColumn("words", F.split("line", " ")).withColumn("spaced", F.length("line") <= SPACED * F.size("words"))
+    return held.withColumn("tokens", F.when(F.col("spaced"), F.col("words")).otherwise(runs)).drop("words")
 
 
-def shingle_rows(lines: DataFrame) -> DataFrame:
+def shingle_rows(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
     """(h, x): the shingles of ``with_shingles`` as rows; compiled as one span, which array functions would break."""
+    held = _tokens(lines, cut)
     # no line is without tokens; posexplode() would add a filter that works out all of them once more
-    cut = _tokens(lines).select("h", "spaced", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
+    if cut.kind == "grams":
+        return held.select("h", F.explode_outer("tokens").alias("token")).select("h", F.xxhash64("token").alias("x"))
+    if cut.kind == "words":
+        placed = held.select("h", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
+        return placed.where((F.col("at") == 0) | (F.col("at") + cut.size <= F.size("tokens"))).select("h", _words_from(F.col("at"), cut).alias("x"))
+    placed = held.select("h", "spaced", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
     after = F.when(F.col("spaced"), F.substring(F.get("tokens", F.col("at") + 1), 1, 3))
-    return cut.select("h", F.xxhash64("token", after).alias("x"))
+    return placed.select("h", F.xxhash64("token", after).alias("x"))
 
 
-def signatures(lines: DataFrame) -> DataFrame:
+def signatures(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
     """(h, m0, m1, ...) of every distinct line."""
-    return shingle_rows(lines).groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(ROWS * BANDS)])
+    return shingle_rows(lines, cut).groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(cut.rows * cut.bands)])
 
 
-def band_keys() -> Column:
+def band_keys(cut: Cut = STARTS) -> Column:
     """The keys of a line in all bands, from its signature."""
-    return F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * ROWS + r}") for r in range(ROWS)]) for b in range(BANDS)])
+    return F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * cut.rows + r}") for r in range(cut.rows)]) for b in range(cut.bands)])
 
 
-def bands(signed: DataFrame) -> DataFrame:
+def bands(signed: DataFrame, cut: Cut = STARTS) -> DataFrame:
     """(band, i, h): the key of each line in each band, and the band's number."""
-    return signed.select(F.posexplode(band_keys()).alias("i", "band"), "h")
+    return signed.select(F.posexplode(band_keys(cut)).alias("i", "band"), "h")
 
 
-def _agreeing(pairs: DataFrame, signed: DataFrame) -> DataFrame:
-    """The distinct pairs (a, b) that agree on ``AGREE`` hash functions."""
-    every = range(ROWS * BANDS)
+def _agreeing(pairs: DataFrame, signed: DataFrame, cut: Cut) -> DataFrame:
+    """The distinct pairs (a, b) that agree on ``cut.agree`` hash functions."""
+    every = range(cut.rows * cut.bands)
     left = signed.select(F.col("h").alias("a"), *[F.col(f"m{k}").alias(f"a{k}") for k in every])
     right = signed.select(F.col("h").alias("b"), *[F.col(f"m{k}").alias(f"b{k}") for k in every])
     same = sum((F.when(F.col(f"a{k}") == F.col(f"b{k}"), 1).otherwise(0) for k in every), F.lit(0))
-    return pairs.distinct().join(left, "a").join(right, "b").where(same >= AGREE).select("a", "b")
+    return pairs.distinct().join(left, "a").join(right, "b").where(same >= cut.agree).select("a", "b")
 
 
 def _ordered(a: str, b: str) -> list[Column]:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
-def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL) -> tuple[DataFrame, DataFrame | None]:
+def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL, cut: Cut = STARTS) -> tuple[DataFrame, DataFrame | None]:
     """Distinct candidate pairs (a, b), a < b, and the members (band, i, h) of longer lists, None if there are none."""
-    posted = bands(signed)
+    posted = bands(signed, cut)
     lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b"))
     lists = scratch.keep(lists.where("n > 1"))
     longer = lists.where("n > 2").select("band", "n")
@@ -124,11 +160,11 @@ def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL) -> tuple
     drawn = long.groupBy("band").agg(*[F.min_by("h", F.xxhash64("h", F.lit(k))).alias(f"r{k}") for k in range(4)])
     tied = long.join(drawn, "band").select("h", F.explode(F.array("r0", "r1", "r2", "r3")).alias("r")).where("h <> r")
     out = lists.where("n = 2").select("a", "b").unionByName(pairs).unionByName(tied.select(*_ordered("h", "r")))
-    out = scratch.keep(_agreeing(out, signed))
+    out = scratch.keep(_agreeing(out, signed, cut))
     return out, None if long.isEmpty() else long
 
 
-def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
     """Verified links between lines of different components that meet in two longer lists."""
     placed = long.join(_looked_up(roots), "h", "left").select("band", "i", "h", F.coalesce("root", "h").alias("root"))
     placed = scratch.keep(placed)
@@ -136,10 +172,10 @@ def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame
     # two lines that meet in a shorter list are candidates by that already, so only longer lists cut each other
     left = scratch.keep(placed.join(_looked_up(scratch.keep(open_lists)), "band"))
     other = left.select("h", F.col("band").alias("other"), F.col("i").alias("j"))
-    cut = scratch.keep(left.join(other, "h").where("i < j").select(F.xxhash64("band", "other").alias("key"), "h", "root"))
-    some = cut.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
-    met = scratch.keep(cut.join(_looked_up(scratch.keep(some)), "key").select("h", "root").distinct())
-    sets = scratch.keep(_sets(lines, met.select("h")))
+    paired = scratch.keep(left.join(other, "h").where("i < j").select(F.xxhash64("band", "other").alias("key"), "h", "root"))
+    some = paired.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
+    met = scratch.keep(paired.join(_looked_up(scratch.keep(some)), "key").select("h", "root").distinct())
+    sets = scratch.keep(_sets(lines, met.select("h"), cut))
     return similar_apart(scratch, sets, met, similarity)
 
 
@@ -184,30 +220,30 @@ def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY)
     return both.where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
 
 
-def _sets(lines: DataFrame, used: DataFrame) -> DataFrame:
+def _sets(lines: DataFrame, used: DataFrame, cut: Cut) -> DataFrame:
     """(h, s): the shingle sets of the lines with the distinct names ``used``."""
     used = _looked_up(used)
     texts = lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line"))
-    return with_shingles(texts).select("h", F.array_distinct("s").alias("s"))
+    return with_shingles(texts, cut).select("h", F.array_distinct("s").alias("s"))
 
 
-def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
     """(node, root) of every distinct line that is linked to another one."""
-    signed = scratch.keep(signatures(lines))
-    pairs, long = candidates(scratch, signed)
+    signed = scratch.keep(signatures(lines, cut))
+    pairs, long = candidates(scratch, signed, cut=cut)
     used = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
-    found = scratch.keep(verified(pairs, _sets(lines, used), similarity))
+    found = scratch.keep(verified(pairs, _sets(lines, used, cut), similarity))
     roots = components(scratch, found)
     if long is None:
         return roots
-    extra = scratch.keep(across(scratch, long, roots.select(F.col("node").alias("h"), "root"), lines, similarity))
+    extra = scratch.keep(across(scratch, long, roots.select(F.col("node").alias("h"), "root"), lines, similarity, cut))
     if extra.isEmpty():
         return roots
     tree = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
     return components(scratch, tree.unionByName(extra))
 
 
-def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None) -> DataFrame:
+def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None, cut: Cut = STARTS) -> DataFrame:
     """(doc_id, pos, h, kept) of every line that is not blank.
 
     A null or empty text has no lines.  Lines of any length take part.  A null doc_id sorts
@@ -217,7 +253,7 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     """
     scratch = scratch or Scratch(docs.sparkSession, "lines")
     lines = lines_of(docs)
-    roots = links(scratch, lines, similarity).select(F.col("node").alias("h"), "root")
+    roots = links(scratch, lines, similarity, cut).select(F.col("node").alias("h"), "root")
     placed = lines.select("doc_id", "pos", "h").join(_looked_up(roots), "h", "left")
     placed = scratch.keep(placed.select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root")))
     # a line that is alone in its component stays, and needs no partner in the join
@@ -227,16 +263,16 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     return judged.select("doc_id", "pos", "h", kept.alias("kept"))
 
 
-def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
+def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
     """The documents without their repeated lines; all columns and all documents stay.
 
     Blank lines stay.  n_chars, if there is such a column, is set to the new length.  A null
     text stays null; a text all of whose lines go becomes empty.
     """
-    gone = verdicts(docs, similarity).where("not kept").select(F.col("doc_id").alias("__id"), F.struct("pos", "h").alias("__g"))
+    gone = verdicts(docs, similarity, cut=cut).where("not kept").select(F.col("doc_id").alias("__id"), F.struct("pos", "h").alias("__g"))
     gone = gone.groupBy("__id").agg(F.collect_set("__g").alias("__gone"))
-    cut = F.split(F.col("text").cast("string"), "\n", -1)
-    marked = F.transform(cut, lambda line, i: F.struct(i.alias("pos"), F.xxhash64(normal(line)).alias("h"), line.alias("line")))
+    parts = F.split(F.col("text").cast("string"), "\n", -1)
+    marked = F.transform(parts, lambda line, i: F.struct(i.alias("pos"), F.xxhash64(normal(line)).alias("h"), line.alias("line")))
     stay = F.filter(marked, lambda m: ~F.array_contains("__gone", F.struct(m["pos"].alias("pos"), m["h"].alias("h"))))
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(stay, lambda m: m["line"]), "\n"))
     out = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")), "left").withColumn("text", text)
@@ -245,10 +281,10 @@ def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     return out.select(*docs.columns)
 
 
-def digest(docs: DataFrame) -> DataFrame:
+def digest(docs: DataFrame, cut: Cut = STARTS) -> DataFrame:
     """(doc_id, n_lines, n_removed, removed): the numbers of the lines that go, rising."""
     scratch = Scratch(docs.sparkSession, "lines")
-    seen = verdicts(docs, scratch=scratch).groupBy("doc_id").agg(
+    seen = verdicts(docs, scratch=scratch, cut=cut).groupBy("doc_id").agg(
         F.size(F.collect_set("pos")).cast("long").alias("n_lines"),
         F.sort_array(F.collect_set(F.when(~F.col("kept"), F.col("pos")))).alias("removed"),
     )

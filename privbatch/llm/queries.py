@@ -46,7 +46,7 @@ def op8_ffd_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.digest(_table(spark, sf_dir, "documents"))
+    return line_dedup.digest(_table(spark, sf_dir, "documents"), line_dedup.GRAMS)
 
 
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
