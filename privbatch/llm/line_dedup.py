@@ -1,7 +1,7 @@
 """Fuzzy line deduplication by MinHash, in DataFrame functions only.
 
-1.  Lines (split at line feeds, trimmed, lower-cased; blank ones take no part) are named by a
-    64-bit hash, so exact repeats fall together before anything else.
+1.  Lines (split at line feeds, white space collapsed and trimmed, lower-cased; blank ones take no
+    part) are named by a 64-bit hash, so exact repeats fall together before anything else.
 2.  Signatures: a ``Cut`` says what a shingle is.  ``GRAMS``, which the query and the pipeline
     use, takes every run of five characters; ``WORDS`` takes every run of five words, for whole
     documents; ``STARTS`` takes the characters from every word start to the third character of
@@ -56,7 +56,9 @@ STARTS = Cut("starts", 0, rows=2, bands=6, agree=5)
 
 
 def normal(line: Column) -> Column:
-    return F.lower(F.trim(line))
+    """The line in lower case with single spaces between words; empty for any white space alone."""
+    # a single plain space is left as it is, so most lines are copied once
+    return F.lower(F.trim(F.regexp_replace(line, r"[\s\x85\p{Z}]{2,}|[\t\x0B\f\r\x85\p{Z}&&[^ ]]", " ")))
 
 
 def _looked_up(keys: DataFrame) -> DataFrame:
@@ -67,7 +69,7 @@ def _looked_up(keys: DataFrame) -> DataFrame:
 def lines_of(docs: DataFrame) -> DataFrame:
     """(doc_id, pos, line, h) of every line that is not blank; h names its normal form."""
     out = docs.select("doc_id", F.posexplode(F.split(F.col("text").cast("string"), "\n", -1)).alias("pos", "line"))
-    out = out.where(F.trim("line") != "").select("doc_id", "pos", normal(F.col("line")).alias("line"))
+    out = out.select("doc_id", "pos", normal(F.col("line")).alias("line")).where("line <> ''")
     return out.withColumn("h", F.xxhash64("line"))
 
 

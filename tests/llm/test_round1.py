@@ -37,3 +37,13 @@ def test_op9_one_letter_changed(spark, tmp_path):
     out = _query(spark, tmp_path, "op9_line_dedup", rows, "doc_id long, text string, lang string, source string, n_chars long")
     kept = {r["doc_id"] for r in out.where("n_removed = 0").collect()}
     assert len(want) < len(lines) - 15 and want <= kept and len(kept - want) <= 1
+
+
+def test_line_dedup_white_space(spark):
+    """Copies that differ in carriage returns, tabs and spaces share a name; white space alone is blank."""
+    texts = ["Read more\nnext one", "read more\r\n\r\nnext\tone\r\n\t\n", "  Read  more \n\r\nnext\u00a0 one", "readmore"]
+    lines = line_dedup.lines_of(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    got = {(r["doc_id"], r["pos"]): (r["line"], r["h"]) for r in lines.collect()}
+    assert set(got) == {(0, 0), (0, 1), (1, 0), (1, 2), (2, 0), (2, 2), (3, 0)}
+    assert got[0, 0] == got[1, 0] == got[2, 0] and got[0, 1] == got[1, 2] == got[2, 2]
+    assert got[3, 0][0] == "readmore" and got[0, 1][0] == "next one"
