@@ -253,6 +253,8 @@ def votes(pages: DataFrame) -> DataFrame:
                 if not blocks:
                     continue
                 priors = {slot: prior for slot, _, prior in blocks}
+                for slot, prior in priors.items():
+                    tally[host_of(url), slot, prior]  # a slot without votes is decided too, by all hosts
                 host, body = host_of(url), hash(tuple(t for _, t, _ in blocks))
                 tree = Folded(root, "")
                 held = known.setdefault(host, [])
@@ -275,39 +277,47 @@ def votes(pages: DataFrame) -> DataFrame:
 def wrapper(voted: DataFrame) -> DataFrame:
     """(host, slot) of the template slots that the prior alone would not call template.
 
-    A row with the empty host holds for every host that has too few votes of its own.
+    A host with enough votes on a slot decides it by its own; for any other host that has the
+    slot, the votes of all hosts decide.
     """
     free = voted.where(F.col("prior") > BOILER)
-    every = free.groupBy("slot", "prior").agg(F.sum("same").alias("same"), F.sum("other").alias("other")).withColumn("host", F.lit(""))
-    both = free.select("host", "slot", "prior", "same", "other").unionByName(every.select("host", "slot", "prior", "same", "other"))
-    n = F.col("same") + F.col("other")
-    sure = (F.col("prior") == NEUTRAL) & (n >= MIN_VOTES) & (F.col("same") * 2 >= n)
-    sure = sure | (F.col("prior") == ARTICLE) & (n >= SURE_VOTES) & (F.col("same") * 20 >= n * 19)
-    return both.where(sure).select("host", "slot").distinct()
+    every = free.groupBy("slot", "prior").agg(F.sum("same").alias("all_same"), F.sum("other").alias("all_other"))
+    enough = F.when(F.col("prior") == NEUTRAL, MIN_VOTES).otherwise(SURE_VOTES)
 
+    def template(same: str, other: str) -> F.Column:
+        n = F.col(same) + F.col(other)
+        return (n >= enough) & F.when(F.col("prior") == NEUTRAL, F.col(same) * 2 >= n).otherwise(F.col(same) * 20 >= n * 19)
 
-def extract(pages: DataFrame) -> DataFrame:
+    both = free.join(every, ["slot", "prior"])
+    decided = F.when(F.col("same") + F.col("other") >= enough, template("same", "other")).otherwise(template("all_same", "all_other"))
+    return both.where(decided).select("host", "slot").distinct()
+
+
+def extract(pages: DataFrame, most: int = MAX_DECISIONS) -> DataFrame:
     """(page_id, url, text, n_chars) of every page.
 
     A null or empty page, and one without content, give the empty text and 0.  A null or broken url
-    belongs to the host without a name.  Repeated pages each give a row and do not vote twice
-    where they are read together; a null page_id is kept; an empty table gives an empty result.
-    Only page_id, url and html are read.
+    belongs to the host without a name.  Repeated pages each give a row; a null page_id is kept; an
+    empty table gives an empty result.  Up to ``most`` decisions are broadcast; more are joined, with
+    the same result.  Only page_id, url and html are read.
     """
     spark = pages.sparkSession
-    decided = wrapper(votes(pages)).select(F.col("host").alias("h"), F.xxhash64("host", "slot").alias("k"), "slot").cache()
+    decided = wrapper(votes(pages)).cache()
     own = pages.select("page_id", "url", F.col("html").cast("string").alias("html"))
-    if decided.count() <= MAX_DECISIONS:
-        held = spark.sparkContext.broadcast({(r["h"], r["slot"]) for r in decided.toLocalIterator()})
+    if decided.count() <= most:
+        slots: dict[str, set[str]] = defaultdict(set)
+        for r in decided.toLocalIterator():
+            slots[r["host"]].add(r["slot"])
+        held = spark.sparkContext.broadcast(dict(slots))
 
         @F.pandas_udf("string")
         def main_text(urls: pd.Series, sources: pd.Series) -> pd.Series:
             template = held.value
-            return pd.Series([_text(s, {slot for h, slot in template if h in ("", host_of(u))} if template else set()) for u, s in zip(urls, sources, strict=True)], dtype=object)
+            return pd.Series([_text(s, template.get(host_of(u), set())) for u, s in zip(urls, sources, strict=True)], dtype=object)
 
         out = own.withColumn("text", main_text(F.col("url").cast("string"), "html"))
     else:
-        per_host = decided.groupBy("h").agg(F.collect_set("slot").alias("slots"))
+        per_host = decided.groupBy(F.col("host").alias("h")).agg(F.collect_set("slot").alias("slots"))
 
         @F.pandas_udf("string")
         def hosts(urls: pd.Series) -> pd.Series:

@@ -2,7 +2,7 @@
 
 import numpy as np
 
-from privbatch.llm import line_dedup, queries
+from privbatch.llm import line_dedup, queries, wrapper
 
 
 def _grams(line):
@@ -47,3 +47,20 @@ def test_line_dedup_white_space(spark):
     assert set(got) == {(0, 0), (0, 1), (1, 0), (1, 2), (2, 0), (2, 2), (3, 0)}
     assert got[0, 0] == got[1, 0] == got[2, 0] and got[0, 1] == got[1, 2] == got[2, 2]
     assert got[3, 0][0] == "readmore" and got[0, 1][0] == "next one"
+
+
+def _sites():
+    """Pages of a hot host with a neutral slot that varies, and a small host on which the same slot is constant."""
+    page = "<html><body><div>{}</div><div class='box'>{}</div></body></html>"
+    rows = [(i, f"http://hot.example/{i}", page.format("Always the same", f"hot own {i}")) for i in range(40)]
+    rows += [(100 + i, f"http://own.example/{i}", page.format(f"article {i}", f"Follow us {i % 2}")) for i in range(12)]
+    return rows + [(200, "http://one.example/", page.format("a lone page", "a lone box")), (201, None, page.format("nameless", "box"))]
+
+
+def test_op5_own_votes_first(spark):
+    """A host's own votes go before those of all hosts, and a broadcast and a join agree."""
+    df = spark.createDataFrame(_sites(), "page_id long, url string, html string").repartition(5)
+    one, other = ({r["page_id"]: r["text"] for r in wrapper.extract(df, most=m).collect()} for m in (200_000, -1))
+    assert one == other
+    assert one[103].startswith("article 3") and one[5] == "hot own 5"
+    assert one[200] == "a lone box" and one[201] == "box"
