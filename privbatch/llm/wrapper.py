@@ -1,7 +1,8 @@
 """Main text of web pages by wrapper induction.
 
-Pages are parsed into trees of block elements.  Pages of one host that are read together are
-aligned by simple tree matching with up to ``REFERENCES`` pages of that host: the largest
+Pages are parsed into trees of block elements.  Their compact forms (labels, and hashes in place of
+texts) are dealt by host, wherever a page was read, and every page is aligned by simple tree
+matching with up to ``REFERENCES`` other pages of its host: the largest
 order-preserving matching of equally labelled nodes, level by level, with runs of siblings of one
 shape folded into one node.  Every aligned text slot casts a vote - constant where both pages say
 the same, varying where they differ - and votes are summed per host and slot over the whole table.
@@ -10,27 +11,32 @@ prior knowledge: menus, page headers and footers, sidebars, notices, adverts, fo
 are template whatever they say; inside the article only near-certain votes make a slot template;
 elsewhere the votes decide, and where a host has too few, those of all hosts with that slot.
 
-Votes are a few numbers per host, slot and task, so hot hosts cost nothing extra, and the two passes
-over the pages shuffle no html.
+A host's trees are dealt in parts of about ``DEALT`` pages, so hot hosts stay spread out; the two
+passes over the pages shuffle compact trees but no html.
 """
 
 from __future__ import annotations
 
 import html
+import pickle
 import re
 from collections import defaultdict
 from collections.abc import Iterator
 from urllib.parse import urlsplit
 
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import Scratch
+
 REFERENCES = 3
 MIN_VOTES = 4
 SURE_VOTES = 30
 MAX_DECISIONS = 200_000
 MAX_FOLDED = 200
+DEALT = 1000
 
 #: Element names and name parts; fixed values of the markup language and common usage.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -200,7 +206,6 @@ class Folded:
                 self.children[-1]._merge(own)
             else:
                 self.children.append(own)
-        self.children = self.children[:MAX_FOLDED]
         self.size = 1 + sum(c.size for c in self.children)
         self.shape = (self.label, tuple(c.shape for c in self.children))
 
@@ -216,13 +221,39 @@ def match(a: Folded, b: Folded) -> tuple[int, list[tuple[Folded, Folded]]]:
         return 0, []
     if not a.children or not b.children:
         return 1, [(a, b)]
-    m, n = len(a.children), len(b.children)
-    scores = [[match(x, y) for y in b.children] for x in a.children]
+    size, pairs = 1, [(a, b)]
+    for x, y in _blocks(a.children, b.children):
+        own, found = _aligned(x, y)
+        size += own
+        pairs += found
+    return size, pairs
+
+
+def _blocks(a: list[Folded], b: list[Folded]) -> Iterator[tuple[list[Folded], list[Folded]]]:
+    """Two lists of siblings in parts of ``MAX_FOLDED`` at most: of longer ones equal ends go pair by pair, the rest in blocks."""
+    if max(len(a), len(b)) > MAX_FOLDED:
+        low, most = 0, min(len(a), len(b))
+        while low < most and a[low].label == b[low].label:
+            yield [a[low]], [b[low]]
+            low += 1
+        high = 0
+        while high < most - low and a[-1 - high].label == b[-1 - high].label:
+            yield [a[-1 - high]], [b[-1 - high]]
+            high += 1
+        a, b = a[low : len(a) - high], b[low : len(b) - high]
+    for at in range(0, min(len(a), len(b)), MAX_FOLDED):
+        yield a[at : at + MAX_FOLDED], b[at : at + MAX_FOLDED]
+
+
+def _aligned(a: list[Folded], b: list[Folded]) -> tuple[int, list[tuple[Folded, Folded]]]:
+    """Size of the largest order-preserving matching of two lists of siblings, and the matched nodes below them."""
+    m, n = len(a), len(b)
+    scores = [[match(x, y) for y in b] for x in a]
     most = [[0] * (n + 1) for _ in range(m + 1)]
     for i in range(m):
         for j in range(n):
             most[i + 1][j + 1] = max(most[i][j + 1], most[i + 1][j], most[i][j] + scores[i][j][0])
-    pairs, i, j = [(a, b)], m, n
+    pairs, i, j = [], m, n
     while i and j:
         if most[i][j] == most[i - 1][j]:
             i -= 1
@@ -231,7 +262,35 @@ def match(a: Folded, b: Folded) -> tuple[int, list[tuple[Folded, Folded]]]:
         else:
             i, j = i - 1, j - 1
             pairs += scores[i][j][1]
-    return 1 + most[m][n], pairs
+    return most[m][n], pairs
+
+
+def pack(tree: Folded) -> bytes:
+    """The compact form of a tree: label, hashes of texts and number of children of each node, in page order."""
+    flat, stack = [], [tree]
+    while stack:
+        node = stack.pop()
+        flat.append((node.label, tuple(sorted(xxhash.xxh64_intdigest(t.encode("utf-8", "surrogatepass")) for t in node.texts)), len(node.children)))
+        stack += reversed(node.children)
+    return pickle.dumps(flat, protocol=5)
+
+
+def unpack(packed: bytes) -> Folded:
+    """The tree of a compact form, with hashes in place of texts."""
+    root, open_nodes = None, []
+    for label, texts, n in pickle.loads(packed):
+        node = Folded.__new__(Folded)
+        node.label, node.texts, node.children = label, set(texts), []
+        node.slot = f"{open_nodes[-1][0].slot}/{label}" if open_nodes else ""
+        if open_nodes:
+            open_nodes[-1][0].children.append(node)
+            open_nodes[-1][1] -= 1
+        else:
+            root = node
+        open_nodes.append([node, n])
+        while open_nodes and not open_nodes[-1][1]:
+            open_nodes.pop()
+    return root
 
 
 def host_of(url: str | None) -> str:
@@ -242,35 +301,51 @@ def host_of(url: str | None) -> str:
 
 
 def votes(pages: DataFrame) -> DataFrame:
-    """(host, slot, prior, same, other): votes of all alignments of pages of one host."""
+    """(host, slot, prior, same, other): votes of all alignments of pages of one host, 0 for slots never aligned.
+
+    Pages with the same text blocks on one host vote as one.
+    """
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
-            known: dict[str, list[tuple[int, Folded]]] = {}
-            tally: dict[tuple[str, str, int], list[int]] = defaultdict(lambda: [0, 0])
+            rows = []
             for url, source in zip(pdf["url"], pdf["html"], strict=True):
                 root, blocks = parse(source)
-                if not blocks:
-                    continue
-                priors = {slot: prior for slot, _, prior in blocks}
+                if blocks:
+                    texts = "\0".join(t for _, t, _ in blocks).encode("utf-8", "surrogatepass")
+                    priors = {slot: prior for slot, _, prior in blocks}
+                    rows.append((host_of(url), xxhash.xxh64_intdigest(texts) - (1 << 63), pack(Folded(root, "")), pickle.dumps(priors, protocol=5)))
+            yield pd.DataFrame(rows, columns=["host", "body", "tree", "priors"])
+
+    def align(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now, last = None, None
+        held: list[Folded] = []
+        for pdf in batches:
+            tally: dict[tuple[str, str, int], list[int]] = defaultdict(lambda: [0, 0])
+            for host, part, body, packed, named in zip(pdf["host"], pdf["part"], pdf["body"], pdf["tree"], pdf["priors"], strict=True):
+                if (host, part) != now:
+                    now, last, held = (host, part), None, []
+                priors = pickle.loads(named)
                 for slot, prior in priors.items():
-                    tally[host_of(url), slot, prior]  # a slot without votes is decided too, by all hosts
-                host, body = host_of(url), hash(tuple(t for _, t, _ in blocks))
-                tree = Folded(root, "")
-                held = known.setdefault(host, [])
-                if any(body == b for b, _ in held):
+                    tally[host, slot, prior]  # a slot without votes is decided too, by all hosts
+                if body == last:
                     continue
-                for _, other in held[:REFERENCES]:
+                last, tree = body, unpack(packed)
+                for other in held:
                     for x, y in match(tree, other)[1]:
                         if x.texts and y.texts and x.slot in priors:
                             tally[host, x.slot, priors[x.slot]][0 if x.texts == y.texts else 1] += 1
                 if len(held) < REFERENCES:
-                    held.append((body, tree))
-            if tally:
-                yield pd.DataFrame([(*k, *v) for k, v in tally.items()], columns=["host", "slot", "prior", "same", "other"])
+                    held.append(tree)
+            yield pd.DataFrame([(*k, *v) for k, v in tally.items()], columns=["host", "slot", "prior", "same", "other"])
 
     cast = pages.select(F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    cast_votes = cast.mapInPandas(run, "host string, slot string, prior int, same long, other long")
+    scratch = Scratch(pages.sparkSession, "trees")
+    trees = scratch.keep(cast.mapInPandas(read, "host string, body long, tree binary, priors binary"))
+    parts = trees.groupBy("host").agg(F.ceil(F.count("*") / DEALT).alias("parts"))
+    dealt = trees.join(parts, "host").withColumn("part", F.pmod(F.xxhash64("body"), F.col("parts"))).drop("parts")
+    dealt = dealt.repartition("host", "part").sortWithinPartitions("host", "part", "body", "tree")
+    cast_votes = dealt.mapInPandas(align, "host string, slot string, prior int, same long, other long")
     return cast_votes.groupBy("host", "slot", "prior").agg(F.sum("same").alias("same"), F.sum("other").alias("other"))
 
 

@@ -64,3 +64,12 @@ def test_op5_own_votes_first(spark):
     assert one == other
     assert one[103].startswith("article 3") and one[5] == "hot own 5"
     assert one[200] == "a lone box" and one[201] == "box"
+
+
+def test_op5_partitions_and_long_pages(spark):
+    """Pages of a host vote wherever they are read, and a template block behind 200 runs of siblings votes too."""
+    flat = lambda i, n: "".join(f"<h2>head {i} {k}</h2><p>text {i} {k}</p>" for k in range(n))
+    rows = [(i, f"http://h{i % 3}.example/{i}", f"<body>{flat(i, 120 + i)}<div class='box'>Follow us</div></body>") for i in range(12)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    one, many = ({r["page_id"]: r["text"] for r in wrapper.extract(d).collect()} for d in (df.coalesce(1), df.repartition(12)))
+    assert one == many and all("Follow us" not in t and f"text {i} {119 + i}" in t for i, t in many.items())
