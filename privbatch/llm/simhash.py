@@ -25,6 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import line_dedup
 from .common import Scratch, components
 
 RADIUS = 3
@@ -202,14 +203,30 @@ def near_duplicates(docs: DataFrame, width: int = 3) -> DataFrame:
     return placed.join(least, "root").select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, width: int = 3) -> DataFrame:
-    """The documents that stay when one of each component does: the one with the smallest doc_id.
+def copies(docs: DataFrame, width: int, similarity: float) -> DataFrame:
+    """(doc_id, component_id) of every document, by links of the similarity between sets of word shingles.
+
+    Two fingerprints of a similarity of 0.8 differ in about 10 of 64 bits and in up to 19, far beyond what an
+    index of positional bytes can find, so candidates come from MinHash over the same shingles
+    and every link is verified by the exact Jaccard similarity.  Texts without a word are copies of each other.
+    """
+    scratch = Scratch(docs.sparkSession, "copies")
+    text = line_dedup.normal(F.coalesce(F.col("text").cast("string"), F.lit("")))
+    own = scratch.keep(docs.select("doc_id", text.alias("line")).withColumn("h", F.xxhash64("line")))
+    roots = line_dedup.links(scratch, own, similarity, line_dedup.WORDS._replace(size=width)).select(F.col("node").alias("h"), "root")
+    placed = own.select("doc_id", "h").join(roots, "h", "left").select("doc_id", F.coalesce("root", "h").alias("root"))
+    least = placed.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    return placed.join(least, "root").select("doc_id", "component_id")
+
+
+def keep_one(docs: DataFrame, width: int = 3, similarity: float = 0.8) -> DataFrame:
+    """The documents that stay when one of each component of ``copies`` does: the one with the smallest doc_id.
 
     All columns of ``docs`` are returned.  Of repeated rows with that doc_id one row stays.
     Rows with a null doc_id stay only if no document of their component has an id, and then one.
     """
     names = docs.columns
-    rows = near_duplicates(docs, width).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    rows = copies(docs, width, similarity).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
     many = rows.groupBy("doc_id").agg(F.count("*").alias("n"))
     own = F.struct(F.lit(1).alias("one"))
     ids = many.select(F.col("doc_id").alias("__id"), "n", own.alias("__own"))

@@ -2,7 +2,7 @@
 
 import numpy as np
 
-from privbatch.llm import line_dedup, queries, wrapper
+from privbatch.llm import line_dedup, queries, simhash, wrapper
 
 
 def _grams(line):
@@ -73,3 +73,20 @@ def test_op5_partitions_and_long_pages(spark):
     df = spark.createDataFrame(rows, "page_id long, url string, html string")
     one, many = ({r["page_id"]: r["text"] for r in wrapper.extract(d).collect()} for d in (df.coalesce(1), df.repartition(12)))
     assert one == many and all("Follow us" not in t and f"text {i} {119 + i}" in t for i, t in many.items())
+
+
+def test_pipeline_near_duplicates(spark):
+    """keep_one against all pairs by the Jaccard similarity over five words, with copies that fingerprints of 3 bits miss."""
+    rng = np.random.default_rng(11)
+    texts = ["one two", "one two", ""]
+    for changed in [0, 1, 2, 3, 4, 6, 9, 20] * 2:
+        words = [f"w{k}" for k in rng.integers(0, 5000, 200)]
+        texts.append(" ".join(words))
+        for at in rng.choice(200, changed, replace=False):
+            words[at] = "other"
+        texts.append(" ".join(words))
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in map(str.split, texts)]
+    want = _roots(sets)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"] for r in simhash.keep_one(docs, width=5).collect()}
+    assert got == want and 0 < len(want) < len(texts) - 8
