@@ -3,7 +3,9 @@
 Every token is predicted from ``REACH`` tokens on both sides.  The network adds one embedding per
 context position, squashes the sum, and gives a normalised distribution in two steps: a class of
 tokens, then the token in its class, so that a prediction costs two short softmaxes instead of one
-over the vocabulary.  A document's score is the sum of its tokens' conditional log-probabilities.
+over the vocabulary.  The most frequent tokens are outputs of their own; the others share buckets,
+and a bucket's probability is multiplied by P(token | bucket) from the counts of all tokens, which
+are joined, never collected, so every counted token has its own probability.  A document's score is the sum of its tokens' conditional log-probabilities.
 
 Everything is learned from all documents: the vocabulary from their word counts, the weights by one
 pass of stochastic descent in every task over the texts it reads, starting from common weights, and
@@ -12,6 +14,7 @@ a token-weighted mean of the tasks' weights, aggregated without passing through
 
 from __future__ import annotations
 
+import hashlib
 import re
 import zlib
 from collections import Counter
@@ -44,6 +47,11 @@ def tokens_of(text: str | None) -> list[bytes]:
     return _TOKEN.findall((text or "").encode("utf-8", "surrogatepass").translate(_LOWER))
 
 
+def key_of(token: bytes) -> bytes:
+    """The name of a token: itself, or for over 64 bytes a digest of all of it and its last bytes."""
+    return token if len(token) <= 64 else b"\0" + hashlib.blake2b(token, digest_size=16).digest() + token[-3:]
+
+
 def token_counts(docs: DataFrame) -> DataFrame:
     """(token, n) over all documents; counted in each task before they are shuffled."""
 
@@ -51,7 +59,7 @@ def token_counts(docs: DataFrame) -> DataFrame:
         held: Counter[bytes] = Counter()
         for pdf in batches:
             for text in pdf["text"]:
-                held.update(t[:64] for t in tokens_of(text))
+                held.update(map(key_of, tokens_of(text)))
                 if len(held) > 400_000:
                     yield pd.DataFrame({"token": list(held.keys()), "n": list(held.values())})
                     held = Counter()
@@ -63,16 +71,20 @@ def token_counts(docs: DataFrame) -> DataFrame:
 class Vocabulary:
     """The most frequent tokens have numbers of their own; the others share ``RARE`` by their last bytes."""
 
-    def __init__(self, ranked: list[tuple[bytes, int]], rest: int):
+    def __init__(self, ranked: list[tuple[bytes, int]], rest: int, counts: DataFrame):
+        self.counts = counts
         own = ranked[: VOCAB - RARE]
         self.number = {t: i for i, (t, _) in enumerate(own)}
         self.count = np.ones(VOCAB)
         self.count[: len(own)] += [n for _, n in own]
         self.count[VOCAB - RARE :] += rest / RARE
 
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"counts": None}
+
     def encode(self, tokens: list[bytes]) -> np.ndarray:
         get = self.number.get
-        out = np.fromiter((get(t[:64], -1) for t in tokens), np.int32, len(tokens))
+        out = np.fromiter((get(key_of(t), -1) for t in tokens), np.int32, len(tokens))
         for i in np.flatnonzero(out < 0).tolist():
             out[i] = VOCAB - RARE + zlib.crc32(tokens[i][-3:]) % RARE
         return out
@@ -84,8 +96,22 @@ def vocabulary(docs: DataFrame) -> Vocabulary:
     counts = scratch.keep(token_counts(docs))
     ranked = [(bytes(r["token"]), r["n"]) for r in counts.orderBy(F.desc("n"), "token").limit(VOCAB - RARE).collect()]
     total = counts.agg(F.sum("n")).first()[0] or 0
-    scratch.drop(counts)
-    return Vocabulary(ranked, total - sum(n for _, n in ranked))
+    return Vocabulary(ranked, total - sum(n for _, n in ranked), counts)
+
+
+def _in_bucket(vocab: Vocabulary, rare: DataFrame) -> DataFrame:
+    """(row, tail): the summed log P(token | bucket) of the tokens (row, token, times).
+
+    A count is raised by one, and one more is left in each bucket for all tokens never counted.
+    """
+    bucket = F.pmod(F.crc32(F.substring("token", -3, 3)), F.lit(RARE))
+    session = rare.sparkSession
+    own = session.createDataFrame([(bytearray(t),) for t in vocab.number], "token binary")
+    others = vocab.counts.join(F.broadcast(own), "token", "left_anti")
+    totals = others.groupBy(bucket.alias("bucket")).agg(F.sum(F.col("n") + 1).alias("total"))
+    judged = rare.join(others, "token", "left").withColumn("bucket", bucket).join(F.broadcast(totals), "bucket", "left")
+    log_p = F.log((F.coalesce("n", F.lit(0)) + 1) / (F.coalesce("total", F.lit(0)) + 1))
+    return judged.groupBy("row").agg(F.sum(F.col("times") * log_p).alias("tail"))
 
 
 def start(vocab: Vocabulary, seed: int = 7) -> list[np.ndarray]:
@@ -230,12 +256,14 @@ def score(docs: DataFrame, vocab: Vocabulary, weights: list[np.ndarray]) -> Data
     """
     held = docs.sparkSession.sparkContext.broadcast((vocab, weights))
 
-    @F.pandas_udf("n_tokens long, log_likelihood double")
+    @F.pandas_udf("n_tokens long, log_likelihood double, rare array<binary>, times array<int>")
     def judge(texts: pd.Series) -> pd.DataFrame:
         words, own = held.value
         sizes: list[int] = []
         sums: list[float] = []
         group: list[np.ndarray] = []
+        rare: list[list[bytes]] = []
+        times: list[list[int]] = []
 
         def flush() -> None:
             counts = np.array([len(i) for i in group], np.int64)
@@ -249,16 +277,25 @@ def score(docs: DataFrame, vocab: Vocabulary, weights: list[np.ndarray]) -> Data
 
         size = 0
         for text in texts:
-            ids = words.encode(tokens_of(text))
+            tokens = tokens_of(text)
+            ids = words.encode(tokens)
             group.append(ids)
+            shared = Counter(key_of(tokens[i]) for i in np.flatnonzero(ids >= VOCAB - RARE).tolist())
+            rare.append(list(shared.keys()))
+            times.append(list(shared.values()))
             size += len(ids)
             if size >= 1 << 18:
                 flush()
                 size = 0
         flush()
-        return pd.DataFrame({"n_tokens": pd.Series(sizes, dtype="int64"), "log_likelihood": pd.Series(sums, dtype="float64")})
-
-    out = docs.select("doc_id", judge(F.col("text").cast("string")).alias("s")).select("doc_id", "s.*")
+        return pd.DataFrame({"n_tokens": pd.Series(sizes, dtype="int64"), "log_likelihood": pd.Series(sums, dtype="float64"), "rare": pd.Series(rare, dtype=object), "times": pd.Series(times, dtype=object)})
+
+    scratch = Scratch(docs.sparkSession, "judged")
+    judged = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", judge(F.col("text").cast("string")).alias("s"))
+    judged = scratch.keep(judged.select("row", "doc_id", "s.*"))
+    rare = judged.select("row", F.explode(F.arrays_zip("rare", "times")).alias("r")).select("row", F.col("r.rare").alias("token"), F.col("r.times").alias("times"))
+    out = judged.select("row", "doc_id", "n_tokens", "log_likelihood").join(_in_bucket(vocab, rare), "row", "left")
+    out = out.select("doc_id", "n_tokens", (F.col("log_likelihood") + F.coalesce("tail", F.lit(0.0))).alias("log_likelihood"))
     return out.withColumn("per_token", F.when(F.col("n_tokens") > 0, F.col("log_likelihood") / F.col("n_tokens")))
 
 

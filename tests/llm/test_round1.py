@@ -2,7 +2,7 @@
 
 import numpy as np
 
-from privbatch.llm import line_dedup, queries, simhash, wrapper
+from privbatch.llm import line_dedup, masked_lm, queries, simhash, wrapper
 
 
 def _grams(line):
@@ -90,3 +90,15 @@ def test_pipeline_near_duplicates(spark):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r["doc_id"] for r in simhash.keep_one(docs, width=5).collect()}
     assert got == want and 0 < len(want) < len(texts) - 8
+
+
+def test_op1_rare_tokens_by_their_own_counts(spark):
+    """Tokens of one bucket differ by the ratio of their counts over all documents, long ones by all their bytes."""
+    long = "q" * 70
+    texts = [" ".join(f"c{i}" for i in range(960))] * 60 + [" ".join(["aaaxyz"] * 50), f"{long}1xyz {long}1xyz"]
+    texts += ["aaaxyz", "bbbxyz", f"{long}1xyz", f"{long}2xyz", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in masked_lm.digest(docs).collect()}
+    a, b, c, d = (got[62 + k]["log_likelihood"] for k in range(4))
+    assert np.isclose(a - b, np.log(52 / 2)) and np.isclose(c - b, np.log(4 / 2)) and np.isclose(d, b)
+    assert len(got) == len(texts) and got[66]["n_tokens"] == 0 and got[66]["log_likelihood"] == 0
