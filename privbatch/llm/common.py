@@ -17,12 +17,18 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared checkpoint folder of the session; a temporary one if the session names none."""
+    """The shared checkpoint folder of the session.
+
+    Where the session names none, a local session gets a temporary folder of its own; on a
+    cluster that folder would be another one on every machine, so there it is an error.
+    """
     named = spark.conf.get("spark.checkpoint.dir", "") or ""
     if named:
         return named.rstrip("/")
     held = spark.sparkContext.getCheckpointDir()
     if not held:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("name a folder that all machines share in spark.checkpoint.dir")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="privbatch-"))
         held = spark.sparkContext.getCheckpointDir()
     return held.rstrip("/")

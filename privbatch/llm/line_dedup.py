@@ -1,20 +1,22 @@
 """Fuzzy line deduplication by MinHash, in DataFrame functions only.
 
 1.  Lines (split at line feeds, white space collapsed and trimmed, lower-cased; blank ones take no
-    part) are named by a 64-bit hash, so exact repeats fall together before anything else.
-2.  Signatures: a ``Cut`` says what a shingle is.  ``GRAMS``, which the query and the pipeline
-    use, takes every run of five characters; ``WORDS`` takes every run of five words, for whole
-    documents; ``STARTS`` takes the characters from every word start to the third character of
-    the next word (lines almost without spaces give every run of ``RUN`` characters instead).
-    Each of ``rows * bands`` hash functions keeps its minimum over the line's shingles, by a
-    partial aggregation that never gathers the shingles of a line.
-3.  Banding: two lines are candidates if they agree on all rows of some band (recall 0.998 at
-    similarity 0.8, for every cut) and on ``agree`` of all hash functions (0.999).
-4.  A band's list of up to ``SMALL`` lines gives all its pairs.  A longer one first ties each
-    member to four members drawn by hash; that joins a group of copies without pairing it off.
-    Lists in which more than one component is then left are cut by each other;
-    of the lines that still meet lines of another component there, all those of different
-    components are candidates that share one of their rarest shingles, which no similar pair misses.
+    part) are named by a 64-bit hash, so exact repeats fall together before anything else, and a
+    line that fills a third of the table is worked on once.
+2.  Signatures: shingles are all runs of five characters (``GRAMS``), or of five words for whole
+    documents (``WORDS``); a text shorter than that is its own shingle.  Every shingle is hashed
+    once and falls into one of ``BINS`` bins by its low bits; a bin keeps its smallest hash.  An
+    empty bin borrows from the first filled one of a random order of its own, so each of the
+    signature's values agrees between two lines with the probability of their Jaccard similarity,
+    for short lines as for long ones.
+3.  Banding: ``BANDS`` bands of ``ROWS`` values.  Lines that agree in a band are listed together
+    (two lines of similarity 0.8 meet in some list with probability 0.99, of 0.85 with 0.999);
+    they are candidates if ``AGREE`` of all values agree too (0.999 at 0.8).
+4.  Every line is first verified against one line only: of the smallest members of its lists, the
+    one that agrees most.  That ties a group of copies together with one check a line.
+    Then, in lists with members of more than one component, all candidates of different
+    components are verified.  So no candidate link is lost, and pairs inside a component, of
+    which a group of copies has the square, are never made.
 5.  Candidates are verified by the exact Jaccard similarity of their shingle sets.
 6.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
@@ -33,26 +35,24 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, components
 
-RUN = 9
-SPACED = 20
-SMALL = 8
 SIMILARITY = 0.8
-MOST_BROADCAST = 500_000
+BINS = 64
+ROWS = 5
+BANDS = 12
+AGREE = 40
+PROBES = 16
+MOST_BROADCAST = 200_000
 
 
 class Cut(NamedTuple):
-    """What a shingle is, and the signature that finds pairs of 0.8 under it."""
+    """What a shingle is: runs of ``size`` characters ("grams") or words ("words")."""
 
     kind: str
     size: int
-    rows: int
-    bands: int
-    agree: int
 
 
-GRAMS = Cut("grams", 5, rows=3, bands=9, agree=14)
-WORDS = Cut("words", 5, rows=2, bands=6, agree=5)
-STARTS = Cut("starts", 0, rows=2, bands=6, agree=5)
+GRAMS = Cut("grams", 5)
+WORDS = Cut("words", 5)
 
 
 def normal(line: Column) -> Column:
@@ -66,187 +66,161 @@ def _looked_up(keys: DataFrame) -> DataFrame:
     return F.broadcast(keys) if keys.count() <= MOST_BROADCAST else keys
 
 
+def named(text: Column) -> Column:
+    """The name of a whole text."""
+    return F.xxhash64(text.cast("string"))
+
+
 def lines_of(docs: DataFrame) -> DataFrame:
-    """(doc_id, pos, line, h) of every line that is not blank; h names its normal form."""
-    out = docs.select("doc_id", F.posexplode(F.split(F.col("text").cast("string"), "\n", -1)).alias("pos", "line"))
-    out = out.select("doc_id", "pos", normal(F.col("line")).alias("line")).where("line <> ''")
+    """(doc_id, of, pos, line, h) of every line that is not blank; h names its normal form, of the text it stands in."""
+    own = docs.select("doc_id", named(F.col("text")).alias("of"), F.split(F.col("text").cast("string"), "\n", -1).alias("lines"))
+    out = own.select("doc_id", "of", F.posexplode("lines").alias("pos", "line"))
+    out = out.select("doc_id", "of", "pos", normal(F.col("line")).alias("line")).where("line <> ''")
     return out.withColumn("h", F.xxhash64("line"))
 
 
-def with_shingles(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
-    """Adds s, the hashes of the line's shingles, with repeats.
+# ---- shingles -----------------------------------------------------------------------------------
 
-    Every character is in some shingle.  A line shorter than one run is its own shingle.  Under
-    ``STARTS`` a line of over ``SPACED`` characters a word is taken as text without word spaces.
-    """
-    held = _tokens(lines, cut)
-    runs = F.transform("tokens", lambda r: F.xxhash64(r))
-    if cut.kind == "grams":
-        return held.withColumn("s", runs).drop("tokens")
-    if cut.kind == "words":
-        at = F.sequence(F.lit(0), F.greatest(F.lit(0), F.size("tokens") - cut.size))
-        return held.withColumn("s", F.transform(at, lambda i: _words_from(i, cut))).drop("tokens")
-    spaced = F.zip_with("tokens", F.slice("tokens", 2, F.size("tokens")), lambda w, after: F.xxhash64(w, F.substring(after, 1, 3)))
-    return held.withColumn("s", F.when(F.col("spaced"), spaced).otherwise(runs)).drop("tokens", "spaced")
 
+def _tokens(line: Column, cut: Cut) -> Column:
+    """The line in a form in which the shingle at any place is found at once: words, or four bytes a character."""
+    return F.split(line, " ") if cut.kind == "words" else F.encode(line, "UTF-32")
 
-def _words_from(at: Column, cut: Cut) -> Column:
-    return F.xxhash64(*[F.get("tokens", at + k) for k in range(cut.size)])
 
+def _places(tokens: Column, cut: Cut) -> Column:
+    """The places at which shingles begin; always one."""
+    n = F.size(tokens) if cut.kind == "words" else F.shiftright(F.length(tokens), 2)
+    return F.sequence(F.lit(0), F.greatest(F.lit(0), n - cut.size))
 
-def _tokens(lines: DataFrame, cut: Cut) -> DataFrame:
-    """Adds tokens: the character runs or the words of a line; under ``STARTS`` spaced tells which."""
-    if cut.kind == "words":
-        return lines.withColumn("tokens", F.split("line", " "))
-    size = RUN if cut.kind == "starts" else cut.size
-    runs = F.regexp_extract_all("line", F.lit(f"(?s)(?=(.{{{size}}}))"), F.lit(1))
-    if cut.kind == "grams":
-        return lines.withColumn("tokens", F.when(F.length("line") < size, F.array("line")).otherwise(runs))
-    # the words are a column of their own, for a function's argument is worked out at every use
-    held = lines.withColumn("words", F.split("line", " ")).withColumn("spaced", F.length("line") <= SPACED * F.size("words"))
-    return held.withColumn("tokens", F.when(F.col("spaced"), F.col("words")).otherwise(runs)).drop("words")
-
-
-def shingle_rows(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
-    """(h, x): the shingles of ``with_shingles`` as rows; compiled as one span, which array functions would break."""
-    held = _tokens(lines, cut)
-    # no line is without tokens; posexplode() would add a filter that works out all of them once more
-    if cut.kind == "grams":
-        return held.select("h", F.explode_outer("tokens").alias("token")).select("h", F.xxhash64("token").alias("x"))
+
+def _shingle(tokens: Column, at: Column, cut: Cut) -> Column:
+    """The hash of the shingle that begins at a place."""
     if cut.kind == "words":
-        placed = held.select("h", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
-        return placed.where((F.col("at") == 0) | (F.col("at") + cut.size <= F.size("tokens"))).select("h", _words_from(F.col("at"), cut).alias("x"))
-    placed = held.select("h", "spaced", "tokens", F.posexplode_outer("tokens").alias("at", "token"))
-    after = F.when(F.col("spaced"), F.substring(F.get("tokens", F.col("at") + 1), 1, 3))
-    return placed.select("h", F.xxhash64("token", after).alias("x"))
+        return F.xxhash64(*[F.get(tokens, at + k) for k in range(cut.size)])
+    return F.xxhash64(F.substring(tokens, at * 4 + 1, F.lit(4 * cut.size)))
+
+
+def shingle_rows(lines: DataFrame, cut: Cut = GRAMS) -> DataFrame:
+    """(h, x): the hashes of all shingles of the lines, with repeats; compiled as one span, which array functions would break."""
+    held = lines.select("h", _tokens(F.col("line"), cut).alias("tokens"))
+    placed = held.select("h", "tokens", F.explode(_places(F.col("tokens"), cut)).alias("at"))
+    return placed.select("h", _shingle(F.col("tokens"), F.col("at"), cut).alias("x"))
 
 
-def signatures(lines: DataFrame, cut: Cut = STARTS) -> DataFrame:
-    """(h, m0, m1, ...) of every distinct line."""
-    return shingle_rows(lines, cut).groupBy("h").agg(*[F.min(F.hash("x", F.lit(k))).alias(f"m{k}") for k in range(cut.rows * cut.bands)])
+def shingle_set(line: Column, cut: Cut = GRAMS) -> Column:
+    """The distinct hashes of the shingles of one line."""
+    own = F.transform(F.array(_tokens(line, cut)), lambda t: F.transform(_places(t, cut), lambda i: _shingle(t, i, cut)))
+    return F.array_distinct(F.get(own, F.lit(0)))
+
+
+# ---- signatures and bands -----------------------------------------------------------------------
+
+
+def signatures(lines: DataFrame, cut: Cut = GRAMS) -> DataFrame:
+    """(h, bands, g) of every distinct line: its keys in all bands, and eight bits of each value packed into longs.
+
+    The texts travel once, and equal ones meet before; shingles and bins are worked out where
+    a text lies then, so neither is shuffled.
+    """
+    texts = lines.groupBy("h").agg(F.first("line").alias("line"))
+    least = shingle_rows(texts, cut).withColumn("bin", F.col("x").bitwiseAND(F.lit(BINS - 1)).cast("int"))
+    least = least.groupBy("h", "bin").agg(F.min("x").alias("x"))
+    held = least.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("bin", "x"))).alias("m"))
+
+    # where an empty bin looks next is the same for every line
+    tries = ", ".join(f"m[cast(shiftright((k * {BINS} + {a}) * 2654435761L, 13) & {BINS - 1} AS int)]" for a in range(1, PROBES))
+    filled = held.select("h", F.expr(f"transform(sequence(0, {BINS - 1}), k -> coalesce(m[k], {tries}, array_min(map_values(m))))").alias("v"))
+    keys = [f"xxhash64({b}, {', '.join(f'v[{b + BANDS * r}]' for r in range(ROWS))})" for b in range(BANDS)]
+    packed = [" | ".join(f"shiftleft(shiftright(v[{8 * i + j}], 8) & 255, {8 * j})" for j in range(8)) for i in range(BINS // 8)]
+    return filled.select("h", F.expr(f"array({', '.join(keys)})").alias("bands"), F.expr(f"array({', '.join(packed)})").alias("g"))
 
 
-def band_keys(cut: Cut = STARTS) -> Column:
-    """The keys of a line in all bands, from its signature."""
-    return F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * cut.rows + r}") for r in range(cut.rows)]) for b in range(cut.bands)])
+def bands(signed: DataFrame) -> DataFrame:
+    """(band, h): the key of each line in each band."""
+    return signed.select(F.explode("bands").alias("band"), "h")
 
 
-def bands(signed: DataFrame, cut: Cut = STARTS) -> DataFrame:
-    """(band, i, h): the key of each line in each band, and the band's number."""
-    return signed.select(F.posexplode(band_keys(cut)).alias("i", "band"), "h")
+def agreement(a: str, b: str) -> Column:
+    """How many of the values of two signatures agree, from their packed bits."""
 
+    differing = []
+    for i in range(BINS // 8):
+        x = f"({a}[{i}] ^ {b}[{i}])"
+        for shift, mask in ((4, 0x0F0F0F0F0F0F0F0F), (2, 0x0303030303030303), (1, 0x0101010101010101)):
+            x = f"(({x} | shiftrightunsigned({x}, {shift})) & {mask}L)"
+        differing.append(f"bit_count({x})")
+    return F.expr(f"{BINS} - ({' + '.join(differing)})")
 
-def _agreeing(pairs: DataFrame, signed: DataFrame, cut: Cut) -> DataFrame:
-    """The distinct pairs (a, b) that agree on ``cut.agree`` hash functions."""
-    every = range(cut.rows * cut.bands)
-    left = signed.select(F.col("h").alias("a"), *[F.col(f"m{k}").alias(f"a{k}") for k in every])
-    right = signed.select(F.col("h").alias("b"), *[F.col(f"m{k}").alias(f"b{k}") for k in every])
-    same = sum((F.when(F.col(f"a{k}") == F.col(f"b{k}"), 1).otherwise(0) for k in every), F.lit(0))
-    return pairs.distinct().join(left, "a").join(right, "b").where(same >= cut.agree).select("a", "b")
+
+# ---- links --------------------------------------------------------------------------------------
 
 
 def _ordered(a: str, b: str) -> list[Column]:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
-def candidates(scratch: Scratch, signed: DataFrame, small: int = SMALL, cut: Cut = STARTS) -> tuple[DataFrame, DataFrame | None]:
-    """Distinct candidate pairs (a, b), a < b, and the members (band, i, h) of longer lists, None if there are none."""
-    posted = bands(signed, cut)
-    lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b"))
-    lists = scratch.keep(lists.where("n > 1"))
-    longer = lists.where("n > 2").select("band", "n")
-    members = scratch.keep(posted.join(_looked_up(longer), "band"))
-    short = members.where(F.col("n") <= small).select("band", "h")
-    pairs = short.alias("x").join(short.alias("y"), "band").where("x.h < y.h").select(F.col("x.h").alias("a"), F.col("y.h").alias("b"))
-    long = members.where(F.col("n") > small).select("band", "i", "h")
-    drawn = long.groupBy("band").agg(*[F.min_by("h", F.xxhash64("h", F.lit(k))).alias(f"r{k}") for k in range(4)])
-    tied = long.join(drawn, "band").select("h", F.explode(F.array("r0", "r1", "r2", "r3")).alias("r")).where("h <> r")
-    out = lists.where("n = 2").select("a", "b").unionByName(pairs).unionByName(tied.select(*_ordered("h", "r")))
-    out = scratch.keep(_agreeing(out, signed, cut))
-    return out, None if long.isEmpty() else long
-
-
-def across(scratch: Scratch, long: DataFrame, roots: DataFrame, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
-    """Verified links between lines of different components that meet in two longer lists."""
-    placed = long.join(_looked_up(roots), "h", "left").select("band", "i", "h", F.coalesce("root", "h").alias("root"))
-    placed = scratch.keep(placed)
-    open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
-    # two lines that meet in a shorter list are candidates by that already, so only longer lists cut each other
-    left = scratch.keep(placed.join(_looked_up(scratch.keep(open_lists)), "band"))
-    other = left.select("h", F.col("band").alias("other"), F.col("i").alias("j"))
-    paired = scratch.keep(left.join(other, "h").where("i < j").select(F.xxhash64("band", "other").alias("key"), "h", "root"))
-    some = paired.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
-    met = scratch.keep(paired.join(_looked_up(scratch.keep(some)), "key").select("h", "root").distinct())
-    sets = scratch.keep(_sets(lines, met.select("h"), cut))
-    return similar_apart(scratch, sets, met, similarity)
-
-
-def similar_apart(scratch: Scratch, sets: DataFrame, met: DataFrame, similarity: float) -> DataFrame:
-    """All pairs (a, b) of sets (h, s) of the similarity that have different roots in met (h, root)."""
-    posted = scratch.keep(prefixes(scratch, sets, similarity).join(met, "h"))
-    x, y = posted.where("short").alias("x"), posted.alias("y")
-    ordered = F.expr("x.k < y.k OR (x.k = y.k AND x.h < y.h)") & (F.col("x.k") >= similarity * F.col("y.k"))
-    # where a similar pair first meets, what is left of both sets still holds all that they must share
-    left_over = F.least(F.col("x.k") - F.col("x.place"), F.col("y.k") - F.col("y.place"))
-    enough = left_over >= similarity / (1 + similarity) * (F.col("x.k") + F.col("y.k")) - 1e-9
-    pairs = x.join(y, "rare").where("x.root <> y.root").where(ordered & enough).select(*_ordered("x.h", "y.h")).distinct()
-    return verified(pairs, sets, similarity)
-
-
-def prefixes(scratch: Scratch, sets: DataFrame, similarity: float) -> DataFrame:
-    """(h, k, place, rare, short): the rarest shingles of each set of k, of which two similar sets share one.
-
-    In any one order of all shingles, two sets of the similarity share a shingle among the first
-    k - ceil(similarity * k) + 1 of each; of the smaller set, ``short`` marks the first few that
-    suffice.  ``place`` is the rank, from 0.  The order is by rising frequency, so that lines with a common passage do not meet on
-    it.  Shingles of one set alone come first and meet nothing: only their number matters.
-    """
-    rows = sets.select("h", F.explode("s").alias("x"))
-    counts = scratch.keep(rows.groupBy("x").agg(F.count("*").alias("n")).where("n > 1"))
-    shared = rows.join(_looked_up(counts), "x").groupBy("h").agg(F.sort_array(F.collect_list(F.struct("n", "x"))).alias("c"))
-    sized = shared.join(sets.select("h", F.size("s").alias("k")), "h").withColumn("alone", F.col("k") - F.size("c"))
+def _agreeing(pairs: DataFrame, signed: DataFrame) -> DataFrame:
+    """(a, b, same) of the pairs of which ``AGREE`` values agree."""
+    left = signed.select(F.col("h").alias("a"), F.col("g").alias("ga"))
+    right = signed.select(F.col("h").alias("b"), F.col("g").alias("gb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", agreement("ga", "gb").alias("same")).where(F.col("same") >= AGREE)
 
-    def first(share: float) -> Column:
-        return F.greatest(F.lit(0), F.col("k") - F.ceil(F.col("k") * share - 1e-9).cast("int") + 1 - F.col("alone"))
 
-    out = sized.select("h", "k", "alone", first(2 * similarity / (1 + similarity)).alias("few"), F.posexplode(F.slice("c", F.lit(1), first(similarity))).alias("at", "own"))
-    return out.select("h", "k", (F.col("alone") + F.col("at")).alias("place"), F.col("own.x").alias("rare"), (F.col("at") < F.col("few")).alias("short"))
+def verified(scratch: Scratch, pairs: DataFrame, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
+    """The pairs (a, b) of lines whose shingle sets have the Jaccard similarity."""
+    pairs = scratch.keep(pairs)
+    used = _looked_up(scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()))
+    texts = scratch.keep(lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line")))
+    both = pairs.join(texts.select(F.col("h").alias("a"), F.col("line").alias("la")), "a")
+    both = both.join(texts.select(F.col("h").alias("b"), F.col("line").alias("lb")), "b")
+    sets = F.array(F.struct(shingle_set(F.col("la"), cut).alias("x"), shingle_set(F.col("lb"), cut).alias("y")))
+    shared = lambda p: F.size(F.array_intersect(p["x"], p["y"])) * F.lit(1 + similarity)
+    enough = F.exists(sets, lambda p: shared(p) >= (F.size(p["x"]) + F.size(p["y"])) * F.lit(similarity * (1 - 1e-12)))
+    return both.where(enough).select("a", "b")
 
 
-def verified(pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The candidate pairs whose shingle sets have the Jaccard similarity; texts is (h, s), s the set."""
-    both = pairs.join(texts.select(F.col("h").alias("a"), F.col("s").alias("sa")), "a").join(texts.select(F.col("h").alias("b"), F.col("s").alias("sb")), "b")
-    both = both.where(F.least(F.size("sa"), F.size("sb")) >= similarity * F.greatest(F.size("sa"), F.size("sb")))
-    shared = F.size(F.array_intersect("sa", "sb"))
-    both = both.select("a", "b", (F.size("sa") + F.size("sb")).alias("d"), shared.alias("s"))
-    return both.where(F.col("s") >= similarity * (F.col("d") - F.col("s"))).select("a", "b")
+def across(scratch: Scratch, members: DataFrame, roots: DataFrame, signed: DataFrame) -> DataFrame:
+    """The candidates (a, b) of different components among the members (band, h) of lists.
 
-
-def _sets(lines: DataFrame, used: DataFrame, cut: Cut) -> DataFrame:
-    """(h, s): the shingle sets of the lines with the distinct names ``used``."""
-    used = _looked_up(used)
-    texts = lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line"))
-    return with_shingles(texts, cut).select("h", F.array_distinct("s").alias("s"))
+    Only lists with more than one component are looked into.  The join compares signatures as
+    it meets them, so its result holds candidates only.
+    """
+    placed = members.join(_looked_up(roots), "h", "left").select("band", "h", F.coalesce("root", "h").alias("root"))
+    placed = scratch.keep(placed)
+    open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
+    left = scratch.keep(placed.join(_looked_up(scratch.keep(open_lists)), "band").join(signed.select("h", "g"), "h"))
+    x, y = left.select("band", F.col("h").alias("a"), F.col("root").alias("ra"), F.col("g").alias("ga")), left.select("band", F.col("h").alias("b"), F.col("root").alias("rb"), F.col("g").alias("gb"))
+    met = x.join(y, (x["band"] == y["band"]) & (F.col("ra") < F.col("rb")) & (agreement("ga", "gb") >= AGREE))
+    return met.select(*_ordered("a", "b")).distinct()
 
 
-def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
-    """(node, root) of every distinct line that is linked to another one."""
+def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
+    """(node, root) of every distinct line (h, line) that is linked to another one."""
     signed = scratch.keep(signatures(lines, cut))
-    pairs, long = candidates(scratch, signed, cut=cut)
-    used = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct())
-    found = scratch.keep(verified(pairs, _sets(lines, used, cut), similarity))
+    posted = bands(signed)
+    lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b")).where("n > 1")
+    lists = scratch.keep(lists)
+    members = scratch.keep(posted.join(_looked_up(lists.where("n > 2").select("band", "a")), "band"))
+    # the smallest member of a list against each other one
+    tied = lists.where("n = 2").select("a", "b").unionByName(members.where("h <> a").select("a", F.col("h").alias("b"))).distinct()
+    tied = scratch.keep(_agreeing(tied, signed))
+    nearest = tied.groupBy("b").agg(F.max_by("a", F.struct("same", "a")).alias("a")).select("a", "b")
+    found = scratch.keep(verified(scratch, nearest, lines, similarity, cut))
     roots = components(scratch, found)
-    if long is None:
-        return roots
-    extra = scratch.keep(across(scratch, long, roots.select(F.col("node").alias("h"), "root"), lines, similarity, cut))
+    named = scratch.keep(roots.select(F.col("node").alias("h"), "root"))
+    # ties not checked yet, and candidates in lists of more than two, where components still differ
+    root_of = lambda side: named.select(F.col("h").alias(side), F.col("root").alias(f"r{side}"))
+    apart = tied.join(nearest, ["a", "b"], "left_anti").join(root_of("a"), "a", "left").join(root_of("b"), "b", "left")
+    apart = apart.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
+    more = apart.unionByName(across(scratch, members.select("band", "h"), named, signed)).distinct()
+    extra = scratch.keep(verified(scratch, more, lines, similarity, cut))
     if extra.isEmpty():
-        return roots
-    tree = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
-    return components(scratch, tree.unionByName(extra))
+        return named.select(F.col("h").alias("node"), "root")
+    return components(scratch, named.select(F.col("h").alias("a"), F.col("root").alias("b")).unionByName(extra))
 
 
-def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None, cut: Cut = STARTS) -> DataFrame:
-    """(doc_id, pos, h, kept) of every line that is not blank.
+def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None, cut: Cut = GRAMS) -> DataFrame:
+    """(doc_id, of, pos, h, kept) of every line that is not blank; of names the text it stands in.
 
     A null or empty text has no lines.  Lines of any length take part.  A null doc_id sorts
     before all ids.  Repeated rows of one document count as one document: their lines get the
@@ -256,34 +230,45 @@ def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch |
     scratch = scratch or Scratch(docs.sparkSession, "lines")
     lines = lines_of(docs)
     roots = links(scratch, lines, similarity, cut).select(F.col("node").alias("h"), "root")
-    placed = lines.select("doc_id", "pos", "h").join(_looked_up(roots), "h", "left")
-    placed = scratch.keep(placed.select("doc_id", "pos", "h", F.coalesce("root", "h").alias("root")))
+    placed = lines.select("doc_id", "of", "pos", "h").join(_looked_up(roots), "h", "left")
+    placed = scratch.keep(placed.select("doc_id", "of", "pos", "h", F.coalesce("root", "h").alias("root")))
     # a line that is alone in its component stays, and needs no partner in the join
     first = placed.groupBy("root").agg(F.min(F.struct("doc_id", "pos")).alias("first"), F.count("*").alias("n")).where("n > 1").select("root", "first")
     judged = placed.join(_looked_up(scratch.keep(first)), "root", "left")
     kept = F.col("first").isNull() | F.struct("doc_id", "pos").eqNullSafe(F.col("first"))
-    return judged.select("doc_id", "pos", "h", kept.alias("kept"))
+    return judged.select("doc_id", "of", "pos", "h", kept.alias("kept"))
+
+
+def _without(text: Column, gone: Column) -> Column:
+    """The text without the lines of these rising numbers: what lies between them, put together again."""
+
+    def joined(parts: Column) -> Column:
+        low = lambda k: F.coalesce(F.get(gone, k - 1) + 1, F.lit(0))
+        high = lambda k: F.coalesce(F.get(gone, k), F.size(parts))
+        between = F.transform(F.sequence(F.lit(0), F.size(gone)), lambda k: F.slice(parts, low(k) + 1, high(k) - low(k)))
+        return F.array_join(F.flatten(between), "\n")
 
+    return F.get(F.transform(F.array(F.split(text, "\n", -1)), joined), F.lit(0))
 
-def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY, cut: Cut = STARTS) -> DataFrame:
+
+def dedup_lines(docs: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
     """The documents without their repeated lines; all columns and all documents stay.
 
     Blank lines stay.  n_chars, if there is such a column, is set to the new length.  A null
     text stays null; a text all of whose lines go becomes empty.
     """
-    gone = verdicts(docs, similarity, cut=cut).where("not kept").select(F.col("doc_id").alias("__id"), F.struct("pos", "h").alias("__g"))
-    gone = gone.groupBy("__id").agg(F.collect_set("__g").alias("__gone"))
-    parts = F.split(F.col("text").cast("string"), "\n", -1)
-    marked = F.transform(parts, lambda line, i: F.struct(i.alias("pos"), F.xxhash64(normal(line)).alias("h"), line.alias("line")))
-    stay = F.filter(marked, lambda m: ~F.array_contains("__gone", F.struct(m["pos"].alias("pos"), m["h"].alias("h"))))
-    text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(stay, lambda m: m["line"]), "\n"))
-    out = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")), "left").withColumn("text", text)
+    gone = verdicts(docs, similarity, cut=cut).where("not kept").groupBy("doc_id", "of").agg(F.sort_array(F.collect_set("pos")).alias("gone"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").alias("id"), named(F.col("text")).alias("of"))
+    out = rows.join(gone.withColumnRenamed("of", "name"), F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("of") == F.col("name")), "left")
+    cut_text = F.when(F.col("gone").isNull(), F.col("row.text")).otherwise(_without(F.col("row.text").cast("string"), F.col("gone")))
+    out = out.select("row", cut_text.alias("text"), F.col("gone").isNotNull().alias("cut"))
+    fresh = {"text": F.col("text")}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("__gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return out.select(*docs.columns)
+        fresh["n_chars"] = F.when(F.col("cut"), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
+    return out.select(*[fresh.get(c, F.col("row")[c]).alias(c) for c in docs.columns])
 
 
-def digest(docs: DataFrame, cut: Cut = STARTS) -> DataFrame:
+def digest(docs: DataFrame, cut: Cut = GRAMS) -> DataFrame:
     """(doc_id, n_lines, n_removed, removed): the numbers of the lines that go, rising."""
     scratch = Scratch(docs.sparkSession, "lines")
     seen = verdicts(docs, scratch=scratch, cut=cut).groupBy("doc_id").agg(
@@ -294,5 +279,3 @@ def digest(docs: DataFrame, cut: Cut = STARTS) -> DataFrame:
     out = ids.join(seen, F.col("d").eqNullSafe(F.col("doc_id")), "left")
     gone = F.coalesce("removed", F.array().cast("array<int>"))
     return out.select(F.col("d").alias("doc_id"), F.coalesce("n_lines", F.lit(0)).alias("n_lines"), F.size(gone).cast("long").alias("n_removed"), gone.alias("removed"))
-
-

@@ -9,7 +9,6 @@ import pytest
 import xxhash
 
 from privbatch.llm import bfd_packing, crf_language, decontaminate, ffd_packing, line_dedup, masked_lm, pu_quality, simhash, top_k, wrapper
-from privbatch.llm.common import Scratch
 
 SF = "/root/testdata/sf0.001"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, component_id long, score double"
@@ -168,7 +167,10 @@ def test_line_dedup(spark, odd):
     rows = [(i, f"{base} {base[::-1]} {base.upper()} x{i}\nown line {i * 7919}\n\nThe same.") for i in range(30)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(df).collect()}
-    assert got[0] == rows[0][1] and all(got[i] == f"own line {i * 7919}\n" for i in range(1, 30))
+    own = [f"own line {i * 7919}" for i in range(30)]
+    sets = [{x[k : k + 5] for k in range(len(x) - 4)} for x in own]
+    first = [i for i in range(30) if not any(len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) for j in range(i))]
+    assert len(first) > 20 and got[0] == rows[0][1] and all(got[i] == (f"{own[i]}\n" if i in first else "") for i in range(1, 30))
     out = {r["doc_id"]: r for r in line_dedup.digest(odd).collect()}
     assert out[2]["removed"] == [0, 1] and out[1]["removed"] == [] and out[3]["n_lines"] == 0
     assert line_dedup.dedup_lines(odd).columns == odd.columns and line_dedup.digest(odd.limit(0)).count() == 0
@@ -177,7 +179,7 @@ def test_line_dedup(spark, odd):
 
 
 def test_line_links_brute_force(spark):
-    """Long lists with several components, texts without spaces and one-word lines, against all pairs."""
+    """Groups of near copies, texts without spaces and one-word lines, against all pairs on character runs."""
     rng = np.random.default_rng(5)
     words = [f"w{i}x" for i in range(300)]
     lines = ["tiny", "x" * 50, "".join(chr(0x4E00 + int(c)) for c in rng.integers(0, 400, 200))]
@@ -190,14 +192,7 @@ def test_line_links_brute_force(spark):
                 copy[k] = words[int(rng.integers(0, 300))]
             lines.append(" ".join(copy))
     lines = sorted(set(lines))
-
-    def cut(line):
-        w = line.split(" ")
-        if len(line) > 20 * len(w):
-            return {line[i : i + 9] for i in range(len(line) - 8)}
-        return {(a, b[:3] if b is not None else None) for a, b in zip(w, [*w[1:], None])}
-
-    sets = [cut(x) for x in lines]
+    sets = [{x[i : i + 5] for i in range(max(1, len(x) - 4))} for x in lines]
     root = list(range(len(lines)))
     near = [(a, b) for a in range(len(lines)) for b in range(a) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
     for _ in range(20):
@@ -267,30 +262,67 @@ def test_pipeline(spark):
     assert packed.columns == ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 
 
-def test_line_dedup_similar_apart(spark):
-    """Rarest-shingle prefixes against all pairs, on sets around the threshold that share a long passage."""
-    rng = np.random.default_rng(5)
-    passage = list(range(60))
-    sets = {0: [1], 1: [1], 2: [2, 3]}
-    for h in range(3, 90):
-        base = passage[: int(rng.integers(40, 61))] if h % 3 else sets[int(rng.integers(3, h))] if h > 3 else passage
-        own = [x for x in base if rng.random() > 0.06]
-        sets[h] = sorted({*own, *(1000 + 100 * h + k for k in range(int(rng.integers(0, 9))))}) or [h]
-    root = {h: h % 40 for h in sets}
-    want = {
-        (a, b) for a in sets for b in sets
-        if a < b and root[a] != root[b] and 5 * len({*sets[a]} & {*sets[b]}) >= 4 * len({*sets[a]} | {*sets[b]})
-    }
-    table = spark.createDataFrame(list(sets.items()), "h long, s array<long>")
-    met = spark.createDataFrame(list(root.items()), "h long, root long")
-    got = line_dedup.similar_apart(Scratch(spark, "test"), table, met, 0.8).collect()
-    assert len(want) > 20 and {(r["a"], r["b"]) for r in got} == want and len(got) == len(want)
+@pytest.mark.parametrize("size", [3, 4, 5])
+def test_line_signatures_recall(spark, size):
+    """Of all pairs of lines of a similarity of 0.8 or more, 0.99 meet in a band and agree, for short lines and long."""
+    rng = np.random.default_rng(size)
+    lines = []
+    for n_words in [2, 3, 5, 8, 12, 12, 12, 30, 80] * 40:
+        line = " ".join("".join(chr(97 + int(c)) for c in rng.integers(0, 26, int(rng.integers(4, 9)))) for _ in range(n_words))
+        other = line
+        for at in rng.integers(0, len(line), max(1, len(line) // 60)):
+            other = other[:at] + "#" + other[at + 1 :]
+        lines += [line, other]
+    sets = [{x[i : i + size] for i in range(max(1, len(x) - size + 1))} for x in lines]
+    near = {(i, i + 1) for i in range(0, len(lines), 2) if len(sets[i] & sets[i + 1]) >= 0.8 * len(sets[i] | sets[i + 1])}
+    cut = line_dedup.GRAMS._replace(size=size)
+    signed = line_dedup.signatures(spark.createDataFrame(list(enumerate(lines)), "h long, line string"), cut)
+    own = {r["h"]: set(r["bands"]) for r in signed.collect()}
+    met = [p for p in near if own[p[0]] & own[p[1]]]
+    pairs = line_dedup._agreeing(spark.createDataFrame(met, "a long, b long"), signed)
+    assert len(near) > 200 and pairs.count() >= 0.99 * len(near)
+    far = sum(bool(own[i] & own[j]) for i in range(0, 720, 2) for j in range(0, i, 2))
+    assert far <= 0.01 * 360 * 359 / 2
+
+
+def test_line_links_across(spark):
+    """Two groups of copies and lines between them: links that the first check of each line does not show."""
+    rng = np.random.default_rng(3)
+    base = ["".join(chr(97 + int(c)) for c in rng.integers(0, 26, 6)) for _ in range(40)]
+    lines = [" ".join(base[:k] + [w.upper()[::-1].lower() for w in base[k : k + 2]] + base[k + 2 :]) for k in range(39)]
+    lines += [" ".join([*base[: 40 - k], *(f"zz{k}{j}yx" for j in range(k))]) for k in range(1, 12)]
+    sets = [{x[i : i + 5] for i in range(len(x) - 4)} for x in lines]
+    root = list(range(len(lines)))
+    for _ in range(20):
+        for a in range(len(lines)):
+            for b in range(a):
+                if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                    root[a] = root[b] = min(root[a], root[b])
+    df = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
+    rows = line_dedup.verdicts(df).where("kept").collect()
+    assert {r["doc_id"] for r in rows} == set(root)
 
 
 def test_line_dedup_shingles_as_rows(spark):
     """The rows that signatures are made of are the shingles that similarities are worked out on."""
-    texts = ["one", "one two three", "a  b", "x" * 80, "stra\u00dfe und weg", "y" * 30 + " z"]
+    texts = ["one", "one two three", "a  b", "x" * 80, "stra\u00dfe und \U0001f600weg", "y" * 30 + " z"]
     lines = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "h long, line string")
-    rows = sorted((r["h"], r["x"]) for r in line_dedup.shingle_rows(lines).collect())
-    assert rows == sorted((r["h"], x) for r in line_dedup.with_shingles(lines).collect() for x in r["s"])
-    assert {h for h, _ in rows} == set(range(len(texts)))
+    for cut in (line_dedup.GRAMS, line_dedup.WORDS):
+        rows = {(r["h"], r["x"]) for r in line_dedup.shingle_rows(lines, cut).collect()}
+        sets = lines.select("h", line_dedup.shingle_set(lines["line"], cut).alias("s")).collect()
+        assert rows == {(r["h"], x) for r in sets for x in r["s"]}
+        assert {h for h, _ in rows} == set(range(len(texts)))
+    n = line_dedup.shingle_rows(lines).groupBy("h").count().collect()
+    assert {r["h"]: r["count"] for r in n} == {i: max(1, len(t) - 4) for i, t in enumerate(texts)}
+
+
+def test_line_dedup_clashing_names_and_repeats(spark):
+    """Columns named like the operator's own, two rows of one id with different texts, many lines that go."""
+    many = "\n".join(f"line number {i} of the first text" * 3 for i in range(300))
+    rows = [(1, many, "a", 0, True, 5), (2, many + "\nlast line is new here", "b", 1, False, 6), (3, "one text of this id", "c", 2, None, 7), (3, many.split("\n")[0], "d", 3, None, 8)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, root string, gone long, kept boolean, n_chars int")
+    got = sorted((r["doc_id"], r["text"], r["root"], r["gone"], r["n_chars"]) for r in line_dedup.dedup_lines(df).collect())
+    first = [r["pos"] for r in line_dedup.verdicts(df).where("kept and doc_id = 1").collect()]
+    want = "\n".join(x for i, x in enumerate(many.split("\n")) if i in first)
+    assert got[0] == (1, want, "a", 0, len(want)) and got[1][1] == "last line is new here" and got[2][1] == "" and got[3][1] == "one text of this id"
+    assert line_dedup.dedup_lines(df).schema == df.schema
