@@ -9,6 +9,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -66,6 +67,11 @@ class Scratch:
         back._scratch_path = path
         return back
 
+    def release(self) -> None:
+        """Lets the session delete shuffle files that no plan needs any more; it does so as its driver collects garbage."""
+        gc.collect()
+        self.spark.sparkContext._jvm.System.gc()
+
     def drop(self, *tables: DataFrame) -> None:
         for t in tables:
             _delete(self.spark, t._scratch_path)

@@ -21,13 +21,13 @@
 6.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
 
-The texts are read for the signatures, for the lines' places, and for the texts of candidate
-lines.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted; beyond
+The documents are read for the distinct lines and for the lines' places.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted; beyond
 that the same join is shuffled.
 """
 
 from __future__ import annotations
 
+from functools import reduce
 from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
@@ -41,7 +41,8 @@ ROWS = 5
 BANDS = 12
 AGREE = 40
 PROBES = 16
-MOST_BROADCAST = 200_000
+DEEP = 5
+MOST_BROADCAST = 500_000
 
 
 class Cut(NamedTuple):
@@ -57,8 +58,11 @@ WORDS = Cut("words", 5)
 
 def normal(line: Column) -> Column:
     """The line in lower case with single spaces between words; empty for any white space alone."""
-    # a single plain space is left as it is, so most lines are copied once
-    return F.lower(F.trim(F.regexp_replace(line, r"[\s\x85\p{Z}]{2,}|[\t\x0B\f\r\x85\p{Z}&&[^ ]]", " ")))
+    # most lines have single plain spaces only, which a search for bytes shows sooner than the pattern
+    odd = [F.contains(line, F.lit(x)) for x in ("  ", "\t", "\r", "\f", "\x0b")]
+    odd += [F.contains(line.cast("binary"), F.lit(bytearray(x))) for x in (b"\xc2\x85", b"\xc2\xa0", b"\xe1\x9a\x80", b"\xe2\x80", b"\xe2\x81\x9f", b"\xe3\x80\x80")]
+    single = F.regexp_replace(line, r"[\s\x85\p{Z}]{2,}|[\t\x0B\f\r\x85\p{Z}&&[^ ]]", " ")
+    return F.lower(F.trim(F.when(reduce(lambda a, b: a | b, odd), single).otherwise(line)))
 
 
 def _looked_up(keys: DataFrame) -> DataFrame:
@@ -101,10 +105,11 @@ def _shingle(tokens: Column, at: Column, cut: Cut) -> Column:
 
 
 def shingle_rows(lines: DataFrame, cut: Cut = GRAMS) -> DataFrame:
-    """(h, x): the hashes of all shingles of the lines, with repeats; compiled as one span, which array functions would break."""
+    """(h, n, x): the hashes of all n shingles of the lines, with repeats; compiled as one span, which array functions would break."""
     held = lines.select("h", _tokens(F.col("line"), cut).alias("tokens"))
-    placed = held.select("h", "tokens", F.explode(_places(F.col("tokens"), cut)).alias("at"))
-    return placed.select("h", _shingle(F.col("tokens"), F.col("at"), cut).alias("x"))
+    n = F.size("tokens") if cut.kind == "words" else F.shiftright(F.length("tokens"), 2)
+    placed = held.select("h", "tokens", n.alias("n"), F.explode(_places(F.col("tokens"), cut)).alias("at"))
+    return placed.select("h", "n", _shingle(F.col("tokens"), F.col("at"), cut).alias("x"))
 
 
 def shingle_set(line: Column, cut: Cut = GRAMS) -> Column:
@@ -116,22 +121,28 @@ def shingle_set(line: Column, cut: Cut = GRAMS) -> Column:
 # ---- signatures and bands -----------------------------------------------------------------------
 
 
-def signatures(lines: DataFrame, cut: Cut = GRAMS) -> DataFrame:
-    """(h, bands, g) of every distinct line: its keys in all bands, and eight bits of each value packed into longs.
+def texts_of(lines: DataFrame) -> DataFrame:
+    """(h, line) of every distinct line: the texts travel once, and equal ones meet before that."""
+    return lines.groupBy("h").agg(F.first("line").alias("line"))
 
-    The texts travel once, and equal ones meet before; shingles and bins are worked out where
-    a text lies then, so neither is shuffled.
+
+def signatures(texts: DataFrame, cut: Cut = GRAMS) -> DataFrame:
+    """(h, bands, g) of distinct lines (h, line): their keys in all bands, and eight bits of each value packed into longs.
+
+    Shingles and bins are worked out where ``texts_of`` has put a text, so neither is shuffled.
+    Of a line of many shingles only those are looked at that come within the lowest ``DEEP`` *
+    ``BINS`` by expectation: a bin's smallest hash is among them but for one bin in e^DEEP.
     """
-    texts = lines.groupBy("h").agg(F.first("line").alias("line"))
-    least = shingle_rows(texts, cut).withColumn("bin", F.col("x").bitwiseAND(F.lit(BINS - 1)).cast("int"))
+    value, bin_ = F.shiftrightunsigned("x", 6), F.col("x").bitwiseAND(F.lit(BINS - 1)).cast("int")
+    low = F.expr(f"{1 << 58}L div greatest(n, {DEEP * BINS}) * {DEEP * BINS}")
+    least = shingle_rows(texts, cut).where(value <= low).select("h", bin_.alias("bin"), value.alias("x"))
     least = least.groupBy("h", "bin").agg(F.min("x").alias("x"))
     held = least.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("bin", "x"))).alias("m"))
-
     # where an empty bin looks next is the same for every line
     tries = ", ".join(f"m[cast(shiftright((k * {BINS} + {a}) * 2654435761L, 13) & {BINS - 1} AS int)]" for a in range(1, PROBES))
     filled = held.select("h", F.expr(f"transform(sequence(0, {BINS - 1}), k -> coalesce(m[k], {tries}, array_min(map_values(m))))").alias("v"))
     keys = [f"xxhash64({b}, {', '.join(f'v[{b + BANDS * r}]' for r in range(ROWS))})" for b in range(BANDS)]
-    packed = [" | ".join(f"shiftleft(shiftright(v[{8 * i + j}], 8) & 255, {8 * j})" for j in range(8)) for i in range(BINS // 8)]
+    packed = [" | ".join(f"shiftleft(v[{8 * i + j}] & 255, {8 * j})" for j in range(8)) for i in range(BINS // 8)]
     return filled.select("h", F.expr(f"array({', '.join(keys)})").alias("bands"), F.expr(f"array({', '.join(packed)})").alias("g"))
 
 
@@ -166,13 +177,13 @@ def _agreeing(pairs: DataFrame, signed: DataFrame) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", agreement("ga", "gb").alias("same")).where(F.col("same") >= AGREE)
 
 
-def verified(scratch: Scratch, pairs: DataFrame, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
-    """The pairs (a, b) of lines whose shingle sets have the Jaccard similarity."""
+def verified(scratch: Scratch, pairs: DataFrame, texts: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
+    """The pairs (a, b) of distinct lines (h, line) whose shingle sets have the Jaccard similarity."""
     pairs = scratch.keep(pairs)
     used = _looked_up(scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()))
-    texts = scratch.keep(lines.select("h", "line").join(used, "h").groupBy("h").agg(F.first("line").alias("line")))
-    both = pairs.join(texts.select(F.col("h").alias("a"), F.col("line").alias("la")), "a")
-    both = both.join(texts.select(F.col("h").alias("b"), F.col("line").alias("lb")), "b")
+    own = scratch.keep(texts.select("h", "line").join(used, "h"))
+    both = pairs.join(own.select(F.col("h").alias("a"), F.col("line").alias("la")), "a")
+    both = both.join(own.select(F.col("h").alias("b"), F.col("line").alias("lb")), "b")
     sets = F.array(F.struct(shingle_set(F.col("la"), cut).alias("x"), shingle_set(F.col("lb"), cut).alias("y")))
     shared = lambda p: F.size(F.array_intersect(p["x"], p["y"])) * F.lit(1 + similarity)
     enough = F.exists(sets, lambda p: shared(p) >= (F.size(p["x"]) + F.size(p["y"])) * F.lit(similarity * (1 - 1e-12)))
@@ -196,16 +207,19 @@ def across(scratch: Scratch, members: DataFrame, roots: DataFrame, signed: DataF
 
 def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
     """(node, root) of every distinct line (h, line) that is linked to another one."""
-    signed = scratch.keep(signatures(lines, cut))
+    texts = texts_of(lines)
+    signed = scratch.keep(texts.join(signatures(texts, cut), "h"))
+    scratch.release()
     posted = bands(signed)
     lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b")).where("n > 1")
     lists = scratch.keep(lists)
     members = scratch.keep(posted.join(_looked_up(lists.where("n > 2").select("band", "a")), "band"))
+    scratch.release()
     # the smallest member of a list against each other one
     tied = lists.where("n = 2").select("a", "b").unionByName(members.where("h <> a").select("a", F.col("h").alias("b"))).distinct()
     tied = scratch.keep(_agreeing(tied, signed))
     nearest = tied.groupBy("b").agg(F.max_by("a", F.struct("same", "a")).alias("a")).select("a", "b")
-    found = scratch.keep(verified(scratch, nearest, lines, similarity, cut))
+    found = scratch.keep(verified(scratch, nearest, signed, similarity, cut))
     roots = components(scratch, found)
     named = scratch.keep(roots.select(F.col("node").alias("h"), "root"))
     # ties not checked yet, and candidates in lists of more than two, where components still differ
@@ -213,7 +227,7 @@ def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cu
     apart = tied.join(nearest, ["a", "b"], "left_anti").join(root_of("a"), "a", "left").join(root_of("b"), "b", "left")
     apart = apart.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
     more = apart.unionByName(across(scratch, members.select("band", "h"), named, signed)).distinct()
-    extra = scratch.keep(verified(scratch, more, lines, similarity, cut))
+    extra = scratch.keep(verified(scratch, more, signed, similarity, cut))
     if extra.isEmpty():
         return named.select(F.col("h").alias("node"), "root")
     return components(scratch, named.select(F.col("h").alias("a"), F.col("root").alias("b")).unionByName(extra))

@@ -174,7 +174,7 @@ def test_line_dedup(spark, odd):
     out = {r["doc_id"]: r for r in line_dedup.digest(odd).collect()}
     assert out[2]["removed"] == [0, 1] and out[1]["removed"] == [] and out[3]["n_lines"] == 0
     assert line_dedup.dedup_lines(odd).columns == odd.columns and line_dedup.digest(odd.limit(0)).count() == 0
-    plan = line_dedup.bands(line_dedup.signatures(line_dedup.lines_of(odd)))._jdf.queryExecution().executedPlan().toString()
+    plan = line_dedup.bands(line_dedup.signatures(line_dedup.texts_of(line_dedup.lines_of(odd))))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan
 
 
