@@ -1,7 +1,7 @@
 """Text quality by positive-unlabelled learning with a non-negative risk.
 
 Trusted positives are documents labelled 1; the unlabelled sample is drawn from all documents,
-whatever their label.  With the class prior p estimated from the labelled rows, the risk of
+whatever their label.  With the class prior p estimated from the same two samples, the risk of
 calling text negative is what remains of the unlabelled risk after the positives' share:
 
     p R(positive called positive) + max(0, R(unlabelled called negative) - p R(positive called negative))
@@ -26,6 +26,8 @@ from .common import held_out
 SAMPLE = 4000
 HIDDEN = 24
 EPOCHS = 60
+PRIOR_EPOCHS = 12
+FOLDS = 4
 
 #: Symbols with a class of their own; the others share one.  Fixed values.
 _OWN = " \n\t.,;:!?'\"()|#$%&*-_/<>@=+"
@@ -86,32 +88,52 @@ class Scorer:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def train(positive: np.ndarray, unlabelled: np.ndarray, prior: float, epochs: int = EPOCHS, seed: int = 7) -> Scorer:
+def _sigmoid(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
+def risk_slope(zp: np.ndarray, zu: np.ndarray, prior: float) -> tuple[float, np.ndarray]:
+    """The non-negative risk of outputs on positives and unlabelled texts, and its slope by output (positives first).
+
+    Where the bracket is negative, the slope is that of minus the bracket, to climb back.
+    """
+    own = prior * np.logaddexp(0, -zp).mean()
+    rest = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
+    down_p, down_u = -prior * _sigmoid(zp) / len(zp), _sigmoid(zu) / len(zu)
+    if rest < 0:
+        return float(own), np.concatenate([-down_p, -down_u])
+    return float(own + rest), np.concatenate([-prior * _sigmoid(-zp) / len(zp) + down_p, down_u])
+
+
+def plain_slope(zp: np.ndarray, zu: np.ndarray, prior: float) -> tuple[float, np.ndarray]:
+    """Telling positives from unlabelled texts, both of equal weight."""
+    risk = np.logaddexp(0, -zp).mean() + np.logaddexp(0, zu).mean()
+    return float(risk), np.concatenate([-_sigmoid(-zp) / len(zp), _sigmoid(zu) / len(zu)])
+
+
+def train(positive: np.ndarray, unlabelled: np.ndarray, prior: float, epochs: int = EPOCHS, seed: int = 7, slope_of=risk_slope) -> Scorer:
     """A scorer by stochastic descent on the non-negative risk with the logistic loss."""
     if not len(positive) or not len(unlabelled):
         return Scorer(prior, np.zeros(WIDTH), np.ones(WIDTH), [])
     rng = np.random.default_rng(seed)
-    both = np.concatenate([positive, unlabelled])
-    mean, spread = both.mean(axis=0), both.std(axis=0) + 0.02
-    p, u = (positive - mean) / spread, (unlabelled - mean) / spread
-    k = p.shape[1]
+    count = len(positive) + len(unlabelled)
+    mean = (positive.sum(axis=0, dtype=np.float64) + unlabelled.sum(axis=0, dtype=np.float64)) / count
+    square = sum(np.einsum("ij,ij->j", x, x, dtype=np.float64) for x in (positive, unlabelled)) / count
+    spread = np.sqrt(np.clip(square - mean * mean, 0, None)) + 0.02
+    mean, spread = mean.astype(np.float32), spread.astype(np.float32)
+    k = positive.shape[1]
     layers = [rng.normal(0, k**-0.5, (k, HIDDEN)), np.zeros(HIDDEN), rng.normal(0, HIDDEN**-0.5, HIDDEN), np.zeros(1)]
     state = [(np.zeros_like(w), np.zeros_like(w)) for w in layers]
     step, batch = 0, 256
-    sigmoid = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
     for _ in range(epochs):
-        pick = rng.permutation(len(u))
-        for at in range(0, len(u), batch):
-            xu = u[pick[at : at + batch]]
-            xp = p[rng.integers(len(p), size=min(batch, len(p)))]
-            x = np.concatenate([xp, xu])
+        pick = rng.permutation(len(unlabelled))
+        for at in range(0, len(unlabelled), batch):
+            xu = unlabelled[pick[at : at + batch]]
+            xp = positive[rng.integers(len(positive), size=min(batch, len(positive)))]
+            x = (np.concatenate([xp, xu]) - mean) / spread
             h = np.tanh(x @ layers[0] + layers[1])
             z = h @ layers[2] + layers[3]
-            zp, zu = z[: len(xp)], z[len(xp) :]
-            rest = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
-            up = -prior * sigmoid(-zp) / len(xp)  # slope of the positives' own risk
-            down_p, down_u = -prior * sigmoid(zp) / len(xp), sigmoid(zu) / len(xu)
-            slope = np.concatenate([up + down_p, down_u]) if rest >= 0 else np.concatenate([-down_p, -down_u])
+            _, slope = slope_of(z[: len(xp)], z[len(xp) :], prior)
             back = slope[:, None] * layers[2] * (1 - h * h)
             grads = [x.T @ back + 1e-4 * layers[0], back.sum(axis=0), h.T @ slope + 1e-4 * layers[2], slope.sum(keepdims=True)]
             step += 1
@@ -119,7 +141,31 @@ def train(positive: np.ndarray, unlabelled: np.ndarray, prior: float, epochs: in
                 m += 0.1 * (g - m)
                 v += 0.001 * (g * g - v)
                 w -= 0.002 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
-    return Scorer(prior, mean.astype(np.float32), spread.astype(np.float32), [w.astype(np.float32) for w in layers])
+    return Scorer(prior, mean, spread, [w.astype(np.float32) for w in layers])
+
+
+def class_prior(positive: np.ndarray, unlabelled: np.ndarray, seed: int = 7) -> float:
+    """The share of positives in the unlabelled texts, from the two samples alone.
+
+    Networks learn on some folds of both to tell positives from unlabelled texts and score the
+    fold left out.  Whatever scores above a threshold holds at least the positives' share of it,
+    so the ratio of unlabelled to positive texts above any threshold bounds the prior from
+    above.  The estimate is the ratio where it is least after adding what chance may do to it.
+    """
+    if min(len(positive), len(unlabelled)) < FOLDS:
+        return 0.5
+    sp, su = np.empty(len(positive)), np.empty(len(unlabelled))
+    for k in range(FOLDS):
+        in_p, in_u = np.arange(len(sp)) % FOLDS == k, np.arange(len(su)) % FOLDS == k
+        told = train(positive[~in_p], unlabelled[~in_u], 0.5, PRIOR_EPOCHS, seed, plain_slope)
+        sp[in_p], su[in_u] = told(positive[in_p]), told(unlabelled[in_u])
+    sp, su = np.sort(sp), np.sort(su)
+    cuts = np.unique(sp)
+    above_p = 1 - np.searchsorted(sp, cuts) / len(sp)
+    above_u = 1 - np.searchsorted(su, cuts) / len(su)
+    chance = np.sqrt(np.log(40) / (2 * len(sp))) + np.sqrt(np.log(40) / (2 * len(su)))
+    best = int(np.argmin((above_u + chance) / above_p))
+    return float(np.clip(above_u[best] / above_p[best], 0.01, 0.99))
 
 
 def _vectors(rows: DataFrame, share: float, salt: str) -> np.ndarray:
@@ -129,24 +175,21 @@ def _vectors(rows: DataFrame, share: float, salt: str) -> np.ndarray:
 
     chance = F.pmod(F.xxhash64("doc_id", F.lit(salt)), F.lit(1_000_000)) / 1_000_000
     picked = rows.where(chance < share).select(vector(F.col("text").cast("string")).alias("x")).limit(2 * SAMPLE)
-    held = [np.frombuffer(r["x"], np.float32) for r in picked.toLocalIterator()]
-    return np.stack(held) if held else np.zeros((0, WIDTH), np.float32)
+    out, n = np.zeros((2 * SAMPLE, WIDTH), np.float32), 0
+    for r in picked.toLocalIterator():
+        out[n] = np.frombuffer(r["x"], np.float32)
+        n += 1
+    return out[:n]
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Scorer:
-    """Trains outside the held-out fold; the prior is the share of label 1 among its labelled rows."""
+    """Trains outside the held-out fold, from positives and unlabelled texts; no label but 1 is read."""
     own = docs.select("doc_id", "text").where(~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull())
-    known = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    seen = known.agg(F.count("*").alias("n"), F.sum((F.col("quality") == 1).cast("long")).alias("p")).first()
-    positives = int(seen["p"] or 0)
-    prior = min(0.99, max(0.01, positives / seen["n"])) if seen["n"] else 0.5
-    total = own.count()
-    share = min(1.0, sample / max(1, positives))
-    chosen = F.pmod(F.xxhash64("doc_id", F.lit("positive")), F.lit(1_000_000)) / 1_000_000 < share
-    good = known.where((F.col("quality") == 1) & chosen).select("doc_id").distinct()
-    p = _vectors(own.join(good, "doc_id", "left_semi"), 1.0, "positive")
-    u = _vectors(own, min(1.0, sample / max(1, total)), "unlabelled")
-    return train(p.astype(np.float64), u.astype(np.float64), prior)
+    known = labels.where((F.col("quality") == 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id").distinct()
+    chosen = F.pmod(F.xxhash64("doc_id", F.lit("positive")), F.lit(1_000_000)) / 1_000_000 < min(1.0, sample / max(1, known.count()))
+    p = _vectors(own.join(known.where(chosen), "doc_id", "left_semi"), 1.0, "positive")
+    u = _vectors(own, min(1.0, sample / max(1, own.count())), "unlabelled")
+    return train(p, u, class_prior(p, u))
 
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
