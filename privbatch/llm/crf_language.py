@@ -7,7 +7,7 @@ known language, and stretches spliced from documents of several, so that the tra
 seen code-switched text.  Labels come from forward-backward: each word gets a distribution over
 languages; a document's is the mean over its words.
 
-Training is bounded (``DOCS_PER_LANG`` documents of each language, ``MAX_LANGS`` languages);
+Training is bounded (``DOCS_PER_LANG`` documents of each language, of every language there is);
 prediction covers whole texts, in sequences of ``SPAN`` words.
 """
 
@@ -20,7 +20,7 @@ from collections import Counter
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import held_out
@@ -28,7 +28,6 @@ from .common import held_out
 SPAN = 64
 BUCKETS = 1 << 16
 DOCS_PER_LANG = 80
-MAX_LANGS = 64
 MAX_TRAIN_WORDS = 250_000
 EPOCHS = 24
 CACHE_WORDS = 300_000
@@ -197,15 +196,15 @@ def train(texts: list[tuple[str, str]], epochs: int = EPOCHS, seed: int = 7) ->
 
 
 def training_sample(docs: DataFrame, docs_per_lang: int = DOCS_PER_LANG) -> list[tuple[str, str]]:
-    """About ``docs_per_lang`` texts of each language, chosen by a hash of the id, outside the held-out fold."""
+    """At most ``docs_per_lang`` texts of each language, chosen by a hash of id and text, outside the held-out fold.
+
+    The rank is limited in every task before rows move, so a language of any size moves few.
+    """
     own = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
-    counts = own.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n")).limit(MAX_LANGS).collect()
-    if not counts:
-        return []
-    share = F.create_map(*[x for r in counts for x in (F.lit(r["lang"]), F.lit(min(1.0, docs_per_lang / r["n"])))])
-    chance = F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1_000_000)) / 1_000_000
-    picked = own.where(chance < share[F.col("lang")]).select("lang", F.col("text").cast("string").alias("text"))
-    return [(r["lang"], r["text"]) for r in picked.limit(2 * docs_per_lang * len(counts)).toLocalIterator()]
+    own = own.select("lang", F.col("text").cast("string").alias("text")).withColumn("draw", F.xxhash64(F.lit("sample"), "text"))
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("draw", "text"))
+    picked = own.withColumn("rank", rank).where(F.col("rank") <= docs_per_lang)
+    return [(r["lang"], r["text"]) for r in picked.orderBy("lang", "rank").select("lang", "text").toLocalIterator()]
 
 
 def fit(docs: DataFrame) -> Field | None:
