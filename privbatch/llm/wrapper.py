@@ -1,15 +1,23 @@
 """Main text of web pages by wrapper induction.
 
-Pages are parsed into trees of block elements.  Their compact forms (labels, and hashes in place of
-texts) are dealt by host, wherever a page was read, and every page is aligned by simple tree
-matching with up to ``REFERENCES`` other pages of its host: the largest
-order-preserving matching of equally labelled nodes, level by level, with runs of siblings of one
-shape folded into one node.  Every aligned text slot casts a vote - constant where both pages say
-the same, varying where they differ - and votes are summed per host and slot over the whole table.
-Slots whose votes say constant are template, varying ones are content.  A slot's label path carries
-prior knowledge: menus, page headers and footers, sidebars, notices, adverts, forms and comments
-are template whatever they say; inside the article only near-certain votes make a slot template;
-elsewhere the votes decide, and where a host has too few, those of all hosts with that slot.
+Pages are parsed into trees of block elements.  Their compact forms (labels, and hashes and lengths
+in place of texts) are dealt by host, wherever a page was read, and every page is aligned by simple
+tree matching with up to ``REFERENCES`` other pages of its host: the largest order-preserving
+matching of equally labelled nodes, level by level, with runs of siblings of one shape folded into
+one node.  Alignments give two votes, summed per host over the whole table:
+
+* every aligned text slot votes constant where both pages say the same, varying where they differ;
+* every element on the way to a varying text carries its length, and votes for being one of a kind
+  among its siblings or not.
+
+From the first come template slots.  From the second comes the content region of a host: the
+deepest element that is one of a kind and carries most of the host's varying text.  A menu, an
+advert or a footer may vary from page to page as the article does, but carries little of it.
+Content is what lies in the region and is no template slot.  Names of elements and classes are a
+prior on top: menus, page headers and footers, sidebars, notices, adverts, forms and comments are
+template wherever they stand; inside what is named an article only near-certain votes make a slot
+template; an element named so is content too where the region lies elsewhere.  ``names=False``
+leaves all of these names aside.  Where a host has too few votes, those of all hosts decide.
 
 A host's trees are dealt in parts of about ``DEALT`` pages, so hot hosts stay spread out; the two
 passes over the pages shuffle compact trees but no html.
@@ -37,6 +45,10 @@ SURE_VOTES = 30
 MAX_DECISIONS = 200_000
 MAX_FOLDED = 200
 DEALT = 1000
+MAX_DEPTH = 120
+MAX_SCOPE = 400
+MIN_PAGES = 5
+REGION_SHARE = 0.6
 
 #: Element names and name parts; fixed values of the markup language and common usage.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -54,13 +66,20 @@ _BOILER_TAGS = frozenset("nav footer aside form menu dialog".split())
 _BOILER_ROLES = frozenset("navigation banner contentinfo complementary search form menu menubar alert dialog alertdialog".split())
 _BOILER_WORDS = frozenset(
     "ad ads advert adverts advertisement advertising banner sponsor sponsored promo promoted promotion nav navbar navigation menu breadcrumb breadcrumbs"
-    " sidebar side footer masthead topbar cookie cookies consent notice notices gdpr popup modal overlay newsletter subscribe subscription signup login"
-    " comment comments reply replies respond disqus discussion share sharing social related recommended recommendations widget toolbar pagination pager"
+    " sidebar footer masthead topbar cookie cookies consent notice notices gdpr popup modal overlay newsletter subscribe subscription signup login"
+    " comment comments replies respond disqus discussion sharing social related recommended recommendations widget toolbar pagination pager"
     " skip alert".split()
 )
+#: Those that say so even beside a name for an article ("post-comments").
+_FIRM_WORDS = frozenset("ad ads advert adverts comment comments replies respond sponsored promo related newsletter pagination breadcrumbs share sharing".split())
 _ARTICLE_WORDS = frozenset("article articlebody post postbody entry story main maincontent".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([A-Za-z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>|([^<]+|<)", re.S)
+_OTHER = r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)"
+_TAG = r"<(/?)([A-Za-z][^\s/>]*)"
+_TOKEN = re.compile(_OTHER + "|" + _TAG + r"((?>\"[^\"]*\"|'[^']*'|[^'\">])*+)>|([^<]+|<)", re.S)
+#: For what follows a quote that never ends: a tag goes to the next ">" there.
+_LENIENT = re.compile(_OTHER + "|" + _TAG + r"([^>]*+)>|([^<]+|<)", re.S)
+_OPENS = re.compile(r"</?[A-Za-z]")
 _ATTR = re.compile(r"""\b(class|id|role|hidden|itemprop|aria-hidden)\b(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
 _WORDS = re.compile(r"[a-z]+")
 _SPACE = re.compile(r"\s+")
@@ -78,15 +97,16 @@ class Node:
 BOILER, NEUTRAL, ARTICLE = -1, 0, 1
 
 
-def _name(tag: str, attrs: str, above: Node) -> tuple[str, int]:
+def _name(tag: str, attrs: str, above: Node, names_count: bool = True) -> tuple[str, int]:
     """Label and prior of an element; boilerplate holds for everything below it, article too unless boilerplate."""
     found = {k.lower(): (a or b or c or "") for k, a, b, c in _ATTR.findall(attrs)} if attrs else {}
     names = found.get("class", "") + " " + found.get("id", "")
-    label = f"{tag}.{_SPACE.sub('.', names.strip().lower())}" if names.strip() else tag
+    label = f"{tag}.{_SPACE.sub('.', names.strip().lower())}".replace("/", "|") if names.strip() else tag
     prior = above.prior
-    if prior == BOILER:
-        return label, BOILER
+    if prior == BOILER or not names_count:
+        return label, prior
     words = set(_WORDS.findall(names.lower()))
+    named_article = bool(words & _ARTICLE_WORDS)
     role = found.get("role", "").lower()
     if tag in ("article", "main") or role in ("main", "article") or found.get("itemprop", "").lower() == "articlebody":
         if words & {"comment", "comments", "reply", "ad", "advert", "sponsored", "promo", "related"}:
@@ -98,15 +118,16 @@ def _name(tag: str, attrs: str, above: Node) -> tuple[str, int]:
         return label, BOILER
     if tag == "header" and prior != ARTICLE:
         return label, BOILER
-    if words & _BOILER_WORDS:
+    if words & (_FIRM_WORDS if named_article else _BOILER_WORDS):
         return label, BOILER
-    if words & _ARTICLE_WORDS:
-        return label, ARTICLE
-    return label, prior
+    return label, ARTICLE if named_article else prior
 
 
-def parse(source: str | None) -> tuple[Node, list[tuple[str, str, int]]]:
-    """The block tree of a page, and its text blocks in page order as (slot, text, prior)."""
+def parse(source: str | None, names: bool = True) -> tuple[Node, list[tuple[str, str, int]]]:
+    """The block tree of a page, and its text blocks in page order as (slot, text, prior).
+
+    Elements deeper than ``MAX_DEPTH`` count as children of the one at that depth.
+    """
     root = Node("", "", NEUTRAL)
     stack = [root]
     blocks: list[tuple[str, str, int]] = []
@@ -124,20 +145,29 @@ def parse(source: str | None) -> tuple[Node, list[tuple[str, str, int]]]:
                 node.texts.append((len(blocks), own))
                 blocks.append((paths[id(node)], own, node.prior))
 
+    def near() -> range:
+        """Open elements from the innermost outwards, so far as an end tag reaches."""
+        return range(len(stack) - 1, max(0, len(stack) - 1 - MAX_SCOPE), -1)
+
     def open_node(tag: str, attrs: str) -> None:
-        label, prior = _name(tag, attrs, stack[-1])
+        above = stack[min(len(stack), MAX_DEPTH) - 1]
+        label, prior = _name(tag, attrs, stack[-1], names)
         node = Node(tag, label, prior)
-        paths[id(node)] = f"{paths[id(stack[-1])]}/{label}"
-        stack[-1].children.append(node)
+        paths[id(node)] = f"{paths[id(above)]}/{label}"
+        above.children.append(node)
         stack.append(node)
 
-    at, size = 0, len(source or "")
+    at, size, token = 0, len(source or ""), _TOKEN
     while at < size:
-        m = _TOKEN.match(source, at)
-        if m is None:  # a tag that never ends
-            break
-        at = m.end()
+        m = token.match(source, at)
         run = m.group(4)
+        if run == "<" and _OPENS.match(source, at):
+            # a tag that never ends: by an open quote, or because the page ends in it
+            if token is _LENIENT:
+                break
+            token = _LENIENT
+            continue
+        at = m.end()
         if run is not None:
             if not silent:
                 text.append(run)
@@ -168,19 +198,19 @@ def parse(source: str | None) -> tuple[Node, list[tuple[str, str, int]]]:
         if tag in _VOID:
             continue
         if closing:
-            for depth in range(len(stack) - 1, 0, -1):
+            for depth in near():
                 if stack[depth].tag == tag:
                     del stack[depth:]
                     break
             continue
         if tag in _CLOSES_P:
-            for depth in range(len(stack) - 1, 0, -1):
+            for depth in near():
                 if stack[depth].tag == "p":
                     del stack[depth:]
                     break
                 if stack[depth].tag in ("td", "th", "table", "button", "body"):
                     break
-        for depth in range(len(stack) - 1, 0, -1) if tag in _SIBLING_ENDS else ():
+        for depth in near() if tag in _SIBLING_ENDS else ():
             if stack[depth].tag in _SIBLING_ENDS[tag]:
                 del stack[depth:]
                 break
@@ -194,11 +224,12 @@ def parse(source: str | None) -> tuple[Node, list[tuple[str, str, int]]]:
 class Folded:
     """A node of the folded tree: siblings of one shape in a row are one node with all their texts."""
 
-    __slots__ = ("label", "slot", "shape", "children", "texts", "size")
+    __slots__ = ("label", "slot", "shape", "children", "texts", "chars", "folds")
 
     def __init__(self, node: Node, slot: str):
         self.label, self.slot = node.label, slot
         self.texts = {t for _, t in node.texts}
+        self.chars, self.folds = sum(len(t) for _, t in node.texts), 1
         self.children: list[Folded] = []
         for child in node.children:
             own = Folded(child, f"{slot}/{child.label}")
@@ -206,11 +237,12 @@ class Folded:
                 self.children[-1]._merge(own)
             else:
                 self.children.append(own)
-        self.size = 1 + sum(c.size for c in self.children)
-        self.shape = (self.label, tuple(c.shape for c in self.children))
+        self.shape = hash((self.label, tuple(c.shape for c in self.children)))
 
     def _merge(self, other: Folded) -> None:
         self.texts |= other.texts
+        self.chars += other.chars
+        self.folds += other.folds
         for a, b in zip(self.children, other.children, strict=True):
             a._merge(b)
 
@@ -266,11 +298,11 @@ def _aligned(a: list[Folded], b: list[Folded]) -> tuple[int, list[tuple[Folded,
 
 
 def pack(tree: Folded) -> bytes:
-    """The compact form of a tree: label, hashes of texts and number of children of each node, in page order."""
+    """The compact form of a tree: label, hashes and length of texts, folds and number of children of each node, in page order."""
     flat, stack = [], [tree]
     while stack:
         node = stack.pop()
-        flat.append((node.label, tuple(sorted(xxhash.xxh64_intdigest(t.encode("utf-8", "surrogatepass")) for t in node.texts)), len(node.children)))
+        flat.append((node.label, tuple(sorted(xxhash.xxh64_intdigest(t.encode("utf-8", "surrogatepass")) for t in node.texts)), node.chars, node.folds, len(node.children)))
         stack += reversed(node.children)
     return pickle.dumps(flat, protocol=5)
 
@@ -278,9 +310,9 @@ def pack(tree: Folded) -> bytes:
 def unpack(packed: bytes) -> Folded:
     """The tree of a compact form, with hashes in place of texts."""
     root, open_nodes = None, []
-    for label, texts, n in pickle.loads(packed):
+    for label, texts, chars, folds, n in pickle.loads(packed):
         node = Folded.__new__(Folded)
-        node.label, node.texts, node.children = label, set(texts), []
+        node.label, node.texts, node.chars, node.folds, node.children = label, set(texts), chars, folds, []
         node.slot = f"{open_nodes[-1][0].slot}/{label}" if open_nodes else ""
         if open_nodes:
             open_nodes[-1][0].children.append(node)
@@ -300,17 +332,34 @@ def host_of(url: str | None) -> str:
         return ""
 
 
-def votes(pages: DataFrame) -> DataFrame:
-    """(host, slot, prior, same, other): votes of all alignments of pages of one host, 0 for slots never aligned.
+def _elements(tree: Folded) -> dict[str, bool]:
+    """The slots of all elements of a page, and whether one of a kind stands there."""
+    out: dict[str, bool] = {}
+    stack = [tree]
+    while stack:
+        node = stack.pop()
+        out[node.slot] = node.folds == 1 and node.slot not in out
+        stack += node.children
+    return out
+
+
+_VOTES = "host string, slot string, prior int, same long, other long, mass long, single long, several long"
+_ELEMENT = 9  # in place of a prior: votes on an element, not on a text slot
 
-    Pages with the same text blocks on one host vote as one.
+
+def votes(pages: DataFrame, names: bool = True) -> DataFrame:
+    """(host, slot, prior, same, other, mass, single, several): the summed votes of all pages.
+
+    Text slots have same and other (0 for slots never aligned).  Elements, with prior ``_ELEMENT``,
+    have the length of the varying text they carry and the number of pages on which they are one of
+    a kind, and not.  Pages with the same text blocks on one host vote as one.
     """
 
     def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             rows = []
             for url, source in zip(pdf["url"], pdf["html"], strict=True):
-                root, blocks = parse(source)
+                root, blocks = parse(source, names)
                 if blocks:
                     texts = "\0".join(t for _, t, _ in blocks).encode("utf-8", "surrogatepass")
                     priors = {slot: prior for slot, _, prior in blocks}
@@ -321,7 +370,7 @@ def votes(pages: DataFrame) -> DataFrame:
         now, last = None, None
         held: list[Folded] = []
         for pdf in batches:
-            tally: dict[tuple[str, str, int], list[int]] = defaultdict(lambda: [0, 0])
+            tally: dict[tuple[str, str, int], list[int]] = defaultdict(lambda: [0] * 5)
             for host, part, body, packed, named in zip(pdf["host"], pdf["part"], pdf["body"], pdf["tree"], pdf["priors"], strict=True):
                 if (host, part) != now:
                     now, last, held = (host, part), None, []
@@ -331,13 +380,20 @@ def votes(pages: DataFrame) -> DataFrame:
                 if body == last:
                     continue
                 last, tree = body, unpack(packed)
+                elements = _elements(tree)
+                for slot, one in elements.items():
+                    tally[host, slot, _ELEMENT][3 if one else 4] += 1
                 for other in held:
                     for x, y in match(tree, other)[1]:
                         if x.texts and y.texts and x.slot in priors:
                             tally[host, x.slot, priors[x.slot]][0 if x.texts == y.texts else 1] += 1
+                            if x.texts != y.texts:
+                                for depth, sign in enumerate(x.slot + "/"):
+                                    if sign == "/":
+                                        tally[host, x.slot[:depth], _ELEMENT][2] += x.chars
                 if len(held) < REFERENCES:
                     held.append(tree)
-            yield pd.DataFrame([(*k, *v) for k, v in tally.items()], columns=["host", "slot", "prior", "same", "other"])
+            yield pd.DataFrame([(*k, *v) for k, v in tally.items()], columns=["host", "slot", "prior", "same", "other", "mass", "single", "several"])
 
     cast = pages.select(F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     scratch = Scratch(pages.sparkSession, "trees")
@@ -345,8 +401,8 @@ def votes(pages: DataFrame) -> DataFrame:
     parts = trees.groupBy("host").agg(F.ceil(F.count("*") / DEALT).alias("parts"))
     dealt = trees.join(parts, "host").withColumn("part", F.pmod(F.xxhash64("body"), F.col("parts"))).drop("parts")
     dealt = dealt.repartition("host", "part").sortWithinPartitions("host", "part", "body", "tree")
-    cast_votes = dealt.mapInPandas(align, "host string, slot string, prior int, same long, other long")
-    return cast_votes.groupBy("host", "slot", "prior").agg(F.sum("same").alias("same"), F.sum("other").alias("other"))
+    cast_votes = dealt.mapInPandas(align, _VOTES)
+    return cast_votes.groupBy("host", "slot", "prior").agg(*[F.sum(c).alias(c) for c in ("same", "other", "mass", "single", "several")])
 
 
 def wrapper(voted: DataFrame) -> DataFrame:
@@ -355,7 +411,7 @@ def wrapper(voted: DataFrame) -> DataFrame:
     A host with enough votes on a slot decides it by its own; for any other host that has the
     slot, the votes of all hosts decide.
     """
-    free = voted.where(F.col("prior") > BOILER)
+    free = voted.where((F.col("prior") > BOILER) & (F.col("prior") != _ELEMENT)).select("host", "slot", "prior", "same", "other")
     every = free.groupBy("slot", "prior").agg(F.sum("same").alias("all_same"), F.sum("other").alias("all_other"))
     enough = F.when(F.col("prior") == NEUTRAL, MIN_VOTES).otherwise(SURE_VOTES)
 
@@ -368,52 +424,73 @@ def wrapper(voted: DataFrame) -> DataFrame:
     return both.where(decided).select("host", "slot").distinct()
 
 
-def extract(pages: DataFrame, most: int = MAX_DECISIONS) -> DataFrame:
+def regions(voted: DataFrame) -> DataFrame:
+    """(host, region): the slot of the element that holds the content of a host's pages, where one does.
+
+    Of the elements that are one of a kind on nine pages of ten and carry ``REGION_SHARE`` of the
+    varying text, which lie in each other, the deepest.  A host with pages fewer than ``MIN_PAGES``
+    goes by the votes of all hosts on the elements that it has.
+    """
+    own = voted.where(F.col("prior") == _ELEMENT).select("host", "slot", "mass", "single", "several")
+    every = own.groupBy("slot").agg(*[F.sum(c).alias(f"all_{c}") for c in ("mass", "single", "several")])
+    whole = own.where("slot = ''").select("host", F.col("mass").alias("whole"), (F.col("single") + F.col("several")).alias("pages"))
+    all_whole, all_pages = whole.agg(F.sum("whole"), F.sum("pages")).first()
+    both = own.join(every, "slot").join(whole, "host")
+
+    holds = (F.col("mass") >= F.col("whole") * REGION_SHARE) & (F.col("mass") > 0) & (F.col("single") >= F.col("several") * 9)
+    # of all hosts, an element's share is that among the pages that have it
+    shared = (F.lit(all_pages or 0) >= MIN_PAGES) & (F.col("all_mass") > 0) & (F.col("all_single") >= F.col("all_several") * 9)
+    least = F.lit((all_whole or 0) * REGION_SHARE / max(1, all_pages or 0))
+    shared = shared & (F.col("all_mass") >= least * (F.col("all_single") + F.col("all_several")))
+    found = both.where(F.when((F.col("pages") >= MIN_PAGES) & (F.col("whole") > 0), holds).otherwise(shared))
+    return found.groupBy("host").agg(F.max_by("slot", F.struct(F.length("slot"), "slot")).alias("region"))
+
+
+def extract(pages: DataFrame, most: int = MAX_DECISIONS, names: bool = True) -> DataFrame:
     """(page_id, url, text, n_chars) of every page.
 
     A null or empty page, and one without content, give the empty text and 0.  A null or broken url
     belongs to the host without a name.  Repeated pages each give a row; a null page_id is kept; an
     empty table gives an empty result.  Up to ``most`` decisions are broadcast; more are joined, with
-    the same result.  Only page_id, url and html are read.
+    the same result.  Without ``names``, element and class names say nothing, votes alone decide.
+    Only page_id, url and html are read, so further columns cannot clash.
     """
     spark = pages.sparkSession
-    decided = wrapper(votes(pages)).cache()
+    scratch = Scratch(spark, "wrapper")
+    voted = scratch.keep(votes(pages, names))
     own = pages.select("page_id", "url", F.col("html").cast("string").alias("html"))
-    if decided.count() <= most:
-        slots: dict[str, set[str]] = defaultdict(set)
-        for r in decided.toLocalIterator():
-            slots[r["host"]].add(r["slot"])
-        held = spark.sparkContext.broadcast(dict(slots))
+    per_host = wrapper(voted).groupBy("host").agg(F.collect_set("slot").alias("slots"))
+    per_host = scratch.keep(regions(voted).join(per_host, "host", "full"))
+    if (per_host.agg(F.sum(F.coalesce(F.size("slots"), F.lit(0)) + 1)).first()[0] or 0) <= most:
+        held = spark.sparkContext.broadcast({r["host"]: (r["region"], set(r["slots"] or ())) for r in per_host.toLocalIterator()})
 
         @F.pandas_udf("string")
         def main_text(urls: pd.Series, sources: pd.Series) -> pd.Series:
-            template = held.value
-            return pd.Series([_text(s, template.get(host_of(u), set())) for u, s in zip(urls, sources, strict=True)], dtype=object)
+            rules = held.value
+            return pd.Series([_text(s, *rules.get(host_of(u), (None, set())), names) for u, s in zip(urls, sources, strict=True)], dtype=object)
 
         out = own.withColumn("text", main_text(F.col("url").cast("string"), "html"))
     else:
-        per_host = decided.groupBy(F.col("host").alias("h")).agg(F.collect_set("slot").alias("slots"))
 
         @F.pandas_udf("string")
         def hosts(urls: pd.Series) -> pd.Series:
             return pd.Series([host_of(u) for u in urls], dtype=object)
 
         @F.pandas_udf("string")
-        def main_text_of(sources: pd.Series, a: pd.Series) -> pd.Series:
-            return pd.Series([_text(s, set() if x is None else set(x)) for s, x in zip(sources, a, strict=True)], dtype=object)
+        def main_text_of(sources: pd.Series, where: pd.Series, slots: pd.Series) -> pd.Series:
+            return pd.Series([_text(s, w, set() if x is None else set(x), names) for s, w, x in zip(sources, where, slots, strict=True)], dtype=object)
 
-        out = own.withColumn("h", hosts(F.col("url").cast("string"))).join(per_host, "h", "left")
-        out = out.withColumn("text", main_text_of("html", "slots"))
+        out = own.withColumn("host", hosts(F.col("url").cast("string"))).join(per_host, "host", "left")
+        out = out.withColumn("text", main_text_of("html", "region", "slots"))
     return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 
-def _text(source: str | None, template: set[str]) -> str:
-    """The content blocks of a page: those of its article if it has one, else all that is not template."""
-    _, blocks = parse(source)
-    content = [(text, prior) for slot, text, prior in blocks if prior > BOILER and slot not in template]
-    if any(prior == ARTICLE for _, prior in content):
-        content = [(text, prior) for text, prior in content if prior == ARTICLE]
-    return "\n".join(text for text, _ in content)
+def _text(source: str | None, region: str | None, template: set[str], names: bool = True) -> str:
+    """The content blocks of a page: those of the host's region and of what is named an article, else all that is not template."""
+    _, blocks = parse(source, names)
+    content = [(slot, text, prior) for slot, text, prior in blocks if prior > BOILER and slot not in template]
+    inside = [c for c in content if c[2] == ARTICLE or region is not None and (c[0] + "/").startswith(region + "/")]
+    return "\n".join(text for _, text, _ in inside or content)
 
 
 def digest(pages: DataFrame) -> DataFrame:
