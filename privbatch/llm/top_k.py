@@ -107,10 +107,12 @@ class Bucket:
         return np.flatnonzero(keep)
 
 
-def layout(vectors: DataFrame, bucket: int = BUCKET) -> DataFrame:
-    """Buckets of rows of similar length: longest, n, width, ids and matrix as bytes."""
+def layout(vectors: DataFrame, bucket: int = BUCKET, distinct: bool = False) -> DataFrame:
+    """Buckets of usable rows of similar length: longest, n, width, ids and matrix as bytes; if distinct, one row an id."""
     own = vectors.where(usable(F.col("embedding")) & F.col("vec_id").isNotNull())
     own = own.select(F.col("vec_id").cast("long").alias("vec_id"), integers(F.col("embedding")).alias("v"))
+    if distinct:
+        own = own.groupBy("vec_id").agg(F.min("v").alias("v"))
     square = F.aggregate("v", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double"))
     own = own.withColumn("square", square)
     parts = max(1, -(-vectors.count() // bucket))
@@ -135,7 +137,8 @@ def search(vectors: DataFrame, every: int, k: int = 5, bucket: int = BUCKET, gro
     """The k highest scores of each query over all other rows: query_id, rank, vec_id, score.
 
     Queries are the rows whose vec_id is divisible by ``every``; a query's own vec_id is no
-    candidate (nor a repeated row with that id).  Components become floor(256 x).  Vectors that
+    candidate (nor a repeated row with that id); of repeated query rows that are usable the one
+    with the smallest vector asks.  Components become floor(256 x).  Vectors that
     are null or hold a null or non-finite component take no part, nor do rows without an id.
     Shorter vectors count as padded with zeros.  Ties go to the smaller vec_id; repeated
     candidate rows each count.  Fewer candidates than k give fewer rows; an empty table none.
@@ -144,7 +147,7 @@ def search(vectors: DataFrame, every: int, k: int = 5, bucket: int = BUCKET, gro
     scratch = Scratch(spark, "topk")
     buckets = scratch.keep(layout(vectors, bucket))
     seed_row = buckets.orderBy(F.desc("longest")).limit(1).collect()
-    queries = layout(vectors.where(F.col("vec_id") % every == 0).dropDuplicates(["vec_id"]), min(bucket, group))
+    queries = layout(vectors.where(F.col("vec_id") % every == 0), min(bucket, group), distinct=True)
     seed = Bucket(*_open(seed_row[0])) if seed_row else None
     schema = "query_id long, vec_id long, score long"
     found: list[DataFrame] = []
