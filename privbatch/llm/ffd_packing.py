@@ -2,8 +2,8 @@
 
 Documents are tokenized where they are read and cut into pieces of at most ``CAPACITY`` ids.
 A piece needs only its length to be packed, so no id travels unless the caller wants the ids.
-Pieces are dealt at random (by a hash of the piece) into groups of about ``GROUP_DOCS``
-documents; every group is packed on its own.  In a group the pieces go in order of falling
+Pieces are dealt at random (by a hash of the place at which they were read, so copies part too)
+into groups of about ``GROUP_PIECES`` pieces; every group is packed on its own.  In a group the pieces go in order of falling
 length into the leftmost bin with room, which a tournament tree over the bins' free space
 finds in logarithmic time.
 """
@@ -18,10 +18,11 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import Scratch
 from .tokens import Encoder, default_path
 
 CAPACITY = 4096
-GROUP_DOCS = 4096
+GROUP_PIECES = 4096
 END_ID = 2
 
 
@@ -61,53 +62,58 @@ def first_fit_decreasing(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple
 
 
 def pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:
-    """(doc_id, start, length, ids_crc32, doc_tokens[, ids]) of the pieces of every document.
+    """(doc_id, start, length, ids_crc32, doc_tokens[, ids], place) of the pieces of every document.
 
     A null text counts as empty; every document has at least the end id, so at least one piece.
-    Long documents become full pieces and one rest, each id in exactly one of them.
+    Long documents become full pieces and one rest, each id in exactly one of them.  place numbers
+    the pieces: the task that read it and its number there.  Ids travel as text, since a column
+    of numbers with a null would come to Python in floating point.
     """
     path = path or default_path()
-    schema = docs.select("doc_id").schema.simpleString()[7:-1] + ", start long, length long, ids_crc32 long, doc_tokens long"
-    schema += ", ids binary" if with_ids else ""
+    names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", *(["ids"] if with_ids else []), "place"]
+    schema = "doc_id string, start long, length long, ids_crc32 long, doc_tokens long, " + ("ids binary, " if with_ids else "") + "place long"
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encode = Encoder.of(path, end_id)
+        from pyspark import TaskContext
+
+        encode, place = Encoder.of(path, end_id), TaskContext.get().partitionId() << 40
         for pdf in batches:
             rows = []
             for doc_id, text in zip(pdf["doc_id"], pdf["text"], strict=True):
                 ids = encode(text)
                 for at in range(0, len(ids), 4 * capacity):
                     part = ids[at : at + 4 * capacity]
-                    rows.append((doc_id, at // 4, len(part) // 4, zlib.crc32(part), len(ids) // 4, part)[: 6 if with_ids else 5])
-            out = pd.DataFrame(rows, columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"][: 6 if with_ids else 5])
-            out["doc_id"] = out["doc_id"].astype(pdf["doc_id"].dtype)
-            yield out
+                    rows.append((doc_id, at // 4, len(part) // 4, zlib.crc32(part), len(ids) // 4, *([part] if with_ids else []), place))
+                    place += 1
+            yield pd.DataFrame(rows, columns=names)
 
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInPandas(run, schema)
+    texts = docs.select(F.col("doc_id").cast("string").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return texts.mapInPandas(run, schema).withColumn("doc_id", F.col("doc_id").cast(docs.schema["doc_id"].dataType))
 
 
-def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, group_docs: int = GROUP_DOCS, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, group_pieces: int = GROUP_PIECES, with_ids: bool = False) -> DataFrame:
     """Every piece with its place: doc_id, start, length, ids_crc32, doc_tokens[, ids], sequence_id, offset.
 
     sequence_id joins the number of the group and of the bin in it; offsets in a sequence are
-    gapless from 0.  Repeated rows and null ids are packed like any others (the group depends on
-    the piece's content as well as its id).  An empty table gives no sequence.  Only doc_id and
-    text are read, so further columns cannot clash.
+    gapless from 0.  Repeated rows and null ids are packed like any others.  An empty table gives
+    no sequence.  Only doc_id and text are read, so further columns cannot clash.  The pieces are
+    written once, so they are counted and dealt without tokenizing again.
     """
-    if capacity < 1 or group_docs < 1:
-        raise ValueError("capacity and group_docs must be positive")
-    groups = max(1, -(-docs.count() // group_docs))
-    cut = pieces(docs, path, capacity, end_id, with_ids)
-    dealt = cut.withColumn("group_no", F.pmod(F.xxhash64("doc_id", "start", "length", "ids_crc32"), F.lit(groups)))
-    names = [c for c in cut.columns]
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in cut.schema)
+    if capacity < 1 or group_pieces < 1:
+        raise ValueError("capacity and group_pieces must be positive")
+    cut = Scratch(docs.sparkSession, "pieces").keep(pieces(docs, path, capacity, end_id, with_ids))
+    groups = max(1, -(-cut.count() // group_pieces))
+    dealt = cut.withColumn("group_no", F.pmod(F.xxhash64("place"), F.lit(groups))).withColumn("doc_id", F.col("doc_id").cast("string"))
+    names = [c for c in cut.columns if c != "place"]
+    kinds = ", ".join(f"`{c}` {dealt.schema[c].dataType.simpleString()}" for c in names)
 
     def fill(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["doc_id", "start", "ids_crc32"], ignore_index=True)
+        pdf = pdf.sort_values("place", ignore_index=True)
         bins, offsets = first_fit_decreasing(pdf["length"].to_numpy(), capacity)
         return pdf[names].assign(sequence_id=(pdf["group_no"].to_numpy() << 32) + bins, offset=offsets)
 
-    return dealt.groupBy("group_no").applyInPandas(fill, kinds + ", sequence_id long, offset long")
+    out = dealt.groupBy("group_no").applyInPandas(fill, kinds + ", sequence_id long, offset long")
+    return out.withColumn("doc_id", F.col("doc_id").cast(docs.schema["doc_id"].dataType))
 
 
 def padding(packed: DataFrame, capacity: int = CAPACITY) -> DataFrame:
