@@ -161,16 +161,31 @@ def _blocks(items: DataFrame, block_words: int) -> Iterator[list[tuple[str, list
 _FOUND = "struct<spans:array<bigint>,items:array<string>,longest:bigint,n_words:bigint,n_hit:bigint>"
 
 
+def _merged(spans) -> list[list[int]]:
+    """Spans (from, to, from, to, ...) in order, those that meet or overlap as one."""
+    out: list[list[int]] = []
+    for a, b in sorted(zip(spans[::2], spans[1::2], strict=True)):
+        if out and a <= out[-1][1]:
+            out[-1][1] = max(b, out[-1][1])
+        else:
+            out.append([a, b])
+    return out
+
+
 def _covered(spans: list[int]) -> int:
-    return len(set().union(*(range(a, b) for a, b in zip(spans[::2], spans[1::2], strict=True))))
+    return sum(b - a for a, b in _merged(spans))
 
 
 def _finder(held):
     """The function that adds one block's spans and items to what earlier blocks have found."""
 
+    opened: list[Automaton] = []  # once a worker, not once a batch
+
     @F.pandas_udf(_FOUND)
     def find(texts: pd.Series, before: pd.DataFrame) -> pd.DataFrame:
-        automaton: Automaton = pickle.loads(held.value)
+        if not opened:
+            opened.append(pickle.loads(held.value))
+        automaton = opened[0]
         rows = []
         for text, s0, i0, l0 in zip(texts, before["spans"], before["items"], before["longest"], strict=True):
             words = words_of(text)
@@ -179,7 +194,7 @@ def _finder(held):
             rows.append((spans, sorted({*i0, *i}), max(l0, m), len(words), _covered(spans)))
         return pd.DataFrame(rows, columns=["spans", "items", "longest", "n_words", "n_hit"])
 
-    return find
+    return find.asNondeterministic()  # so that a filter on its result stays above it and it runs once
 
 
 def annotate(docs: DataFrame, items: DataFrame, window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
@@ -215,8 +230,9 @@ def contaminated() -> F.Column:
 def clean(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_length: int | None = None, max_coverage: float | None = None) -> DataFrame:
     """Documents without the spans that exceed a limit; all columns, others as they were.
 
-    A document over ``max_coverage`` (a share of its words, over which its spans go) loses all hit
-    spans; below it, only spans longer than ``max_length`` words go.  The span is cut out of the
+    A document hit in more than ``max_coverage`` of its words loses all hit spans; in any other,
+    spans longer than ``max_length`` words go.  A limit that is None is not looked at; without
+    either, all hit spans go.  The span is cut out of the
     text from its first to its last character; the text around it stays byte for byte.
     """
     names = docs.columns
@@ -228,13 +244,8 @@ def clean(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_length: i
             if not hit:
                 out.append(text)
                 continue
-            every = max_coverage is None or hit > max_coverage * n
-            merged: list[list[int]] = []
-            for a, b in sorted(zip(s[::2], s[1::2], strict=True)):
-                if merged and a <= merged[-1][1]:
-                    merged[-1][1] = max(b, merged[-1][1])
-                else:
-                    merged.append([a, b])
+            every = max_length is None and max_coverage is None or max_coverage is not None and hit > max_coverage * n
+            merged = _merged(s)
             raw = text.encode("utf-8", "surrogatepass")
             flat = raw.translate(_WORD)
             inside = np.frombuffer(flat, np.uint8) != 32
