@@ -204,36 +204,37 @@ def near_duplicates(docs: DataFrame, width: int = 3) -> DataFrame:
 
 
 def copies(docs: DataFrame, width: int, similarity: float) -> DataFrame:
-    """(doc_id, component_id) of every document, by links of the similarity between sets of word shingles.
+    """(doc_id, of, first) of every document: the name of its text, and whether it is the first of its component.
 
-    Two fingerprints of a similarity of 0.8 differ in about 10 of 64 bits and in up to 19, far beyond what an
+    Components are made of links of the similarity between sets of word shingles.  Two
+    fingerprints of a similarity of 0.8 differ in about 10 of 64 bits and in up to 19, far beyond what an
     index of positional bytes can find, so candidates come from MinHash over the same shingles
     and every link is verified by the exact Jaccard similarity.  Texts without a word are copies of each other.
     """
     scratch = Scratch(docs.sparkSession, "copies")
     text = line_dedup.normal(F.coalesce(F.col("text").cast("string"), F.lit("")))
-    own = scratch.keep(docs.select("doc_id", text.alias("line")).withColumn("h", F.xxhash64("line")))
-    roots = line_dedup.links(scratch, own, similarity, line_dedup.WORDS._replace(size=width)).select(F.col("node").alias("h"), "root")
-    placed = own.select("doc_id", "h").join(roots, "h", "left").select("doc_id", F.coalesce("root", "h").alias("root"))
-    least = placed.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    return placed.join(least, "root").select("doc_id", "component_id")
+    own = docs.select("doc_id", line_dedup.named(F.col("text")).alias("of"), text.alias("line")).withColumn("h", F.xxhash64("line"))
+    own = scratch.keep(own)
+    roots = line_dedup.links(scratch, own.select("h", "line"), similarity, line_dedup.WORDS._replace(size=width))
+    placed = own.select("doc_id", "of", "h").join(roots.select(F.col("node").alias("h"), "root"), "h", "left")
+    placed = placed.select("doc_id", "of", F.coalesce("root", "h").alias("root"))
+    order = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "of")
+    least = placed.groupBy("root").agg(F.min(order).alias("least"))
+    return placed.join(least, "root").select("doc_id", "of", order.eqNullSafe(F.col("least")).alias("first"))
 
 
 def keep_one(docs: DataFrame, width: int = 3, similarity: float = 0.8) -> DataFrame:
     """The documents that stay when one of each component of ``copies`` does: the one with the smallest doc_id.
 
-    All columns of ``docs`` are returned.  Of repeated rows with that doc_id one row stays.
+    All columns of ``docs`` are returned.  Of repeated rows of that document one row stays.  Two
+    rows that share an id but not a text are two documents: each goes or stays with its own component.
     Rows with a null doc_id stay only if no document of their component has an id, and then one.
     """
-    names = docs.columns
-    rows = copies(docs, width, similarity).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    many = rows.groupBy("doc_id").agg(F.count("*").alias("n"))
-    own = F.struct(F.lit(1).alias("one"))
-    ids = many.select(F.col("doc_id").alias("__id"), "n", own.alias("__own"))
-    kept = docs.join(ids.withColumnRenamed("n", "__n"), F.col("doc_id").eqNullSafe(F.col("__id")))
-    once = kept.where(F.col("__n") == 1).select(*names)
-    again = kept.where(F.col("__n") > 1).select(*names).dropDuplicates(["doc_id"])
-    return once.unionByName(again)
+    firsts = copies(docs, width, similarity).where("first").groupBy("doc_id", "of").agg(F.count("*").alias("n"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").alias("id"), line_dedup.named(F.col("text")).alias("name"))
+    kept = rows.join(firsts, F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("name") == F.col("of"))).select("row", "id", "name", "n")
+    one = kept.where("n > 1").dropDuplicates(["id", "name"]).unionByName(kept.where("n = 1"))
+    return one.select(*[F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def digest(docs: DataFrame) -> DataFrame:
