@@ -76,6 +76,11 @@ class Scratch:
         for t in tables:
             _delete(self.spark, t._scratch_path)
 
+    def clear(self) -> None:
+        """Removes all tables, once no plan needs them."""
+        _delete(self.spark, self.root)
+        self.release()
+
     def _end(self) -> None:
         try:
             _delete(self.spark, self.root)

@@ -13,16 +13,18 @@
     (two lines of similarity 0.8 meet in some list with probability 0.99, of 0.85 with 0.999);
     they are candidates if ``AGREE`` of all values agree too (0.999 at 0.8).
 4.  Every line is first verified against one line only: of the smallest members of its lists, the
-    one that agrees most.  That ties a group of copies together with one check a line.
-    Then, in lists with members of more than one component, all candidates of different
-    components are verified.  So no candidate link is lost, and pairs inside a component, of
+    one that agrees most.  That ties a group of copies together with one check a line.  In a few
+    more turns every line of a list with members of several components is verified against the
+    most agreeing of some drawn members of others.  Then, in lists with members of more than one
+    component, all candidates of different components are verified that bit maps of their
+    shingles do not rule out.  So no candidate link is lost, and pairs inside a component, of
     which a group of copies has the square, are never made.
 5.  Candidates are verified by the exact Jaccard similarity of their shingle sets.
 6.  Connected components of the verified links are found by star contractions, and of every
     component the first line stays: the one with the smallest document id and line number.
 
-The documents are read for the distinct lines and for the lines' places.  Keys to look up are broadcast only if at most ``MOST_BROADCAST`` were counted; beyond
-that the same join is shuffled.
+The documents are read for the distinct lines and for the lines' places.  Keys to look up are
+broadcast only if at most ``MOST_BROADCAST`` were counted; beyond that the same join is shuffled.
 """
 
 from __future__ import annotations
@@ -42,6 +44,9 @@ BANDS = 12
 AGREE = 40
 PROBES = 16
 DEEP = 5
+DRAWN = 4
+TURNS = 3
+WORDS_OF_BITS = 128
 MOST_BROADCAST = 500_000
 
 
@@ -190,47 +195,87 @@ def verified(scratch: Scratch, pairs: DataFrame, texts: DataFrame, similarity: f
     return both.where(enough).select("a", "b")
 
 
-def across(scratch: Scratch, members: DataFrame, roots: DataFrame, signed: DataFrame) -> DataFrame:
-    """The candidates (a, b) of different components among the members (band, h) of lists.
-
-    Only lists with more than one component are looked into.  The join compares signatures as
-    it meets them, so its result holds candidates only.
-    """
+def _open(scratch: Scratch, members: DataFrame, roots: DataFrame) -> DataFrame:
+    """(band, h, root) of the lists whose members are of more than one component."""
     placed = members.join(_looked_up(roots), "h", "left").select("band", "h", F.coalesce("root", "h").alias("root"))
     placed = scratch.keep(placed)
-    open_lists = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
-    left = scratch.keep(placed.join(_looked_up(scratch.keep(open_lists)), "band").join(signed.select("h", "g"), "h"))
-    x, y = left.select("band", F.col("h").alias("a"), F.col("root").alias("ra"), F.col("g").alias("ga")), left.select("band", F.col("h").alias("b"), F.col("root").alias("rb"), F.col("g").alias("gb"))
-    met = x.join(y, (x["band"] == y["band"]) & (F.col("ra") < F.col("rb")) & (agreement("ga", "gb") >= AGREE))
-    return met.select(*_ordered("a", "b")).distinct()
+    several = placed.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band")
+    return scratch.keep(placed.join(_looked_up(scratch.keep(several)), "band"))
+
+
+def _drawn(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, turn: int) -> DataFrame:
+    """One candidate (a, b) a line of open lists: of ``DRAWN`` members a list, drawn by hash, those of other components, the one that agrees most."""
+    reps = open_lists.groupBy("band").agg(*[F.min_by(F.struct("h", "root"), F.xxhash64("h", F.lit(turn * DRAWN + k))).alias(f"r{k}") for k in range(DRAWN)])
+    met = open_lists.join(reps, "band").select("h", "root", F.explode(F.array(*[f"r{k}" for k in range(DRAWN)])).alias("rep"))
+    pairs = met.where(F.col("root") != F.col("rep.root")).select(F.least("h", "rep.h").alias("a"), F.greatest("h", "rep.h").alias("b")).distinct()
+    ends = scratch.keep(_agreeing(pairs, signed)).select(F.explode(F.array("a", "b")).alias("h"), "a", "b", "same")
+    best = ends.groupBy("h").agg(F.max_by(F.struct("a", "b"), F.struct("same", "a", "b")).alias("pair"))
+    return best.select("pair.a", "pair.b").distinct()
+
+
+def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similarity: float, cut: Cut) -> DataFrame:
+    """All candidates (a, b) of different components in open lists that may have the similarity.
+
+    The join compares what it meets before it yields a row: signatures first, then, for two lines
+    in the first list that they share, bit maps of their shingles.  A shared shingle is a shared
+    bit, but for those that fall together within a line, which are allowed for; so no similar
+    pair is lost, and few others come out.
+    """
+    own = scratch.keep(signed.join(_looked_up(scratch.keep(open_lists.select("h").distinct())), "h"))
+    bit = F.shiftrightunsigned("x", 6).bitwiseAND(F.lit(64 * WORDS_OF_BITS - 1))
+    bits = shingle_rows(own, cut).select("h", "x", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
+    bits = bits.groupBy("h", "w").agg(F.bit_or("b").alias("b"), F.count_distinct("x").alias("n"))
+    bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.sum("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
+    bits = bits.select("h", "n", "k", F.expr(f"transform(sequence(0, {WORDS_OF_BITS - 1}), w -> coalesce(m[w], 0L))").alias("s"))
+    left = scratch.keep(open_lists.join(own.select("h", "g", "bands").join(bits, "h"), "h"))
+    names = ["h", "root", "g", "bands", "n", "k", "s"]
+    x, y = (left.select(F.col("band").alias(f"band{side}"), *[F.col(c).alias(f"{c}{side}") for c in names]) for side in "xy")
+    first = F.expr("coalesce(" + ", ".join(f"CASE WHEN bandsx[{i}] = bandsy[{i}] THEN bandsx[{i}] END" for i in range(BANDS)) + ")")
+    shared = F.expr(" + ".join(f"bit_count(sx[{i}] & sy[{i}])" for i in range(WORDS_OF_BITS))) + F.least(F.col("nx") - F.col("kx"), F.col("ny") - F.col("ky"))
+    similar = shared * F.lit(1 + similarity) >= (F.col("nx") + F.col("ny")) * F.lit(similarity * (1 - 1e-12))
+    apart = (F.col("bandx") == F.col("bandy")) & (F.col("rootx") < F.col("rooty")) & (agreement("gx", "gy") >= AGREE)
+    return x.join(y, apart & (first == F.col("bandx")) & similar).select(*_ordered("hx", "hy"))
 
 
 def links(scratch: Scratch, lines: DataFrame, similarity: float = SIMILARITY, cut: Cut = GRAMS) -> DataFrame:
     """(node, root) of every distinct line (h, line) that is linked to another one."""
+    held = Scratch(lines.sparkSession, "links")  # all that only this step needs
     texts = texts_of(lines)
-    signed = scratch.keep(texts.join(signatures(texts, cut), "h"))
-    scratch.release()
+    signed = held.keep(texts.join(signatures(texts, cut), "h"))
+    held.release()
     posted = bands(signed)
     lists = posted.groupBy("band").agg(F.count("*").alias("n"), F.min("h").alias("a"), F.max("h").alias("b")).where("n > 1")
-    lists = scratch.keep(lists)
-    members = scratch.keep(posted.join(_looked_up(lists.where("n > 2").select("band", "a")), "band"))
-    scratch.release()
+    lists = held.keep(lists)
+    members = held.keep(posted.join(_looked_up(lists.where("n > 2").select("band", "a")), "band"))
+    held.release()
     # the smallest member of a list against each other one
     tied = lists.where("n = 2").select("a", "b").unionByName(members.where("h <> a").select("a", F.col("h").alias("b"))).distinct()
-    tied = scratch.keep(_agreeing(tied, signed))
+    tied = held.keep(_agreeing(tied, signed))
     nearest = tied.groupBy("b").agg(F.max_by("a", F.struct("same", "a")).alias("a")).select("a", "b")
-    found = scratch.keep(verified(scratch, nearest, signed, similarity, cut))
-    roots = components(scratch, found)
-    named = scratch.keep(roots.select(F.col("node").alias("h"), "root"))
+    roots = components(held, held.keep(verified(held, nearest, signed, similarity, cut)))
+    named = held.keep(roots.select(F.col("node").alias("h"), "root"))
+
+    def joined(more: DataFrame) -> DataFrame | None:
+        """The components with the verified ones of these candidates; None if none is."""
+        extra = held.keep(verified(held, more, signed, similarity, cut))
+        if extra.isEmpty():
+            return None
+        tree = named.select(F.col("h").alias("a"), F.col("root").alias("b"))
+        return held.keep(components(held, tree.unionByName(extra)).select(F.col("node").alias("h"), "root"))
+
+    for turn in range(TURNS):
+        after = joined(_drawn(held, _open(held, members, named), signed, turn))
+        if after is None:
+            break
+        named = after
     # ties not checked yet, and candidates in lists of more than two, where components still differ
     root_of = lambda side: named.select(F.col("h").alias(side), F.col("root").alias(f"r{side}"))
     apart = tied.join(nearest, ["a", "b"], "left_anti").join(root_of("a"), "a", "left").join(root_of("b"), "b", "left")
     apart = apart.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
-    more = apart.unionByName(across(scratch, members.select("band", "h"), named, signed)).distinct()
-    extra = scratch.keep(verified(scratch, more, signed, similarity, cut))
-    if extra.isEmpty():
-        return named.select(F.col("h").alias("node"), "root")
-    return components(scratch, named.select(F.col("h").alias("a"), F.col("root").alias("b")).unionByName(extra))
+    named = joined(apart.unionByName(_across(held, _open(held, members, named), signed, similarity, cut)).distinct()) or named
+    out = scratch.keep(named.select(F.col("h").alias("node"), "root"))
+    held.clear()
+    return out
 
 
 def verdicts(docs: DataFrame, similarity: float = SIMILARITY, scratch: Scratch | None = None, cut: Cut = GRAMS) -> DataFrame:
