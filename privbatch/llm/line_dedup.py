@@ -231,7 +231,8 @@ def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similari
     names = ["h", "root", "g", "bands", "n", "k", "s"]
     x, y = (left.select(F.col("band").alias(f"band{side}"), *[F.col(c).alias(f"{c}{side}") for c in names]) for side in "xy")
     first = F.expr("coalesce(" + ", ".join(f"CASE WHEN bandsx[{i}] = bandsy[{i}] THEN bandsx[{i}] END" for i in range(BANDS)) + ")")
-    shared = F.expr(" + ".join(f"bit_count(sx[{i}] & sy[{i}])" for i in range(WORDS_OF_BITS))) + F.least(F.col("nx") - F.col("kx"), F.col("ny") - F.col("ky"))
+    common = F.aggregate(F.zip_with("sx", "sy", lambda a, b: F.bit_count(a.bitwiseAND(b))), F.lit(0), lambda n, b: n + b)
+    shared = common + F.least(F.col("nx") - F.col("kx"), F.col("ny") - F.col("ky"))
     similar = shared * F.lit(1 + similarity) >= (F.col("nx") + F.col("ny")) * F.lit(similarity * (1 - 1e-12))
     apart = (F.col("bandx") == F.col("bandy")) & (F.col("rootx") < F.col("rooty")) & (agreement("gx", "gy") >= AGREE)
     return x.join(y, apart & (first == F.col("bandx")) & similar).select(*_ordered("hx", "hy"))
