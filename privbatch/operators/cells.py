@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions.domain import Domain
 
+BLOCK = 4096
+
 
 def cell_counts(df: DataFrame, domain: Domain) -> DataFrame:
     """(cell_id, cnt) of the occupied cells: partial aggregation, then one exchange of at most n rows a task."""
@@ -28,6 +30,11 @@ def coarsen(cells: DataFrame, block: int) -> DataFrame:
     return cells.groupBy(F.expr(f"cell_id div {int(block)}").alias("block")).agg(F.count("*").alias("cells"), F.sum("cnt").alias("cnt"))
 
 
+def finest(df: DataFrame, sets: list[str]) -> DataFrame:
+    """(values of the attributes, cnt) with one cell for every tuple of the occupied domain; null is a value like any other."""
+    return df.groupBy(*sets).agg(F.count("*").alias("cnt"))
+
+
 def merge_equal_cells(rows: DataFrame) -> DataFrame:
     """(cell_id, merged_id): cells with the same column in the workload rows share a number."""
     column = rows.groupBy("cell_id").agg(F.sort_array(F.collect_list(F.struct("query_id", "coef"))).alias("column"))
@@ -36,14 +43,26 @@ def merge_equal_cells(rows: DataFrame) -> DataFrame:
     return named.join(first, ["name", "j"]).select("cell_id", "merged_id")
 
 
-def prefix_sums(cells: DataFrame, value: str, dims: tuple[int, ...]) -> DataFrame:
-    """The summed-area table (cell_id, total): one running sum along each axis, split over the other axes' lines."""
+def prefix_sums(cells: DataFrame, value: str, dims: tuple[int, ...], block: int = BLOCK) -> DataFrame:
+    """The summed-area table (cell_id, total): one running sum along each axis, split over the other axes' lines.
+
+    A line longer than ``block`` is summed in blocks, a block a window, and the running sum of the
+    blocks is added, so a window holds at most the larger of a block and the blocks of a line.
+    """
     out = cells.select("cell_id", F.col(value).alias("total"))
     inner = 1
     for d in reversed(dims):
-        line = F.concat_ws(":", F.expr(f"cell_id div {inner * d}"), F.expr(f"cell_id % {inner}"))
-        w = Window.partitionBy(line).orderBy("cell_id").rowsBetween(Window.unboundedPreceding, 0)
-        out = out.select("cell_id", F.sum("total").over(w).alias("total"))
+        keys = [F.expr(f"cell_id div {inner * d}").alias("outer"), F.expr(f"cell_id % {inner}").alias("inner")]
+        out = out.select("cell_id", "total", *keys, F.expr(f"((cell_id div {inner}) % {d}) div {block}").alias("part"))
+        w = Window.partitionBy("outer", "inner", "part").orderBy("cell_id").rowsBetween(Window.unboundedPreceding, 0)
+        if d > block:
+            parts = out.groupBy("outer", "inner", "part").agg(F.sum("total").alias("own"))
+            before = Window.partitionBy("outer", "inner").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+            parts = parts.select("outer", "inner", "part", F.sum("own").over(before).alias("before"))
+            out = out.withColumn("total", F.sum("total").over(w)).join(parts, ["outer", "inner", "part"])
+            out = out.select("cell_id", F.when(F.col("before").isNull(), F.col("total")).otherwise(F.col("total") + F.col("before")).alias("total"))
+        else:
+            out = out.select("cell_id", F.sum("total").over(w).alias("total"))
         inner *= d
     return out
 

@@ -6,7 +6,8 @@ Only functions whose name begins with ``exact_`` return true answers; they are f
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.noise import gauss_sigma, gaussian, laplace, laplace_scale
@@ -17,7 +18,7 @@ from ..plans.workload import DENSE_LIMIT
 def rows_frame(spark: SparkSession, a: np.ndarray) -> DataFrame:
     """(query_id, cell_id, coef) of a dense matrix of bounded size."""
     q, c = np.nonzero(a)
-    return spark.createDataFrame([(int(i), int(j), float(a[i, j])) for i, j in zip(q, c, strict=True)], "query_id long, cell_id long, coef double")
+    return spark.createDataFrame(pa.table({"query_id": q.astype(np.int64), "cell_id": c.astype(np.int64), "coef": a[q, c].astype(float)}))
 
 
 def sensitivities(rows: DataFrame) -> DataFrame:
@@ -26,17 +27,51 @@ def sensitivities(rows: DataFrame) -> DataFrame:
     return column.agg(F.max("a").alias("l1"), F.sqrt(F.max("b")).alias("l2"))
 
 
+def exact_sensitivity(rows: DataFrame, n: int) -> DataFrame:
+    """(l1, l2) by trying every neighbour: the answers before and after one record less in each cell; for tests on few cells."""
+    cells = rows.sparkSession.range(n).select(F.col("id").alias("removed"))
+    queries = rows.groupBy("query_id").agg(F.map_from_entries(F.collect_list(F.struct("cell_id", "coef"))).alias("row"))
+    moved = F.coalesce(F.col("row")[F.col("removed")], F.lit(0.0))
+    each = cells.join(queries).groupBy("removed").agg(F.sum(F.abs(moved)).alias("a"), F.sum(moved * moved).alias("b"))
+    return each.agg(F.max("a").alias("l1"), F.sqrt(F.max("b")).alias("l2"))
+
+
+def sensitivity_boxes(boxes: DataFrame, dims: tuple[int, ...], coef: str = "coef") -> DataFrame:
+    """(l1, l2) of weighted boxes (lo0, hi0, ..., coef) without their cells: corners, then running sums over the domain."""
+    from functools import reduce
+
+    from .cells import densify, prefix_sums
+
+    corners = []
+    for mask in range(2 ** len(dims)):
+        at, inside, sign = F.lit(0).cast("long"), F.lit(True), 1
+        for k, d in enumerate(dims):
+            behind = bool(mask >> k & 1)
+            c = F.col(f"hi{k}") + 1 if behind else F.col(f"lo{k}")
+            at, inside, sign = at * d + c, inside & (c < d), -sign if behind else sign
+        corners.append(F.struct(F.when(inside, at).alias("cell_id"), F.lit(float(sign)).alias("sign")))
+    rows = boxes.select(F.col(coef).alias("w"), F.inline(F.array(*corners))).where("cell_id IS NOT NULL")
+    n = reduce(lambda a, b: a * b, dims, 1)
+    out = []
+    for name, weight in (("l1", F.abs("w")), ("l2", F.col("w") * F.col("w"))):
+        steps = rows.groupBy("cell_id").agg(F.sum(F.col("sign") * weight).alias("cnt"))
+        full = densify(steps, n).select("cell_id", F.col("cnt").cast("double").alias("cnt"))
+        top = prefix_sums(full, "cnt", dims).agg(F.max("total").alias(name))
+        out.append(top if name == "l1" else top.select(F.sqrt("l2").alias("l2")))
+    return out[0].join(out[1])
+
+
 def exact_answers(rows: DataFrame, cells: DataFrame) -> DataFrame:
     return rows.join(cells, "cell_id").groupBy("query_id").agg(F.sum(F.col("coef") * F.col("cnt")).alias("answer"))
 
 
-def gaussian_answers(rows: DataFrame, cells: DataFrame, sens: float, eps: float, delta: float, seed: int, secret: str | None = None) -> DataFrame:
+def gaussian_answers(rows: DataFrame, cells: DataFrame, sens: float, eps: float, delta: float, seed: int, secret: Column | None = None) -> DataFrame:
     """(query_id, noisy) under (eps, delta); ``sens`` is the rows' L2 sensitivity."""
     noise = F.lit(gauss_sigma(sens, eps, delta)) * gaussian(seed, F.col("query_id"), secret)
     return exact_answers(rows, cells).select("query_id", (F.col("answer") + noise).alias("noisy"))
 
 
-def laplace_answers(rows: DataFrame, cells: DataFrame, sens: float, eps: float, seed: int, secret: str | None = None) -> DataFrame:
+def laplace_answers(rows: DataFrame, cells: DataFrame, sens: float, eps: float, seed: int, secret: Column | None = None) -> DataFrame:
     """(query_id, noisy) under eps alone; ``sens`` is the rows' L1 sensitivity."""
     noise = F.lit(laplace_scale(sens, eps)) * laplace(seed, F.col("query_id"), secret)
     return exact_answers(rows, cells).select("query_id", (F.col("answer") + noise).alias("noisy"))
@@ -95,7 +130,7 @@ def fit_cg(rows: DataFrame, measured: DataFrame, scratch_cut, tol: float = 1e-10
     return state.select("cell_id", F.col("x").alias("est"))
 
 
-def release(cells: DataFrame, a: np.ndarray, eps: float, delta: float | None, seed: int, secret: str | None = None) -> DataFrame:
+def release(cells: DataFrame, a: np.ndarray, eps: float, delta: float | None, seed: int, secret: Column | None = None) -> DataFrame:
     """(cell_id, est) under a dense strategy; delta None means eps alone (Laplace, L1)."""
     rows = rows_frame(cells.sparkSession, a)
     if delta is None:
@@ -105,7 +140,17 @@ def release(cells: DataFrame, a: np.ndarray, eps: float, delta: float | None, se
     return fit_dense(measured, a)
 
 
-def release_haar(cells: DataFrame, n: int, eps: float, delta: float, seed: int, secret: str | None = None) -> DataFrame:
+def release_direct(cells: DataFrame, w: np.ndarray, a: np.ndarray, eps: float, delta: float, seed: int) -> DataFrame:
+    """(query_id, answer) in closed form: the true answers plus W A^+ applied to the strategy's noise; the check of ``release``."""
+    spread = w @ np.linalg.pinv(a)
+    spark = cells.sparkSession
+    noise = F.lit(gauss_sigma(l2(a), eps, delta)) * gaussian(seed, F.col("cell_id"))
+    moved = rows_frame(spark, spread).groupBy("query_id").agg(F.sum(F.col("coef") * noise).alias("noise"))
+    true = exact_answers(rows_frame(spark, w), cells)
+    return true.join(moved, "query_id", "left").select("query_id", (F.col("answer") + F.coalesce("noise", F.lit(0.0))).alias("answer"))
+
+
+def release_haar(cells: DataFrame, n: int, eps: float, delta: float, seed: int, secret: Column | None = None) -> DataFrame:
     """The same for the Haar strategy, without a driver round trip."""
     rows = haar_rows(cells.sparkSession, n).select("query_id", "cell_id", "coef")
     sens = float(np.sqrt(n.bit_length()))

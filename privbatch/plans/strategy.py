@@ -69,8 +69,26 @@ def haar_iso(dims: tuple[int, ...]) -> np.ndarray:
     return np.array(rows)
 
 
-def product_strategy(parts: list[np.ndarray]) -> np.ndarray:
-    return kron(parts)
+def hierarchical_iso(dims: tuple[int, ...]) -> np.ndarray:
+    """Counts of boxes that halve along all axes at once, down to single cells; equal power-of-two axes."""
+    from itertools import product
+
+    rows, s = [], max(dims)
+    while s:
+        for corner in product(*[range(0, d, s) for d in dims]):
+            rows.append(kron([((np.arange(d) >= a) & (np.arange(d) < a + s)).astype(float)[None, :] for d, a in zip(dims, corner, strict=True)]).ravel())
+        s //= 2
+    return np.array(rows)
+
+
+def tree_levels(n: int) -> list[list[tuple[tuple[int, int], ...]]]:
+    """The binary tree as levels of boxes, single cells first: a point of the space that the level search looks through."""
+    return [[((a, a + s),) for a in range(0, n, s)] for s in (1 << k for k in range(n.bit_length()))]
+
+
+def haar_levels(n: int) -> list[list[tuple[tuple[int, int], ...]]]:
+    """Levels with the wavelet's Gram matrix: single cells twice, then intervals of 2, 4 and so on up to half the domain."""
+    return [[((a, a + s),) for a in range(0, n, s)] for s in (1, *(1 << k for k in range(n.bit_length() - 1)))]
 
 
 # ---- measures ---------------------------------------------------------------------------------
@@ -84,22 +102,49 @@ def l1(a: np.ndarray) -> float:
     return float(np.abs(a).sum(axis=0).max())
 
 
-def supports(a: np.ndarray, gram: np.ndarray, tol: float = 1e-8) -> bool:
+def trace_error(gram: np.ndarray, strategy: np.ndarray, tol: float = 1e-9) -> float:
+    """tr(G M^+) for the Gram matrices of workload and strategy; an error if the strategy leaves a query open.
+
+    The rank of M is read off its spectrum, and what the workload has outside is compared with the
+    whole of it, so that neither scale matters.
+    """
+    values, vectors = np.linalg.eigh((strategy + strategy.T) / 2)
+    kept = values > tol * max(values[-1], 0)
+    inside = vectors[:, kept]
+    own = np.einsum("ik,ik->k", inside, gram @ inside)
+    if np.trace(gram) - own.sum() > 1e-7 * np.trace(gram):
+        raise ValueError("the strategy does not support the workload")
+    return float((own / values[kept]).sum())
+
+
+def supports(a: np.ndarray, gram: np.ndarray) -> bool:
     """Whether every workload query is a combination of strategy rows."""
-    p = np.linalg.pinv(a) @ a
-    return bool(np.abs(gram - p @ gram @ p).max() <= tol * max(1.0, np.abs(gram).max()))
+    try:
+        trace_error(gram, a.T @ a)
+    except ValueError:
+        return False
+    return True
 
 
 def total_error(gram: np.ndarray, a: np.ndarray, p: float = 1.0) -> float:
     """P ||A||^2 tr(W'W (A'A)^+), the summed mean squared error of the workload."""
-    if not supports(a, gram):
-        raise ValueError("the strategy does not support the workload")
-    return p * l2(a) ** 2 * float((gram * np.linalg.pinv(a.T @ a, hermitian=True)).sum())
+    return p * l2(a) ** 2 * trace_error(gram, a.T @ a)
+
+
+def average_error(gram: np.ndarray, a: np.ndarray, queries: int, p: float = 1.0) -> tuple[float, float]:
+    """(mean squared error of a query on average, its root)."""
+    mean = total_error(gram, a, p) / queries
+    return mean, float(np.sqrt(mean))
+
+
+def error_ratio(gram: np.ndarray, a: np.ndarray) -> float:
+    """Total error over the spectral bound."""
+    return total_error(gram, a) / bound_of_gram(gram)
 
 
 def total_error_pure(gram: np.ndarray, a: np.ndarray, eps: float = 1.0) -> float:
     """The same under the eps-only notion: Laplace noise and L1 sensitivity."""
-    return 2 * l1(a) ** 2 / eps**2 * float((gram * np.linalg.pinv(a.T @ a, hermitian=True)).sum())
+    return 2 * l1(a) ** 2 / eps**2 * trace_error(gram, a.T @ a)
 
 
 def query_error(w: np.ndarray, a: np.ndarray, p: float = 1.0) -> float:
@@ -199,3 +244,26 @@ def exact_optimum(gram: np.ndarray, steps: int = 400) -> tuple[float, float]:
         m = m * (diag / diag.mean()) ** 0.5
         m /= m.mean()
     return float(best), float(attained)
+
+
+def split_budget(errors: list[float]) -> list[float]:
+    """Weights w with sum of squares one that minimise the sum of errors / w^2."""
+    w = np.array(errors, float) ** 0.25
+    return (w / np.sqrt((w * w).sum())).tolist()
+
+
+def balance(gram: np.ndarray, parts: list[np.ndarray], start: list[float], steps: int = 200) -> list[float]:
+    """Squared weights of sum one that minimise tr(G (sum w_k M_k)^+), by multiplicative steps from ``start``.
+
+    At the optimum every part with weight lowers the error at the same rate.
+    """
+    w = np.array(start, float) ** 2
+    for _ in range(steps):
+        inv = np.linalg.pinv(sum(a * m for a, m in zip(w, parts, strict=True)), rcond=1e-11, hermitian=True)
+        rate = np.array([(inv @ gram @ inv * m).sum() for m in parts])
+        new = w * np.sqrt(np.clip(rate, 0, None))
+        new /= new.sum()
+        if np.abs(new - w).max() < 1e-9:
+            break
+        w = new
+    return w.tolist()

@@ -6,7 +6,7 @@ from functools import reduce
 from itertools import combinations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 DENSE_LIMIT = 4096
@@ -132,14 +132,30 @@ def gram_boxes(lo: np.ndarray, hi: np.ndarray, dims: tuple[int, ...]) -> np.ndar
     return g
 
 
-def spectrum_all_range(n: int) -> np.ndarray:
-    """Eigenvalues of the one-dimensional range Gram matrix: (n+1) times the inverse of the second difference."""
-    return (n + 1) / (4 * np.sin(np.arange(1, n + 1) * np.pi / (2 * (n + 1))) ** 2)
+def gram_of_boxes(boxes: DataFrame, dims: tuple[int, ...]) -> np.ndarray:
+    """Gram matrix of a DataFrame of boxes: every task sums its own boxes, so what reaches the driver is a matrix a task at most.
+
+    The matrices are added by row blocks in a shuffle before they are fetched.
+    """
+    import pandas as pd
 
+    n, names = int(np.prod(dims)), [c for k in range(len(dims)) for c in (f"lo{k}", f"hi{k}")]
 
-def top_queries(df: DataFrame, by: str, m: int) -> DataFrame:
-    return df.orderBy(F.desc(by)).limit(m)
+    def run(batches):
+        own = np.zeros((n, n))
+        for pdf in batches:
+            at = pdf[names].to_numpy(np.int64)
+            own += gram_boxes(at[:, ::2], at[:, 1::2], dims)
+        yield pd.DataFrame({"i": np.arange(n), "row": list(own)})
 
+    rows = boxes.select(*names).mapInPandas(run, "i long, row array<double>")
+    added = rows.select("i", F.posexplode("row").alias("j", "v")).where("v <> 0").groupBy("i", "j").agg(F.sum("v").alias("v"))
+    got, out = added.toArrow(), np.zeros((n, n))
+    out[got["i"].to_numpy(), got["j"].to_numpy()] = got["v"].to_numpy()
+    return out
+
+
+def spectrum_all_range(n: int) -> np.ndarray:
+    """Eigenvalues of the one-dimensional range Gram matrix: (n+1) times the inverse of the second difference."""
+    return (n + 1) / (4 * np.sin(np.arange(1, n + 1) * np.pi / (2 * (n + 1))) ** 2)
 
-def rank_in(df: DataFrame, part: str, by: str) -> DataFrame:
-    return df.withColumn("rank", F.row_number().over(Window.partitionBy(part).orderBy(by)))
