@@ -223,7 +223,8 @@ def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similari
     """
     own = scratch.keep(signed.join(_looked_up(scratch.keep(open_lists.select("h").distinct())), "h"))
     bit = F.shiftrightunsigned("x", 6).bitwiseAND(F.lit(64 * WORDS_OF_BITS - 1))
-    bits = shingle_rows(own, cut).select("h", "x", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
+    # dealt by line first, so that the shingles are counted where they are made
+    bits = shingle_rows(own.repartition("h"), cut).select("h", "x", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
     bits = bits.groupBy("h", "w").agg(F.bit_or("b").alias("b"), F.count_distinct("x").alias("n"))
     bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.sum("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
     bits = bits.select("h", "n", "k", F.expr(f"transform(sequence(0, {WORDS_OF_BITS - 1}), w -> coalesce(m[w], 0L))").alias("s"))
