@@ -13,8 +13,8 @@
     (two lines of similarity 0.8 meet in some list with probability 0.99, of 0.85 with 0.999);
     they are candidates if ``AGREE`` of all values agree too (0.999 at 0.8).
 4.  Every line is first verified against one line only: of the smallest members of its lists, the
-    one that agrees most.  That ties a group of copies together with one check a line.  In a few
-    more turns every line of a list with members of several components is verified against the
+    one that agrees most.  That ties a group of copies together with one check a line.  In a
+    second turn every line of a list with members of several components is verified against the
     most agreeing of some drawn members of others.  Then, in lists with members of more than one
     component, all candidates of different components are verified that bit maps of their
     shingles do not rule out.  So no candidate link is lost, and pairs inside a component, of
@@ -45,8 +45,8 @@ AGREE = 40
 PROBES = 16
 DEEP = 5
 DRAWN = 4
-TURNS = 3
-WORDS_OF_BITS = 128
+TURNS = 1
+WORDS_OF_BITS = 64
 MOST_BROADCAST = 500_000
 
 
@@ -221,12 +221,13 @@ def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similari
     bit, but for those that fall together within a line, which are allowed for; so no similar
     pair is lost, and few others come out.
     """
-    own = scratch.keep(signed.join(_looked_up(scratch.keep(open_lists.select("h").distinct())), "h"))
+    own = signed.join(_looked_up(scratch.keep(open_lists.select("h").distinct())), "h")
+    own = scratch.keep(own.select("h", "g", "bands", shingle_set(F.col("line"), cut).alias("x")))
+    bits = own.repartition("h").select("h", F.size("x").alias("n"), F.explode("x").alias("x"))
     bit = F.shiftrightunsigned("x", 6).bitwiseAND(F.lit(64 * WORDS_OF_BITS - 1))
-    # dealt by line first, so that the shingles are counted where they are made
-    bits = shingle_rows(own.repartition("h"), cut).select("h", "x", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
-    bits = bits.groupBy("h", "w").agg(F.bit_or("b").alias("b"), F.count_distinct("x").alias("n"))
-    bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.sum("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
+    bits = bits.select("h", "n", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
+    bits = bits.groupBy("h", "w").agg(F.bit_or("b").alias("b"), F.max("n").alias("n"))
+    bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.max("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
     bits = bits.select("h", "n", "k", F.expr(f"transform(sequence(0, {WORDS_OF_BITS - 1}), w -> coalesce(m[w], 0L))").alias("s"))
     left = scratch.keep(open_lists.join(own.select("h", "g", "bands").join(bits, "h"), "h"))
     names = ["h", "root", "g", "bands", "n", "k", "s"]
