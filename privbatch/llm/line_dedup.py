@@ -222,14 +222,15 @@ def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similari
     pair is lost, and few others come out.
     """
     own = signed.join(_looked_up(scratch.keep(open_lists.select("h").distinct())), "h")
-    own = scratch.keep(own.select("h", "g", "bands", shingle_set(F.col("line"), cut).alias("x")))
-    bits = own.repartition("h").select("h", F.size("x").alias("n"), F.explode("x").alias("x"))
+    own = scratch.keep(own.select("h", "g", "bands", "line"))
+    bits = own.select("h", "line").repartition("h").select("h", shingle_set(F.col("line"), cut).alias("x"))
+    bits = bits.select("h", F.size("x").alias("n"), F.explode("x").alias("x"))
     bit = F.shiftrightunsigned("x", 6).bitwiseAND(F.lit(64 * WORDS_OF_BITS - 1))
     bits = bits.select("h", "n", F.shiftright(bit, 6).cast("int").alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(x, 6) & 63 AS int))").alias("b"))
     bits = bits.groupBy("h", "w").agg(F.bit_or("b").alias("b"), F.max("n").alias("n"))
     bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.max("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
     bits = bits.select("h", "n", "k", F.expr(f"transform(sequence(0, {WORDS_OF_BITS - 1}), w -> coalesce(m[w], 0L))").alias("s"))
-    left = scratch.keep(open_lists.join(own.select("h", "g", "bands").join(bits, "h"), "h"))
+    left = open_lists.join(scratch.keep(own.select("h", "g", "bands").join(bits, "h")), "h")
     names = ["h", "root", "g", "bands", "n", "k", "s"]
     x, y = (left.select(F.col("band").alias(f"band{side}"), *[F.col(c).alias(f"{c}{side}") for c in names]) for side in "xy")
     first = F.expr("coalesce(" + ", ".join(f"CASE WHEN bandsx[{i}] = bandsy[{i}] THEN bandsx[{i}] END" for i in range(BANDS)) + ")")
