@@ -88,11 +88,6 @@ class Scratch:
             pass
 
 
-def bucket_of(spark: SparkSession, df: DataFrame, rows: int) -> int:
-    """How many groups of about ``rows`` rows the table makes (at least one)."""
-    return max(1, -(-df.count() // rows))
-
-
 def held_out(doc_id: Column) -> Column:
     """True for the documents no model may learn from: crc32 of the id as text, modulo 3, is 1."""
     return F.coalesce(F.crc32(F.encode(doc_id.cast("string"), "UTF-8")) % 3 == 1, F.lit(False))
