@@ -86,5 +86,5 @@ class Domain:
         out, rest = [], cell
         for a in reversed(self.attributes):
             out.append((rest % a.size).alias(a.name))
-            rest = F.floor(rest / a.size).cast("long")
+            rest = F.call_function("div", rest, F.lit(a.size))
         return out[::-1]

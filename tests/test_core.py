@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 import __spark_entry__
 from privbatch import queries as core
 from privbatch.functions import noise
+from privbatch.functions.domain import Attribute, Domain
 from privbatch.functions.noise import gauss_sigma, laplace_scale, noise_constant
 from privbatch.operators import cells as C
 from privbatch.operators import mechanism as M
@@ -236,6 +237,26 @@ def test_prefix_sums_in_blocks(spark):
         assert [got[i] for i in range(91)] == x.cumsum(axis=0).cumsum(axis=1).ravel().tolist()
 
 
+def test_domains(spark):
+    """Cells to coordinates and back beyond what floating point holds, fixed edges, finest cells with nulls."""
+    big = Domain(tuple(Attribute(n, F.lit(0).cast("long"), s) for n, s in (("a", 3), ("b", 2**30 + 3), ("c", 2**30 + 7))))
+    cell = (2 * (2**30 + 3) + 2**30 + 2) * (2**30 + 7) + 2**30 + 5
+    got = spark.range(1).select(*big.coords(F.lit(cell).cast("long"))).first()
+    assert tuple(got) == (2, 2**30 + 2, 2**30 + 5)
+    x = spark.createDataFrame([(0.5,), (1.0,), (2.5,), (9.0,), (None,)], "x double")
+    d = Domain((Attribute.edges("x", F.col("x"), [0.5, 1.0, 3.0]),))
+    assert {r["cell_id"]: r["cnt"] for r in C.cell_counts(x, d).collect()} == {0: 1, 1: 2}
+    assert {r["x"]: r["cnt"] for r in C.finest(x.union(x.limit(1)), ["x"]).collect()} == {0.5: 2, 1.0: 1, 2.5: 1, 9.0: 1, None: 1}
+
+
+def test_errors_of_queries():
+    """The errors of single queries add up to the total, and its mean and ratio follow."""
+    g, a = W.gram_all_range((8,)), S.haar(8)
+    w = np.array([[1.0 if lo <= c <= hi else 0.0 for c in range(8)] for lo in range(8) for hi in range(lo, 8)])
+    assert sum(S.query_error(x, a) for x in w) == pytest.approx(S.total_error(g, a))
+    assert S.average_error(g, a, 36)[1] ** 2 * 36 == pytest.approx(S.total_error(g, a)) and S.error_ratio(g, a) > 1
+
+
 def test_baselines_as_levels():
     """Tree and wavelet lie in the space of level strategies; isotropic baselines on a square."""
     for levels, a in ((S.tree_levels(8), S.hierarchical(8)), (S.haar_levels(8), S.haar(8))):
