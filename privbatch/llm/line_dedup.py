@@ -231,6 +231,7 @@ def _across(scratch: Scratch, open_lists: DataFrame, signed: DataFrame, similari
     bits = bits.groupBy("h").agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"), F.max("n").alias("n"), F.sum(F.bit_count("b")).alias("k"))
     bits = bits.select("h", "n", "k", F.expr(f"transform(sequence(0, {WORDS_OF_BITS - 1}), w -> coalesce(m[w], 0L))").alias("s"))
     left = open_lists.join(scratch.keep(own.select("h", "g", "bands").join(bits, "h")), "h")
+    scratch.release()
     names = ["h", "root", "g", "bands", "n", "k", "s"]
     x, y = (left.select(F.col("band").alias(f"band{side}"), *[F.col(c).alias(f"{c}{side}") for c in names]) for side in "xy")
     first = F.expr("coalesce(" + ", ".join(f"CASE WHEN bandsx[{i}] = bandsy[{i}] THEN bandsx[{i}] END" for i in range(BANDS)) + ")")
