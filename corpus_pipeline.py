@@ -19,7 +19,7 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates, linked by a Jaccard similarity of 0.8 over shingles of five words."""
+    """One document of each group of near-duplicates, linked by fingerprints of 3 bits or a Jaccard similarity of 0.8 over shingles of five words."""
     return simhash.keep_one(docs, width=5)
 
 

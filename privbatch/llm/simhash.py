@@ -57,14 +57,17 @@ def fingerprint_of(text: str | None, width: int = 3) -> int:
     return int(np.packbits(votes * 2 > len(hashes), bitorder="little").view(np.int64)[0])
 
 
-def fingerprints(docs: DataFrame, width: int = 3) -> DataFrame:
-    """(doc_id, fp BIGINT) of every document, from its whole text."""
-
+def _fingerprint(width: int):
     @F.pandas_udf("long")
     def fp(texts: pd.Series) -> pd.Series:
         return pd.Series([fingerprint_of(t, width) for t in texts], dtype="int64")
 
-    return docs.select("doc_id", fp(F.col("text").cast("string")).alias("fp"))
+    return fp
+
+
+def fingerprints(docs: DataFrame, width: int = 3) -> DataFrame:
+    """(doc_id, fp BIGINT) of every document, from its whole text."""
+    return docs.select("doc_id", _fingerprint(width)(F.col("text").cast("string")).alias("fp"))
 
 
 def _post(sets: list[tuple[int, ...]]) -> F.Column:
@@ -203,19 +206,30 @@ def near_duplicates(docs: DataFrame, width: int = 3) -> DataFrame:
     return placed.join(least, "root").select("doc_id", "fp", "component_id")
 
 
+def _by_fingerprint(scratch: Scratch, texts: DataFrame) -> DataFrame:
+    """(h, root) of the distinct texts (h, fp) whose fingerprints are linked to those of others; root is the smallest h."""
+    texts = scratch.keep(texts)
+    distinct = scratch.keep(texts.select("fp").distinct())
+    roots = components(scratch, fingerprint_links(scratch, distinct)).select(F.col("node").alias("fp"), F.col("root").alias("low"))
+    placed = texts.join(roots, "fp", "left").select("h", F.coalesce("low", "fp").alias("low"))
+    least = placed.groupBy("low").agg(F.min("h").alias("root"), F.count("*").alias("n")).where("n > 1").select("low", "root")
+    return placed.join(least, "low").select("h", "root")
+
+
 def copies(docs: DataFrame, width: int, similarity: float) -> DataFrame:
     """(doc_id, of, first) of every document: the name of its text, and whether it is the first of its component.
 
-    Components are made of links of the similarity between sets of word shingles.  Two
-    fingerprints of a similarity of 0.8 differ in about 10 of 64 bits and in up to 19, far beyond what an
-    index of positional bytes can find, so candidates come from MinHash over the same shingles
-    and every link is verified by the exact Jaccard similarity.  Texts without a word are copies of each other.
+    First come the fingerprints' links of at most ``RADIUS`` differing bits, by the positional index.
+    Two fingerprints of a similarity of 0.8 differ in about 10 of 64 bits and in up to 19, far beyond what
+    that index can find; so where components still differ, candidates from MinHash over the same shingles
+    are linked if the exact Jaccard similarity is reached.  Texts without a word are copies of each other.
     """
     scratch = Scratch(docs.sparkSession, "copies")
     text = line_dedup.normal(F.coalesce(F.col("text").cast("string"), F.lit("")))
     own = docs.select("doc_id", line_dedup.named(F.col("text")).alias("of"), text.alias("line")).withColumn("h", F.xxhash64("line"))
-    own = scratch.keep(own)
-    roots = line_dedup.links(scratch, own.select("h", "line"), similarity, line_dedup.WORDS._replace(size=width))
+    own = scratch.keep(own.withColumn("fp", _fingerprint(width)(F.col("line"))))
+    known = scratch.keep(_by_fingerprint(scratch, own.select("h", "fp").distinct()))
+    roots = line_dedup.links(scratch, own.select("h", "line"), similarity, line_dedup.WORDS._replace(size=width), known)
     placed = own.select("doc_id", "of", "h").join(roots.select(F.col("node").alias("h"), "root"), "h", "left")
     placed = placed.select("doc_id", "of", F.coalesce("root", "h").alias("root"))
     order = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "of")
@@ -224,7 +238,7 @@ def copies(docs: DataFrame, width: int, similarity: float) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, width: int = 3, similarity: float = 0.8) -> DataFrame:
-    """The documents that stay when one of each component of ``copies`` does: the one with the smallest doc_id.
+    """The documents that stay when one of each component of ``copies`` does, by fingerprints first: the one with the smallest doc_id.
 
     All columns of ``docs`` are returned.  Of repeated rows of that document one row stays.  Two
     rows that share an id but not a text are two documents: each goes or stays with its own component.
