@@ -16,6 +16,9 @@ text as a whole.
 
 from __future__ import annotations
 
+import pickle
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -168,28 +171,41 @@ def class_prior(positive: np.ndarray, unlabelled: np.ndarray, seed: int = 7) ->
     return float(np.clip(above_u[best] / above_p[best], 0.01, 0.99))
 
 
-def _vectors(rows: DataFrame, share: float, salt: str) -> np.ndarray:
+def _vectors(rows: DataFrame, share: float, salt: str) -> DataFrame:
+    """(at, x): the vectors of a drawn share of the texts, and a key to order them by."""
+
     @F.pandas_udf("binary")
     def vector(texts: pd.Series) -> pd.Series:
         return pd.Series([features(t).tobytes() for t in texts], dtype=object)
 
     chance = F.pmod(F.xxhash64("doc_id", F.lit(salt)), F.lit(1_000_000)) / 1_000_000
-    picked = rows.where(chance < share).select(vector(F.col("text").cast("string")).alias("x")).limit(2 * SAMPLE)
-    out, n = np.zeros((2 * SAMPLE, WIDTH), np.float32), 0
-    for r in picked.toLocalIterator():
-        out[n] = np.frombuffer(r["x"], np.float32)
-        n += 1
-    return out[:n]
+    picked = rows.where(chance < share).select(F.xxhash64("doc_id").alias("at"), vector(F.col("text").cast("string")).alias("x"))
+    return picked.limit(2 * SAMPLE)
+
+
+def _trained(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The pickled scorer of all vectors, positives and unlabelled ones."""
+    held: dict[bool, list[bytes]] = {True: [], False: []}
+    for pdf in batches:
+        for positive, x in zip(pdf["positive"], pdf["x"], strict=True):
+            held[bool(positive)].append(bytes(x))
+    p, u = (np.frombuffer(b"".join(held[side]), np.float32).reshape(-1, WIDTH) for side in (True, False))
+    yield pd.DataFrame({"model": [pickle.dumps(train(p, u, class_prior(p, u)))]})
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Scorer:
-    """Trains outside the held-out fold, from positives and unlabelled texts; no label but 1 is read."""
+    """Trains outside the held-out fold, from positives and unlabelled texts; no label but 1 is read.
+
+    One task trains, on the bounded samples; only the scorer comes to the driver.
+    """
     own = docs.select("doc_id", "text").where(~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull())
     known = labels.where((F.col("quality") == 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id").distinct()
     chosen = F.pmod(F.xxhash64("doc_id", F.lit("positive")), F.lit(1_000_000)) / 1_000_000 < min(1.0, sample / max(1, known.count()))
-    p = _vectors(own.join(known.where(chosen), "doc_id", "left_semi"), 1.0, "positive")
-    u = _vectors(own, min(1.0, sample / max(1, own.count())), "unlabelled")
-    return train(p, u, class_prior(p, u))
+    p = _vectors(own.join(known.where(chosen), "doc_id", "left_semi"), 1.0, "positive").withColumn("positive", F.lit(True))
+    u = _vectors(own, min(1.0, sample / max(1, own.count())), "unlabelled").withColumn("positive", F.lit(False))
+    both = p.unionByName(u).coalesce(1).sortWithinPartitions("positive", "at", "x").select("positive", "x")
+    found = both.mapInPandas(_trained, "model binary").first()
+    return pickle.loads(found["model"]) if found else train(np.zeros((0, WIDTH), np.float32), np.zeros((0, WIDTH), np.float32), 0.5)
 
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
