@@ -15,10 +15,10 @@ a token-weighted mean of the tasks' weights, aggregated without passing through
 from __future__ import annotations
 
 import hashlib
-import re
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import compress, repeat
 
 import numpy as np
 import pandas as pd
@@ -38,13 +38,18 @@ RATE = 0.08
 VOCAB = CLASSES * IN_CLASS
 EDGE = VOCAB  # stands beyond both ends of a text
 
-_LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
-_TOKEN = re.compile(rb"[0-9a-z\x80-\xff]+|[!-/:-@\[-`{-~]")
+#: Capitals in lower case, and all that is no part of a token as a space.
+_PLAIN = bytes(c + 32 if 65 <= c <= 90 else 32 if c < 32 or c == 127 else c for c in range(256))
+_SYMBOLS = bytes(c for c in range(33, 127) if not chr(c).isalnum())
+_OTHERS = bytes(c for c in range(256) if c not in _SYMBOLS)
 
 
 def tokens_of(text: str | None) -> list[bytes]:
     """Lower-cased words (runs of digits, letters and characters beyond ASCII) and single symbols."""
-    return _TOKEN.findall((text or "").encode("utf-8", "surrogatepass").translate(_LOWER))
+    plain = (text or "").encode("utf-8", "surrogatepass").translate(_PLAIN)
+    for symbol in set(plain.translate(None, _OTHERS)):
+        plain = plain.replace(bytes((symbol,)), bytes((32, symbol, 32)))
+    return plain.split()
 
 
 def key_of(token: bytes) -> bytes:
@@ -59,7 +64,8 @@ def token_counts(docs: DataFrame) -> DataFrame:
         held: Counter[bytes] = Counter()
         for pdf in batches:
             for text in pdf["text"]:
-                held.update(map(key_of, tokens_of(text)))
+                tokens = tokens_of(text)
+                held.update(map(key_of, tokens) if any(len(t) > 64 for t in set(tokens)) else tokens)
                 if len(held) > 400_000:
                     yield pd.DataFrame({"token": list(held.keys()), "n": list(held.values())})
                     held = Counter()
@@ -83,10 +89,11 @@ class Vocabulary:
         return self.__dict__ | {"counts": None}
 
     def encode(self, tokens: list[bytes]) -> np.ndarray:
-        get = self.number.get
-        out = np.fromiter((get(key_of(t), -1) for t in tokens), np.int32, len(tokens))
-        for i in np.flatnonzero(out < 0).tolist():
-            out[i] = VOCAB - RARE + zlib.crc32(tokens[i][-3:]) % RARE
+        get, first, crc = self.number.get, VOCAB - RARE, zlib.crc32
+        out = np.fromiter(map(get, tokens, repeat(-1)), np.int32, len(tokens))
+        rest = out < 0
+        others = compress(tokens, rest.tolist())
+        out[rest] = [first + crc(t[-3:]) % RARE if len(t) <= 64 else get(key_of(t), first + crc(t[-3:]) % RARE) for t in others]
         return out
 
 
@@ -128,35 +135,64 @@ def start(vocab: Vocabulary, seed: int = 7) -> list[np.ndarray]:
 
 
 def contexts(ids: np.ndarray) -> np.ndarray:
-    """Rows of the embedding table for each token's context, without the token itself."""
-    edge = np.full(REACH, EDGE, np.int64)
-    wide = np.concatenate([edge, ids, edge])
+    """Rows of the embedding table for each token's context, without the token itself; one row of the result for each position."""
+    edge = np.full(REACH, EDGE, np.int32)
+    wide = np.concatenate([edge, ids, edge], dtype=np.int32)
     n = len(ids)
     shifts = [d for d in range(2 * REACH + 1) if d != REACH]
-    return np.stack([wide[d : d + n] + k * (VOCAB + 1) for k, d in enumerate(shifts)], axis=1)
+    return np.stack([wide[d : d + n] + k * (VOCAB + 1) for k, d in enumerate(shifts)])
 
 
-def _log_softmax(z: np.ndarray) -> np.ndarray:
-    z = z - z.max(axis=-1, keepdims=True)
-    return z - np.log(np.exp(z).sum(axis=-1, keepdims=True))
+def _hidden(embed: np.ndarray, ctx: np.ndarray) -> np.ndarray:
+    h = np.take(embed, ctx[0], axis=0)
+    for own in ctx[1:]:
+        h += np.take(embed, own, axis=0)
+    return np.tanh(h, out=h)
+
+
+def _by_class(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[tuple[int, int, int]]]:
+    """Classes and numbers in them of the tokens, the order by class, and what each class present has of that order."""
+    g, w = ids // IN_CLASS, ids % IN_CLASS
+    order = np.argsort(g.astype(np.uint8), kind="stable")
+    ends = np.searchsorted(g[order], np.arange(CLASSES + 1)).tolist()
+    return g, w, order, [(k, ends[k], ends[k + 1]) for k in range(CLASSES) if ends[k] < ends[k + 1]]
+
+
+def _inner(h: np.ndarray, c: np.ndarray, d: np.ndarray, spans: list[tuple[int, int, int]]) -> np.ndarray:
+    """What the tokens of each class get before the softmax, of states in that order; a column for each state."""
+    z = np.empty((IN_CLASS, len(h)), np.float32)
+    for k, at, end in spans:
+        np.add(c[k].T @ h[at:end].T, d[k][:, None], out=z[:, at:end])
+    return z
+
+
+def _log_chosen(z: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """The logarithm of the softmax of each column at the chosen row."""
+    z -= z.max(axis=0)
+    own = z[chosen, np.arange(z.shape[1])]
+    return own - np.log(np.exp(z, out=z).sum(axis=0))
+
+
+def _missed(z: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """One at the chosen row of each column, less the softmax."""
+    z -= z.max(axis=0)
+    np.exp(z, out=z)
+    z /= -z.sum(axis=0)
+    z[chosen, np.arange(z.shape[1])] += 1
+    return z
 
 
 def log_probs(weights: list[np.ndarray], ids: np.ndarray, ctx: np.ndarray) -> np.ndarray:
     """log P(token | context) of each token."""
     embed, a, b, c, d = weights
     out = np.empty(len(ids), np.float32)
-    for at in range(0, len(ids), 4 * BATCH):
-        i, x = ids[at : at + 4 * BATCH], ctx[at : at + 4 * BATCH]
-        h = np.tanh(sum(embed[x[:, k]] for k in range(x.shape[1])))
-        g, w = i // IN_CLASS, i % IN_CLASS
-        own = _log_softmax(h @ a + b)[np.arange(len(i)), g]
-        order = np.argsort(g, kind="stable")
-        ends = np.searchsorted(g[order], np.arange(CLASSES + 1))
-        for k in range(CLASSES):
-            rows = order[ends[k] : ends[k + 1]]
-            if len(rows):
-                own[rows] += _log_softmax(h[rows] @ c[k] + d[k])[np.arange(len(rows)), w[rows]]
-        out[at : at + 4 * BATCH] = own
+    for at in range(0, len(ids), BATCH):
+        i = ids[at : at + BATCH]
+        h = _hidden(embed, ctx[:, at : at + BATCH])
+        g, w, order, spans = _by_class(i)
+        own = _log_chosen(a.T @ h.T + b[:, None], g)
+        own[order] += _log_chosen(_inner(np.take(h, order, axis=0), c, d, spans), w[order])
+        out[at : at + BATCH] = own
     return out
 
 
@@ -171,31 +207,29 @@ class Learner:
     def step(self, ids: np.ndarray, ctx: np.ndarray) -> None:
         embed, a, b, c, d = self.weights
         n = len(ids)
-        h = np.tanh(sum(embed[ctx[:, k]] for k in range(ctx.shape[1])))
-        g, w = ids // IN_CLASS, ids % IN_CLASS
-        err = -np.exp(_log_softmax(h @ a + b))
-        err[np.arange(n), g] += 1
-        back = err @ a.T
-        grads = [h.T @ err, err.sum(axis=0), np.zeros_like(c), np.zeros_like(d)]
-        order = np.argsort(g, kind="stable")
-        ends = np.searchsorted(g[order], np.arange(CLASSES + 1))
-        for k in range(CLASSES):
-            rows = order[ends[k] : ends[k + 1]]
-            if len(rows):
-                e = -np.exp(_log_softmax(h[rows] @ c[k] + d[k]))
-                e[np.arange(len(rows)), w[rows]] += 1
-                grads[2][k], grads[3][k] = h[rows].T @ e, e.sum(axis=0)
-                back[rows] += e @ c[k].T
+        h = _hidden(embed, ctx)
+        g, w, order, spans = _by_class(ids)
+        err = _missed(a.T @ h.T + b[:, None], g)
+        back = err.T @ a.T
+        grads = [(err @ h).T, err.sum(axis=1), np.zeros_like(c), np.zeros_like(d)]
+        sorted_h = np.take(h, order, axis=0)
+        err = _missed(_inner(sorted_h, c, d, spans), w[order])
+        more = np.empty_like(sorted_h)
+        for k, at, end in spans:
+            e = err[:, at:end]
+            grads[2][k], grads[3][k] = (e @ sorted_h[at:end]).T, e.sum(axis=1)
+            np.matmul(e.T, c[k].T, out=more[at:end])
+        back[order] += more
         back *= 1 - h * h
         for value, grad, seen in zip(self.weights[1:], grads, self.seen[1:], strict=True):
             grad = grad / n
             seen += grad * grad
             value += RATE * grad / np.sqrt(seen)
-        flat = ctx.T.ravel()
-        turn = np.argsort(flat, kind="stable")
+        flat = ctx.ravel()
+        turn = np.argsort(flat.astype(np.int16), kind="stable")  # sixteen bits are sorted by digits
         keys = flat[turn]
         cut = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
-        total = np.add.reduceat(back[turn % n], cut, axis=0) / n
+        total = np.add.reduceat(np.take(back, turn % n, axis=0), cut, axis=0) / n
         rows = keys[cut]
         self.seen[0][rows] += (total * total).sum(axis=1)
         embed[rows] += RATE * 4 * total / np.sqrt(self.seen[0][rows])[:, None]
@@ -216,9 +250,9 @@ def train(docs: DataFrame, vocab: Vocabulary) -> list[np.ndarray]:
         size = 0
 
         def learn() -> None:
-            all_ids, all_ctx = np.concatenate(ids), np.concatenate(ctx)
+            all_ids, all_ctx = np.concatenate(ids), np.concatenate(ctx, axis=1)
             for at in range(0, len(all_ids), BATCH):
-                learner.step(all_ids[at : at + BATCH], all_ctx[at : at + BATCH])
+                learner.step(all_ids[at : at + BATCH], all_ctx[:, at : at + BATCH])
             ids.clear()
             ctx.clear()
 
@@ -269,7 +303,7 @@ def score(docs: DataFrame, vocab: Vocabulary, weights: list[np.ndarray]) -> Data
             counts = np.array([len(i) for i in group], np.int64)
             total = np.zeros(len(group))
             if counts.sum():
-                lp = log_probs(own, np.concatenate(group), np.concatenate([contexts(i) for i in group]))
+                lp = log_probs(own, np.concatenate(group), np.concatenate([contexts(i) for i in group], axis=1))
                 total = np.bincount(np.repeat(np.arange(len(group)), counts), weights=lp, minlength=len(group))
             sizes.extend(counts.tolist())
             sums.extend(total.tolist())
@@ -280,8 +314,8 @@ def score(docs: DataFrame, vocab: Vocabulary, weights: list[np.ndarray]) -> Data
             tokens = tokens_of(text)
             ids = words.encode(tokens)
             group.append(ids)
-            shared = Counter(key_of(tokens[i]) for i in np.flatnonzero(ids >= VOCAB - RARE).tolist())
-            rare.append(list(shared.keys()))
+            shared = Counter(compress(tokens, (ids >= VOCAB - RARE).tolist()))
+            rare.append(list(map(key_of, shared)))
             times.append(list(shared.values()))
             size += len(ids)
             if size >= 1 << 18:
