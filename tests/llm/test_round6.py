@@ -1,8 +1,8 @@
-"""Work done once: op1 cuts and numbers a text once for training and scoring, and sums what goes back to the embeddings by row."""
+"""Work done once: op1 numbers a text once for training and scoring and sums by row what goes back to the embeddings; op9 normalises a line once a scan."""
 
 import numpy as np
 
-from privbatch.llm import masked_lm
+from privbatch.llm import line_dedup, masked_lm
 
 
 def test_masked_lm_numbers_texts_once(spark, monkeypatch):
@@ -35,3 +35,11 @@ def test_step_sums_by_row():
     learner.step(ids, ctx)
     changed = np.flatnonzero((learner.weights[0] != first[0]).any(axis=1))
     assert set(changed) == set(ctx.ravel())
+
+
+def test_lines_are_normalised_once(spark):
+    docs = spark.createDataFrame([(1, "A  b\n \t \nc D"), (2, None), (3, "")], "doc_id long, text string")
+    lines = line_dedup.lines_of(docs)
+    assert sorted((r["doc_id"], r["pos"], r["line"]) for r in lines.collect()) == [(1, 0, "a b"), (1, 2, "c d")]
+    for df in (lines, line_dedup.texts_of(lines), lines.select("doc_id", "of", "pos", "h")):
+        assert df._jdf.queryExecution().optimizedPlan().toString().count("regexp_replace") == 1
